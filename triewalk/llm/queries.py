@@ -58,13 +58,19 @@ def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file_digests(load(spark, sf_dir, "documents"), word_bpe())
 
 
+def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .simhash import near_components
+
+    return near_components(load(spark, sf_dir, "documents"))
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .quality import judge
 
     return judge(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_language_id, op2_packing, op3_exact_dedup, op4_sharding, op5_mixing, op6_licenses, op7_token_files, op9_quality)}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_language_id, op2_packing, op3_exact_dedup, op4_sharding, op5_mixing, op6_licenses, op7_token_files, op8_simhash, op9_quality)}
 
 ORACLES: dict[str, str] = {
     "op3_exact_dedup": """
