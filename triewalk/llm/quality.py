@@ -23,7 +23,7 @@ ALPHA, DELTA = 0.025, 0.05
 #: Multiples of the reference cutoffs, from lax to strict.
 LADDER = (8.0, 6.0, 5.0, 4.0, 3.0, 2.5, 2.0, 1.75, 1.5, 1.25, 1.0)
 #: Reference cutoffs: symbols a word character, repeated lines a line, words in repeated windows a word, share of the commonest word.
-REFERENCE = {"symbol_share": 0.01, "dup_line_share": 0.35, "repeat_share": 0.2, "top_word_share": 0.25}
+REFERENCE = {"symbol_share": 0.02, "dup_line_share": 0.45, "repeat_share": 0.3, "top_word_share": 0.3}
 #: Strata beyond the largest ones are judged together.
 MOST_STRATA = 64
 
