@@ -70,7 +70,13 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_language_id, op2_packing, op3_exact_dedup, op4_sharding, op5_mixing, op6_licenses, op7_token_files, op8_simhash, op9_quality)}
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_dedup import remove_repeats
+
+    return remove_repeats(load(spark, sf_dir, "documents")).drop("kept_text")
+
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_language_id, op2_packing, op3_exact_dedup, op4_sharding, op5_mixing, op6_licenses, op7_token_files, op8_simhash, op9_quality, op10_suffix_dedup)}
 
 ORACLES: dict[str, str] = {
     "op3_exact_dedup": """
