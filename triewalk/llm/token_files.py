@@ -1,8 +1,8 @@
 """Token ids in Arrow files of fixed-size lists: equal-length sequences with masks, addressed without copying.
 
 Documents are dealt to ranges of doc_id and encoded in order; each range becomes one shard of two Arrow files:
-`ids`, whose rows are sequences of SEQUENCE ids with a mask of the same length, and `docs`, which says where each document
-lies in the shard. All ids of a shard run on from row to row; only its last row is padded (mask 0). The file of
+`ids`, whose rows are sequences of SEQUENCE ids (16 bits each if the vocabulary fits, else 32) with a bit mask of the same length, and `docs`, which says where each document
+lies in the shard. All ids of a shard run on from row to row; only its last row is padded (mask false). The file of
 a shard is written under a name of its attempt and then renamed, so a repeated task leaves the same file.
 """
 
@@ -23,7 +23,12 @@ from .tokens import encoder
 SEQUENCE = 1024
 ROWS_A_BATCH = 256
 
-IDS_SCHEMA = pa.schema([("ids", pa.list_(pa.uint32(), SEQUENCE)), ("mask", pa.list_(pa.uint8(), SEQUENCE))])
+
+
+def ids_schema(vocabulary: int) -> pa.Schema:
+    return pa.schema([("ids", pa.list_(pa.uint16() if vocabulary <= 1 << 16 else pa.uint32(), SEQUENCE)), ("mask", pa.list_(pa.bool_(), SEQUENCE))])
+
+
 DOCS_SCHEMA = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64())])
 
 
@@ -37,13 +42,15 @@ def _store(uri: str):
 class ShardWriter:
     """Writes one shard; add() takes a document's ids as bytes, close() returns (docs, ids)."""
 
-    def __init__(self, folder: str, shard: int):
+    def __init__(self, folder: str, shard: int, vocabulary: int):
         self.store, path = _store(folder)
+        self.schema = ids_schema(vocabulary)
+        self.kind = self.schema.field("ids").type.value_type.to_pandas_dtype()
         self.store.create_dir(path, recursive=True)
         self.final = [f"{path}/{kind}-{shard:06d}.arrow" for kind in ("ids", "docs")]
         self.parts = [f"{x}.{uuid.uuid4().hex}.part" for x in self.final]
         self.sinks = [self.store.open_output_stream(p) for p in self.parts]
-        self.ids, self.docs = pa.ipc.new_file(self.sinks[0], IDS_SCHEMA), pa.ipc.new_file(self.sinks[1], DOCS_SCHEMA)
+        self.ids, self.docs = pa.ipc.new_file(self.sinks[0], self.schema), pa.ipc.new_file(self.sinks[1], DOCS_SCHEMA)
         self.rest, self.held, self.total, self.index = [], 0, 0, []
         self.n_docs = 0
 
@@ -52,7 +59,7 @@ class ShardWriter:
         self.index.append((doc_id, self.total, n))
         self.total += n
         self.n_docs += 1
-        self.rest.append(ids)
+        self.rest.append(np.frombuffer(ids, dtype="<u4").astype(self.kind))
         self.held += n
         if self.held >= SEQUENCE * ROWS_A_BATCH:
             self._flush(False)
@@ -60,20 +67,20 @@ class ShardWriter:
             self._flush_index()
 
     def _flush(self, last: bool) -> None:
-        flat = np.frombuffer(b"".join(self.rest), dtype="<u4")
+        flat = np.concatenate([np.empty(0, self.kind), *self.rest])
         whole = len(flat) // SEQUENCE * SEQUENCE
         for a in range(0, whole, SEQUENCE * ROWS_A_BATCH):
             self._rows(flat[a : min(whole, a + SEQUENCE * ROWS_A_BATCH)], 0)
         tail = flat[whole:]
         if last and len(tail):
-            self._rows(np.concatenate([tail, np.zeros(SEQUENCE - len(tail), "<u4")]), SEQUENCE - len(tail))
+            self._rows(np.concatenate([tail, np.zeros(SEQUENCE - len(tail), self.kind)]), SEQUENCE - len(tail))
             tail = tail[:0]
-        self.rest, self.held = [tail.tobytes()], len(tail)
+        self.rest, self.held = [tail.copy()], len(tail)
 
     def _rows(self, flat: np.ndarray, padded: int) -> None:
-        mask = np.ones(len(flat), "u1")
-        mask[len(flat) - padded :] = 0
-        self.ids.write_batch(pa.record_batch([pa.FixedSizeListArray.from_arrays(pa.array(x), SEQUENCE) for x in (flat, mask)], schema=IDS_SCHEMA))
+        mask = np.ones(len(flat), bool)
+        mask[len(flat) - padded :] = False
+        self.ids.write_batch(pa.record_batch([pa.FixedSizeListArray.from_arrays(pa.array(x), SEQUENCE) for x in (flat, mask)], schema=self.schema))
 
     def _flush_index(self) -> None:
         if self.index:
@@ -140,9 +147,10 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, shards: int
         from pyspark import TaskContext
 
         encode, shard, out = encoder(tokenizer).encode, TaskContext.get().partitionId(), None
+        size = encoder(tokenizer).tokenizer.get_vocab_size()
         for b in batches:
             for doc_id, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                out = out or ShardWriter(folder, shard)
+                out = out or ShardWriter(folder, shard, size)
                 out.add(doc_id, encode(text.as_py()))
         if out:
             yield pa.record_batch([pa.array([x], pa.int64()) for x in (shard, *out.close())], names=["shard", "docs", "ids"])
@@ -166,7 +174,7 @@ def read_token_files(spark, folder: str, manifest: list[tuple[int, int, int]]) -
                 for doc_id, start, n in shard_file.documents():
                     crc = 0
                     for view in shard_file.span(start, n):
-                        crc = zlib.crc32(view, crc)
+                        crc = zlib.crc32(view.astype("<u4"), crc)
                     rows.append((doc_id, base + start, n, crc))
                     if len(rows) >= 10_000:
                         yield _rows(rows)
