@@ -136,8 +136,9 @@ def execute(p: Prepared, engine: str = "auto", order: list[str] | None = None, s
         stats = [frame_stats(f, exact=False) for f in frames]
         engine, found = choose_engine(atoms, [s.rows for s in stats], order, estimate_costs(order, atoms, stats), cells)
         shares = shares or found
+        engine = "plain" if engine == "levels" else engine
     after = _filter(p)
-    if engine in ("levels", "hash"):
+    if engine in ("levels", "hash", "plain"):
         out = run_levels(spark, frames, order, engine, driver, after, keep)
     elif engine == "pairwise":
         from .baselines import pairwise_frames

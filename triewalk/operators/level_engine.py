@@ -14,7 +14,8 @@ from ..plans.levels import Level, level_plan
 from ..plans.rewrite import KeyFrame
 from ..sources.scratch import cut
 
-HINTS = {"levels": "merge", "hash": "shuffle_hash", "auto": None}
+#: plain leaves the join algorithm to the optimizer.
+HINTS = {"levels": "merge", "hash": "shuffle_hash", "plain": None}
 
 
 def _hinted(df: DataFrame, hint: str | None) -> DataFrame:
@@ -58,18 +59,19 @@ def extend(prefix: DataFrame, frames: list[KeyFrame], level: Level, hint: str |
     cols = prefix.columns
     ways = len(level.participants)
     if ways > 1:
-        known = with_degrees(prefix, frames, level, hint)
+        # read once a branch, so it is written once; the prefix frame itself is read here only
         names = [f"deg{k}" for k in range(ways)]
+        known = with_degrees(prefix, frames, level, hint)
+        which = F.lit(ways - 1)
+        for k in reversed(range(ways - 1)):
+            which = F.when(F.col(names[k]) <= F.least(*(F.col(n) for n in names)), F.lit(k)).otherwise(which)
+        known = cut(known.withColumn("_least", which), "level-degrees")
         if driver == "global":
             sums = known.agg(*(F.sum(n) for n in names)).first()
-            pick = min(range(ways), key=lambda k: sums[k] or 0)
-            branches = [(pick, prefix)]
+            branches = [(min(range(ways), key=lambda k: sums[k] or 0), known.select(*cols))]
         else:
-            which = F.lit(ways - 1)
-            for k in reversed(range(ways - 1)):
-                which = F.when(F.col(names[k]) <= F.least(*(F.col(n) for n in names)), F.lit(k)).otherwise(which)
-            known = cut(known.withColumn("_least", which), "level-degrees")
-            branches = [(k, known.where(F.col("_least") == k).select(*cols)) for k in range(ways)]
+            present = [r[0] for r in known.select("_least").distinct().collect()]  # at most `ways` numbers
+            branches = [(k, known.where(F.col("_least") == k).select(*cols)) for k in present] or [(0, known.select(*cols))]
     else:
         branches = [(0, prefix)]
     out = None
@@ -95,9 +97,7 @@ def run_levels(spark: SparkSession, frames: list[KeyFrame], order: list[str], en
         prefix = first_level(frames, level, hint) if prefix is None else extend(prefix, frames, level, hint, driver)
         if after:
             prefix = after(prefix, order[: i + 1])
-        # a level reads its prefixes in each of its branches, so without a cut the plan doubles at every level
-        if i + 1 < len(plan) and (len(plan[i + 1].participants) > 1 or keep is not None):
-            prefix = cut(prefix, "level")
         if keep is not None:
+            prefix = cut(prefix, "level")
             keep.append(prefix)
     return prefix
