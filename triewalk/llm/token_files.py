@@ -68,14 +68,16 @@ class ShardWriter:
 
     def _flush(self, last: bool) -> None:
         flat = np.concatenate([np.empty(0, self.kind), *self.rest])
-        whole = len(flat) // SEQUENCE * SEQUENCE
-        for a in range(0, whole, SEQUENCE * ROWS_A_BATCH):
-            self._rows(flat[a : min(whole, a + SEQUENCE * ROWS_A_BATCH)], 0)
-        tail = flat[whole:]
-        if last and len(tail):
-            self._rows(np.concatenate([tail, np.zeros(SEQUENCE - len(tail), self.kind)]), SEQUENCE - len(tail))
-            tail = tail[:0]
-        self.rest, self.held = [tail.copy()], len(tail)
+        batch, padded = SEQUENCE * ROWS_A_BATCH, 0
+        if last:
+            padded = -len(flat) % SEQUENCE
+            flat = np.concatenate([flat, np.zeros(padded, self.kind)])
+        # only the last batch of a shard may be short: readers find a place by division
+        upto = len(flat) if last else len(flat) // batch * batch
+        for a in range(0, upto, batch):
+            end = min(upto, a + batch)
+            self._rows(flat[a:end], padded if end == len(flat) else 0)
+        self.rest, self.held = [flat[upto:].copy()], len(flat) - upto
 
     def _rows(self, flat: np.ndarray, padded: int) -> None:
         mask = np.ones(len(flat), bool)
