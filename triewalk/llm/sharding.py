@@ -2,7 +2,7 @@
 the shard where most of their group lies, as far as the shard's quota allows; then counts are made equal to one row.
 
 A group of equal texts is a node to which its rows are tied (a star, never all pairs). A group larger than an eighth
-of a quota is first cut, by row, into parts that fit, since no shard could hold it.
+of a quota (and than 32 rows) is first cut, by row, into parts that fit, since no shard could hold it.
 """
 
 from __future__ import annotations
@@ -106,7 +106,7 @@ def shard(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, id_col: s
     )
     rows = materialize(rows, "shard-rows")
     n = rows.count()
-    most = max(1, n // (shards * 8))
+    most = max(1, n // (shards * 8), min(n // shards, 32))
     groups = materialize(rows.groupBy("text_key").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1").select(F.col("text_key").alias("k"), "copies"), "shard-groups")
     joined = rows.join(groups, F.col("text_key") == F.col("k"), "left")
     piece = F.pmod(F.xxhash64("row_no"), F.ceil(F.col("copies") / most).cast("long"))
