@@ -58,5 +58,38 @@ def ascii_lower(text: Column) -> Column:
     return F.when(F.octet_length(text) == F.char_length(text), F.lower(text)).otherwise(F.translate(text, UPPER, LOWER))
 
 
+#: Bits of a bitmap: 2**26 in 2048 rows of 4096 bytes, so a broadcast is 8 MB whatever the input.
+BITMAP_BITS = 26
+
+
+def bitmap_slot(key: Column) -> Column:
+    """Position of a hashed key in the bitmap, from 1, which is where Spark's bitmap functions count from."""
+    return F.pmod(key, F.lit(1 << BITMAP_BITS)) + 1
+
+
+def bitmap_of(keys: DataFrame, key: Column, name: str) -> DataFrame:
+    """(bucket, bits) of the keys of a frame, written out; its size does not depend on the number of keys."""
+    slots = keys.select(bitmap_slot(key).alias("slot"))
+    return materialize(slots.groupBy(F.bitmap_bucket_number("slot").alias("_bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("_bits")), name)
+
+
+def marked(df: DataFrame, bitmap: DataFrame, key: Column, out: str) -> DataFrame:
+    """df with a flag: false where the key is surely not among the bitmap's; true for all that are, and for a few others by chance."""
+    at = F.bitmap_bit_position(bitmap_slot(key))
+    byte = F.conv(F.hex(F.substring("_bits", (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    bit = F.coalesce(F.getbit(byte, F.pmod(at, F.lit(8)).cast("int")) == 1, F.lit(False))
+    bitmap = bitmap.select(F.col("_bucket").alias("_bb"), "_bits")
+    return df.join(F.broadcast(bitmap), F.bitmap_bucket_number(bitmap_slot(key)) == F.col("_bb"), "left").withColumn(out, bit).drop("_bb", "_bits")
+
+
+def without_ids(df: DataFrame, gone: DataFrame, id_col: str) -> DataFrame:
+    """The rows of df whose id is not in gone (one column). Only rows that the bitmap of gone marks are shuffled for the
+    anti join; all others pass as they are, with their texts."""
+    gone = gone.select(F.col(gone.columns[0]).alias("_gone_id"))
+    flagged = marked(df, bitmap_of(gone, F.xxhash64("_gone_id"), "gone-bitmap"), F.xxhash64(F.col(id_col)), "_maybe")
+    rest = flagged.where("not _maybe").select(*df.columns)
+    return rest.unionByName(flagged.where("_maybe").select(*df.columns).join(gone, F.col(id_col).eqNullSafe(F.col("_gone_id")), "left_anti"))
+
+
 def total_partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))

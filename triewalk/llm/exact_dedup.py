@@ -10,22 +10,19 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, materialize
+from .common import ascii_lower, bitmap_of, marked, materialize
 
-#: Bits of the bitmap: 2**24 in 512 rows of 4096 bytes, so the broadcast is 2 MB whatever the input.
-BITMAP_BITS = 24
 PREFIX_CHARS = 256
 
 
-def _slot(key: Column) -> Column:
-    """Position of a key in the bitmap, from 1, which is where Spark's bitmap functions count from."""
-    return F.pmod(key, F.lit(1 << BITMAP_BITS)) + 1
+def _prefix_key(text: Column) -> Column:
+    return F.xxhash64(F.octet_length(text), ascii_lower(F.substring(text, 1, PREFIX_CHARS)))
 
 
-def _bit(bitmap: Column, slot: Column) -> Column:
-    at = F.bitmap_bit_position(slot)
-    byte = F.conv(F.hex(F.substring(bitmap, (at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    return F.coalesce(F.getbit(byte, F.pmod(at, F.lit(8)).cast("int")) == 1, F.lit(False))
+def _repeated_prefixes(rows: DataFrame) -> DataFrame:
+    """Bitmap of the (length, prefix) keys that more than one row has."""
+    again = rows.groupBy("prefix_key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    return bitmap_of(again, F.col("prefix_key"), "dedup-bitmap")
 
 
 def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
@@ -35,16 +32,8 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     group. Of a group the row with the largest id stays (a null id is below all others); of rows that repeat both text
     and id exactly one is kept. Other columns of docs are not read. An empty table gives an empty result.
     """
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(F.col(id_col).alias("doc_id"), text.alias("raw")).select(
-        "doc_id", "raw", F.xxhash64(F.octet_length("raw"), ascii_lower(F.substring("raw", 1, PREFIX_CHARS))).alias("prefix_key")
-    )
-    repeated = rows.groupBy("prefix_key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(_slot(F.col("prefix_key")).alias("slot"))
-    bitmap = repeated.groupBy(F.bitmap_bucket_number("slot").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("slot")).alias("bits"))
-    bitmap = materialize(bitmap, "dedup-bitmap")
-
-    slot = _slot(F.col("prefix_key"))
-    tested = rows.withColumn("bucket", F.bitmap_bucket_number(slot)).join(F.broadcast(bitmap), "bucket", "left").withColumn("maybe", _bit(F.col("bits"), slot))
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("raw")).withColumn("prefix_key", _prefix_key(F.col("raw")))
+    tested = marked(rows, _repeated_prefixes(rows), F.col("prefix_key"), "maybe")
     whole = F.sha2(ascii_lower(F.col("raw")), 256)
     narrow = tested.select(
         "doc_id",
@@ -77,10 +66,16 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs that exact_groups keeps, with all their columns; of rows that repeat text and id, one stays.
 
-    Only ids of copies are joined against docs: rows that are no copies have no partner and pass.
+    Rows of a text with copies are told from the rest by a bitmap of their full hashes: only they are shuffled, with their texts.
     """
-    verdict = exact_groups(docs, id_col, text_col, digest=True)
-    kept = verdict.where("kept").select(F.col("doc_id").alias("_kept_id"), F.col("text_sha256").alias("_kept_sha")).distinct()
-    keyed = docs.withColumn("_sha", F.sha2(ascii_lower(F.coalesce(F.col(text_col), F.lit(""))), 256))
-    same = F.col(id_col).eqNullSafe(F.col("_kept_id")) & (F.col("_sha") == F.col("_kept_sha"))
-    return keyed.join(kept, same, "left_semi").dropDuplicates([id_col, "_sha"]).drop("_sha")
+    verdict = materialize(exact_groups(docs, id_col, text_col, digest=True).where("group_size > 1"), "dedup-verdict")
+    sha = F.sha2(ascii_lower(F.coalesce(F.col(text_col), F.lit(""))), 256)
+    keyed = docs.withColumn("_sha", sha)
+    flagged = marked(keyed, bitmap_of(verdict, F.xxhash64("text_sha256"), "copies-bitmap"), F.xxhash64("_sha"), "_maybe")
+    alone = flagged.where("not _maybe").select(*docs.columns)
+    copied = verdict.groupBy("text_sha256").agg(F.max("keep_id").alias("_kept_id")).withColumnRenamed("text_sha256", "_hash")
+    among = flagged.where("_maybe").drop("_maybe").join(materialize(copied, "dedup-kept"), F.col("_sha") == F.col("_hash"), "left")
+    # a marked row without copies finds no partner and stays
+    stay = among.where(F.col("_hash").isNull() | F.col(id_col).eqNullSafe(F.col("_kept_id")))
+    one = stay.where("_hash is null").select(*docs.columns).unionByName(stay.where("_hash is not null").dropDuplicates(["_sha"]).select(*docs.columns))
+    return alone.unionByName(one)
