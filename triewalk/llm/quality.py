@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import materialize, without_ids
 
 ALPHA, DELTA = 0.025, 0.05
 #: Multiples of the reference cutoffs, from lax to strict.
@@ -146,5 +146,5 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
 def keep_good(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum_col: str = "lang") -> DataFrame:
     """The rows of docs that judge keeps, all columns as they are. A repeated id stays only if all its rows are kept."""
-    gone = judge(docs, labels, id_col, text_col, stratum_col).where("not kept").select(F.col("doc_id").alias("_gone_id")).distinct()
-    return docs.join(gone, F.col(id_col).eqNullSafe(F.col("_gone_id")), "left_anti")
+    gone = judge(docs, labels, id_col, text_col, stratum_col).where("not kept").select("doc_id").distinct()
+    return without_ids(docs, materialize(gone, "quality-gone"), id_col)
