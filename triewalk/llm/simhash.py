@@ -23,13 +23,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import golay
-from .common import materialize, total_partitions
+from .common import bitmap_of, marked, materialize, total_partitions, without_ids
 from .components import components
 
 SEED = 42
 MAX_BITS = 3
-#: The sampled plan: 64-bit words of a fingerprint, tables, bits taken as they are, and most differing bits of the first 128.
-WIDE, TABLES, PLAIN_BITS, WIDE_BITS = 4, 24, 8, 34
+#: The sampled plan: 64-bit words of a fingerprint, tables, bits taken as they are, and most differing bits of the first 64.
+WIDE, TABLES, PLAIN_BITS, WIDE_BITS = 4, 24, 8, 17
 SHINGLE, SIMILARITY = 5, 0.8
 #: Rows that a block of comparisons holds on each side.
 BLOCK = 2048
@@ -185,11 +185,12 @@ def bucket_links(rows: DataFrame, carried: int, most: int) -> DataFrame:
 
         def settle(table: np.ndarray) -> pa.RecordBatch | None:
             """table: whole buckets, sorted by key."""
+            table = table[np.lexsort((table[:, 1], table[:, 0]))]  # by id in a bucket, so that buckets of the same rows choose the same links
             key = table[:, 0]
             new = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
             size = np.diff(np.r_[new, len(key)])
             ids, fp = table[:, 1], np.ascontiguousarray(table[:, 2:]).view(np.uint64)
-            found = []
+            found, near = [], []
             # small buckets, all at once: each row against the next ones of its bucket
             last = np.repeat(new + size, size)
             small = np.repeat(size <= 16, size)
@@ -199,8 +200,10 @@ def bucket_links(rows: DataFrame, carried: int, most: int) -> DataFrame:
                 if not len(at):
                     break
                 d = sum(np.bitwise_count(fp[at, k] ^ fp[at + step, k]).astype(np.int16) for k in range(carried))
-                hit = at[d <= most]
-                found.append(np.stack([ids[hit], ids[hit + step]], axis=1))
+                hit = d <= most
+                near.append(np.stack([d[hit].astype(np.int64), at[hit], at[hit] + step], axis=1))
+            if near:
+                found.append(ids[_spanning(np.concatenate(near), len(table))[:, 1:]])
             for a, n in zip(new[size > 16].tolist(), size[size > 16].tolist(), strict=True):
                 pairs = np.array(close_pairs(fp[a : a + n], most), dtype=np.int64).reshape(-1, 2)
                 found.append(ids[a + pairs])
@@ -257,13 +260,16 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     prints = materialize(fingerprints(docs.where(F.col(id_col).isNotNull()), size, WIDE, True, id_col, text_col), "similar-prints")
     fps = [f"fp{k}" for k in range(WIDE)]
     classes = materialize(prints.groupBy(*fps).agg(F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("n")), "similar-classes")
-    apart = bucket_links(key_rows(classes, "sampled", WIDE, 2), 2, WIDE_BITS)
+    apart = bucket_links(key_rows(classes, "sampled", WIDE, 1), 1, WIDE_BITS)
     same = [F.col(f"p.{x}") == F.col(f"c.{x}") for x in fps]
     alike = prints.alias("p").join(classes.where("n > 1").alias("c"), same).where("doc_id != id").select(F.col("id").alias("a"), F.col("doc_id").alias("b"))
     found = materialize(apart.unionByName(alike), "similar-candidates")
 
     wanted = found.select(F.col("a").alias("w")).unionByName(found.select(F.col("b").alias("w"))).distinct()
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).join(wanted, F.col("id") == F.col("w"), "left_semi")
+    wanted = materialize(wanted, "similar-wanted")
+    named = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    # only texts that the bitmap of wanted ids marks are shuffled
+    texts = marked(named, bitmap_of(wanted, F.xxhash64("w"), "similar-bitmap"), F.xxhash64("id"), "_maybe").where("_maybe").select("id", "text").join(wanted, F.col("id") == F.col("w"), "left_semi")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -288,5 +294,4 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs without those whose component of similar texts has a lesser id, all columns as they are."""
     roots = components(materialize(similar_links(docs, id_col, text_col), "similar-links"))
-    gone = roots.where("id != root").select(F.col("id").alias("_gone_id"))
-    return docs.join(gone, F.col(id_col) == F.col("_gone_id"), "left_anti")
+    return without_ids(docs, materialize(roots.where("id != root").select("id"), "similar-gone"), id_col)
