@@ -361,6 +361,10 @@ def test_licenses(spark, awkward):
     r = licenses.scan_licenses(awkward).where("doc_id = 9").first()
     assert (r["n_words"], r["n_base"], r["first_word"], r["last_word"], r["base_labels"]) == (4, 1, 0, 0, "mit")
     assert licenses.scan("日本語 é1")["n_words"] == 2
+    long = licenses.scan("SPDX-License-Identifier: " + " or ".join(["MIT"] * 5000) + "\n" + "cc by nc text " * 30000)
+    assert long["own"] == {"mit"} and licenses.satisfied(long["expressions"][0], {"mit"}) and not licenses.satisfied(long["expressions"][0], {"isc"})
+    words = 3 + 2 * 5000 - 1
+    assert [w for w, _ in long["places"]] == [words + 4 * i for i in range(30000)]
 
 
 def test_language_id(docs):

@@ -94,19 +94,33 @@ def parse_expression(source: str) -> tuple:
     return values[0]
 
 
+def _nodes(tree: tuple) -> list[tuple]:
+    """The nodes of an expression that count, each before its operands; the exception after `with` is no licence. Without recursion:
+    a line of many operators makes a deep tree."""
+    out, waiting = [], [tree]
+    while waiting:
+        node = waiting.pop()
+        out.append(node)
+        if node[0] != "id":
+            waiting += node[1:2] if node[0] == "with" else node[1:]
+    return out
+
+
 def labels_of(tree: tuple) -> set[str]:
-    """Labels that an expression names; the exception after `with` is no licence."""
-    if tree[0] == "id":
-        return {IDENTIFIERS.get(tree[1], tree[1])}
-    return labels_of(tree[1]) | (labels_of(tree[2]) if tree[0] != "with" else set())
+    """Labels that an expression names."""
+    return {IDENTIFIERS.get(node[1], node[1]) for node in _nodes(tree) if node[0] == "id"}
 
 
 def satisfied(tree: tuple, allowed: set[str]) -> bool:
     """Whether the allowed labels meet an expression: `or` leaves a choice, `and` needs both, `with` needs the licence before it."""
-    if tree[0] == "id":
-        return IDENTIFIERS.get(tree[1], tree[1]) in allowed
-    left = satisfied(tree[1], allowed)
-    return left if tree[0] == "with" else (left or satisfied(tree[2], allowed)) if tree[0] == "or" else (left and satisfied(tree[2], allowed))
+    values: list[bool] = []
+    for node in reversed(_nodes(tree)):
+        if node[0] == "id":
+            values.append(IDENTIFIERS.get(node[1], node[1]) in allowed)
+        elif node[0] != "with":
+            right, left = values.pop(), values.pop()
+            values.append(left or right if node[0] == "or" else left and right)
+    return values[0]
 
 
 @lru_cache(maxsize=1)
@@ -116,7 +130,7 @@ def _automaton():
     found = ahocorasick.Automaton()
     for kind, phrases in (("base", {k: (v, 0.95) for k, v in BASE.items()}), ("notice", NOTICES), ("tag", {TAG: ("", 1.0)})):
         for phrase, (label, sure) in phrases.items():
-            found.add_word(f" {phrase} ", (kind, phrase.count(" ") + 1, len(phrase) + 2, label, sure))
+            found.add_word(f" {phrase} ", (kind, phrase.count(" ") + 1, label, sure))
     found.make_automaton()
     return found
 
@@ -129,14 +143,16 @@ def scan(text: str | None) -> dict:
     words = text.encode("utf-8", "surrogatepass").translate(_WORDS).split()
     out["n_words"] = len(words)
     line = " " + b" ".join(words).decode("utf-8", "replace") + " "
-    doubt, tagged = 1.0, False
-    for end, (kind, _, size, label, sure) in _automaton().iter(line):
+    doubt, tagged, blanks, counted = 1.0, False, 0, 0
+    for end, (kind, n, label, sure) in _automaton().iter(line):
         if kind == "tag":
             tagged = True
             continue
         doubt *= 1 - sure
         if kind == "base":
-            out["places"].append((line.count(" ", 0, end - size + 1), label))
+            # ends come in ascending order, so blanks are counted once; the phrase has one more than it has words
+            blanks, counted = blanks + line.count(" ", counted, end + 1), end + 1
+            out["places"].append((blanks - n - 1, label))
             out["base"].add(label)
         else:
             out["own"].add(label)
