@@ -94,3 +94,8 @@ def test_delta_stream(spark, days, tmp_path):
     whole = spark.read.parquet(days).selectExpr("user_id as u", "event_id % 15 as v")
     assert sink.batches == 3
     assert got(sink.answers(spark)) == got(run("Q(a,b,c) :- E(a,b), E(b,c)", {"E": whole}))
+
+
+def test_streamed_answers_of_no_rows(spark):
+    none = spark.createDataFrame([], "u long, v long")
+    assert got(streams.streamed_answers("Q(a,b,c) :- E(a,b), E(b,c)", "E", none, 2)) == []

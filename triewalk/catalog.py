@@ -618,4 +618,10 @@ def delta_events(s, d):
     return run(q, old, "levels").unionByName(streams.delta_answers(q, old, new))
 
 
+@named("stream_hop_delta", HOP3.format(e="hop"), "hop")
+def stream_hop_delta(s, d):
+    """Triangles of hops that arrive in three batches: each batch adds the answers that its own edges close."""
+    return W.longs(streams.streamed_answers("Q(a,b,c) :- E(a,b), E(b,c), E(a,c)", "E", relation(s, d, "hop"), 3), ["a", "b", "c"])
+
+
 __all__ = ["ORACLES", "QUERIES", "KeyFrame", "Prepared"]

@@ -19,12 +19,18 @@ def scratch_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
+def fresh_path(spark: SparkSession, name: str) -> str:
+    """A path of its own in the shared folder, removed when the driver ends."""
+    path = f"{scratch_dir(spark)}/triewalk/{name}-{uuid.uuid4().hex}"
+    atexit.register(_drop, spark, path)
+    return path
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """df written as Parquet and read back."""
     spark = df.sparkSession
-    path = f"{scratch_dir(spark)}/triewalk/{name}-{uuid.uuid4().hex}"
+    path = fresh_path(spark, name)
     df.write.parquet(path)
-    atexit.register(_drop, spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 

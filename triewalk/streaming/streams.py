@@ -12,6 +12,7 @@ from ..operators.engine import Prepared, execute
 from ..plans.ir import JoinQuery
 from ..plans.parse import rule
 from ..plans.rewrite import KeyFrame, key_frame, variable_types
+from ..sources.scratch import fresh_path
 
 
 def stream_files(spark: SparkSession, path: str, schema, per_trigger: int = 1) -> DataFrame:
@@ -46,6 +47,7 @@ class DeltaQuery:
 
     def __init__(self, q: str, name: str, make: Callable[[DataFrame], DataFrame], folder: str):
         self.q, self.name, self.make, self.folder = q, name, make, folder
+        self.batches = 0
 
     def _read(self, spark: SparkSession, kind: str, upto: int, schema) -> DataFrame:
         parts = [f"{self.folder}/{kind}/{i}" for i in range(upto)]
@@ -66,6 +68,21 @@ class DeltaQuery:
         return self._read(spark, "answers", self.batches, self.schema)
 
 
+def streamed_answers(q: str, name: str, rows: DataFrame, batches: int) -> DataFrame:
+    """Answers of a rule over one relation whose rows arrive as a stream of about that many batches, by delta queries.
+
+    Rows are laid down in the shared folder and read as a file stream; state, answers and the stream's checkpoint stay there too,
+    so a lost executor or a restarted batch changes nothing.
+    """
+    spark = rows.sparkSession
+    folder = fresh_path(spark, "stream")
+    rows.repartition(batches).write.parquet(f"{folder}/in")
+    sink = DeltaQuery(q, name, lambda batch: batch, f"{folder}/state")
+    writer = stream_files(spark, f"{folder}/in", rows.schema).writeStream.foreachBatch(sink)
+    writer.option("checkpointLocation", f"{folder}/progress").trigger(availableNow=True).start().awaitTermination()
+    return sink.answers(spark)
+
+
 def windowed_counts(df: DataFrame, kind: str, ts: str = "ts", keys: tuple[str, ...] = (), size: str = "1 day", slide: str | None = None, late: str | None = None) -> DataFrame:
     """Counts by tumbling, sliding or session windows; with a watermark if `late` is given. For batches and streams."""
     df = df.withWatermark(ts, late) if late else df
