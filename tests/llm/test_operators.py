@@ -304,6 +304,38 @@ def test_similar_links(spark):
     assert sorted(r["doc_id"] for r in simhash.drop_near_copies(df).collect()) == [i for i in range(n) if i % 3 != 1]
 
 
+def test_similar_links_lose_no_component(spark):
+    # the one true link of a stands beside many close copies of c at 0.79 to a
+    rng = random.Random(3)
+    rows, expected, n = [], {}, 0
+    for _ in range(12):
+        a = [f"w{rng.randint(0, 10**6)}" for _ in range(304)]
+        c = list(a)
+        for k in range(6):
+            c[20 + 45 * k] = f"c{rng.randint(0, 10**6)}"
+        rows.append((n, " ".join(a)))
+        rows.append((n + 1, " ".join(c)))
+        for k in range(30):
+            x = list(c)
+            x[rng.choice([5, 40, 85, 130, 175, 220, 280])] = f"x{rng.randint(0, 10**6)}"
+            rows.append((n + 2 + k, " ".join(x)))
+        n += 32
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert_components_as_by_brute_force(df, rows)
+
+
+def assert_components_as_by_brute_force(df, rows):
+    sets = {i: set(simhash.shingle_hashes(t, simhash.SHINGLE).tolist()) for i, t in rows}
+    true = {(i, j) for i in sets for j in sets if i < j and len(sets[i] & sets[j]) >= simhash.SIMILARITY * len(sets[i] | sets[j]) > 0}
+    links = {tuple(r) for r in simhash.similar_links(df).collect()}
+    assert links <= true
+    forest, wanted = simhash.Forest(len(rows)), simhash.Forest(len(rows))
+    for f, pairs in ((forest, links), (wanted, true)):
+        for i, j in sorted(pairs):
+            f.join(i, j)
+    assert [forest.root(i) for i in range(len(rows))] == [wanted.root(i) for i in range(len(rows))]
+
+
 def test_components(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(30)] + [(100, 101), (101, 100), (7, 7)], "a long, b long")
     assert dict(got(components(links))) == {**dict.fromkeys(range(31), 0), 100: 100, 101: 100}

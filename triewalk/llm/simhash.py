@@ -6,7 +6,9 @@ tolerates two errors. Two plans of keys:
 
 - exact: for at most three differing bits of 64. Of four 16-bit segments one has no error; of the halves of the other 48
   bits one has at most one. Eight tables of (segment, half's codewords) therefore meet every such pair.
-- sampled: for texts of a given share of common shingles. Wide fingerprints, many tables of bits drawn by a fixed rule.
+- sampled: for texts of a given share of common shingles. Wide fingerprints, many tables of bits drawn by a fixed rule. What
+  these leave apart is met without chance: sets of so large a common share have a shingle in common among the first few of
+  each in any one order, so texts of different components that share such a shingle are compared too, every pair of them.
 
 Rows with a common key meet in one task, which compares fingerprints in blocks and passes on a least spanning forest of
 the pairs that are close enough: fewer links than rows, and no link between components is lost. Components are then formed by joins.
@@ -31,6 +33,8 @@ MAX_BITS = 3
 #: The sampled plan: 64-bit words of a fingerprint, tables, bits taken as they are, and most differing bits of the first 64.
 WIDE, TABLES, PLAIN_BITS, WIDE_BITS = 4, 24, 8, 17
 SHINGLE, SIMILARITY = 5, 0.8
+#: Common shingles stand last in the order of prefixes: the most frequent ones in one of so many texts. Only the order, never a result, depends on them.
+COMMON, COMMON_ONE_IN = 1 << 15, 16
 #: Rows that a block of comparisons holds on each side.
 BLOCK = 2048
 
@@ -251,23 +255,137 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(named, prints["fp0"] == named["print"]).select("doc_id", F.lpad(F.lower(F.hex("fp0")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
-    """(a, b) links between ids whose sets of shingles have at least the given share in common, by the sampled plan.
+def common_shingles(docs: DataFrame, size: int) -> np.ndarray:
+    """Hashes of at most COMMON shingles that several of the looked-at texts of docs (id, text) hold, the rarest first."""
 
-    Candidates come from the keys and wide fingerprints; each link that is returned has been compared on the whole sets
-    of shingles. Ids must be distinct; rows of null id or of no words are not linked.
-    """
-    prints = materialize(fingerprints(docs.where(F.col(id_col).isNotNull()), size, WIDE, True, id_col, text_col), "similar-prints")
-    fps = [f"fp{k}" for k in range(WIDE)]
-    classes = materialize(prints.groupBy(*fps).agg(F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("n")), "similar-classes")
-    apart = bucket_links(key_rows(classes, "sampled", WIDE, 1), 1, WIDE_BITS)
-    same = [F.col(f"p.{x}") == F.col(f"c.{x}") for x in fps]
-    alike = prints.alias("p").join(classes.where("n > 1").alias("c"), same).where("doc_id != id").select(F.col("id").alias("a"), F.col("doc_id").alias("b"))
-    found = materialize(apart.unionByName(alike), "similar-candidates")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for text in b.column(0):
+                yield pa.record_batch([pa.array(np.unique(shingle_hashes(text.as_py(), size)).view(np.int64))], names=["shingle"])
+
+    some = docs.where(F.pmod(F.xxhash64("id"), F.lit(COMMON_ONE_IN)) == 0).select("text").mapInArrow(run, "shingle long")
+    top = some.groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1").orderBy(F.col("n").desc(), "shingle").limit(COMMON).collect()
+    return np.array([r["shingle"] for r in reversed(top)], dtype=np.int64).view(np.uint64)
+
+
+def prefix(hashes: np.ndarray, similarity: float, common: np.ndarray, order: np.ndarray) -> np.ndarray:
+    """The first shingles of a set in the order of all: by hash, then the common ones, rarest first. Two sets with the given
+    share in common have one of them in common. common: sorted; order: the place of each among the common ones."""
+    if len(common) and len(hashes):
+        at = np.minimum(np.searchsorted(common, hashes), len(common) - 1)
+        place = np.where(common[at] == hashes, order[at] + 1, 0)
+        hashes = hashes[np.lexsort((hashes, place))]
+    return hashes[: len(hashes) - least_common(len(hashes), similarity) + 1] if len(hashes) else hashes
+
+
+def least_common(n: int, similarity: float) -> int:
+    """Least shingles that a set of n shares with any set of the given similarity."""
+    return max(1, int(np.ceil(similarity * n - 1e-6)))
+
+
+def similar_prints(docs: DataFrame, size: int, similarity: float) -> DataFrame:
+    """doc_id, fp0, ..., n, prefix (hashes as bytes) of docs (id, text): all that the search needs from a text, in one reading."""
+    ranked = common_shingles(docs, size)
+    order = np.argsort(ranked)
+    common = docs.sparkSession.sparkContext.broadcast((ranked[order], order))
+    names = ["doc_id", *(f"fp{k}" for k in range(WIDE)), "n", "prefix"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            out = np.zeros((b.num_rows, WIDE), dtype=np.uint64)
+            sizes, firsts = [], []
+            for i, text in enumerate(b.column(1)):
+                h = np.unique(shingle_hashes(text.as_py(), size))
+                for k in range(WIDE):
+                    out[i, k] = votes(spread(h, k))
+                sizes.append(len(h))
+                firsts.append(prefix(h, similarity, *common.value).tobytes())
+            yield pa.record_batch([b.column(0), *(pa.array(out[:, k].view(np.int64)) for k in range(WIDE)), pa.array(sizes, pa.int64()), pa.array(firsts, pa.binary())], names=names)
+
+    return docs.mapInArrow(run, ", ".join(f"{x} {'binary' if x == 'prefix' else 'long'}" for x in names))
+
+
+def prefix_pairs(rooted: DataFrame, similarity: float) -> DataFrame:
+    """(a, b), distinct: ids of different root whose prefixes share a shingle and whose sizes and places in the order do not
+    rule the given similarity out. rooted: id, root, n, prefix. No pair of that similarity and different root is left out."""
+    names = ["shingle", "id", "root", "n", "place"]
+
+    def explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            firsts = [np.frombuffer(x, dtype=np.int64) for x in b.column(3).to_pylist()]
+            times = np.array([len(x) for x in firsts], dtype=np.int64)
+            ends = np.cumsum(times)
+            for lo in range(0, b.num_rows, 1024):
+                hi = min(lo + 1024, b.num_rows)
+                at = np.repeat(np.arange(lo, hi), times[lo:hi])
+                place = np.arange(len(at)) - np.repeat(ends[lo:hi] - times[lo:hi] - (ends[lo - 1] if lo else 0), times[lo:hi])
+                columns = [np.concatenate(firsts[lo:hi]), *(b.column(k).to_numpy(zero_copy_only=False)[at] for k in range(3)), place]
+                yield pa.record_batch([pa.array(c) for c in columns], names=names)
+
+    def possible(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """Rows as (..., id, root, n, place). Holds at the first shingle in common, so nothing is lost if it fails at others."""
+        n, m = x[..., 2], y[..., 2]
+        left = np.minimum(n - x[..., 3], m - y[..., 3])
+        need = similarity / (1 + similarity) * (n + m) - 1e-6
+        return (x[..., 1] != y[..., 1]) & (np.minimum(n, m) >= similarity * np.maximum(n, m) - 1e-6) & (left >= need)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []
 
+        def pairs(found: list[np.ndarray]) -> pa.RecordBatch:
+            links = np.unique(np.sort(np.concatenate([np.empty((0, 2), np.int64), *found]), axis=1), axis=0)
+            return pa.record_batch([pa.array(links[:, 0].copy()), pa.array(links[:, 1].copy())], names=["a", "b"])
+
+        def settle(table: np.ndarray) -> Iterator[pa.RecordBatch]:
+            """table: all rows of its shingles, sorted by shingle."""
+            new = np.flatnonzero(np.r_[True, table[1:, 0] != table[:-1, 0]])
+            size = np.diff(np.r_[new, len(table)])
+            rows, found = table[:, 1:], []
+            last = np.repeat(new + size, size)
+            at = np.flatnonzero(np.repeat((size > 1) & (size <= 16), size))
+            for step in range(1, 16):
+                at = at[at + step < last[at]]
+                if not len(at):
+                    break
+                hit = at[possible(rows[at], rows[at + step])]
+                found.append(np.stack([rows[hit, 0], rows[hit + step, 0]], axis=1))
+            yield pairs(found)
+            for start, n in zip(new[size > 16].tolist(), size[size > 16].tolist(), strict=True):
+                group = rows[start : start + n]
+                if (group[:, 1] == group[0, 1]).all():
+                    continue
+                group = group[np.argsort(group[:, 2], kind="stable")]  # by size, so that blocks too far apart end the search
+                for i in range(0, n, BLOCK):
+                    x = group[i : i + BLOCK]
+                    for j in range(i, n, BLOCK):
+                        y = group[j : j + BLOCK]
+                        if x[-1, 2] < similarity * y[0, 2] - 1e-6:
+                            break
+                        p, q = np.nonzero(possible(x[:, None], y[None]))
+                        keep = i + p < j + q
+                        if keep.any():
+                            yield pairs([np.stack([x[p[keep], 0], y[q[keep], 0]], axis=1)])
+
+        for b in batches:
+            held.append(np.stack([c.to_numpy(zero_copy_only=False) for c in b.columns], axis=1))
+            if sum(map(len, held)) >= 100_000:
+                table = np.concatenate(held)
+                end = int(np.searchsorted(table[:, 0], table[-1, 0]))  # the last shingle may go on
+                held = [table[end:]]
+                if end:
+                    yield from settle(table[:end])
+        if held and sum(map(len, held)):
+            yield from settle(np.concatenate(held))
+
+    rows = rooted.select("id", "root", "n", "prefix").mapInArrow(explode, ", ".join(f"{x} long" for x in names))
+    dealt = rows.repartition(total_partitions(rows.sparkSession), "shingle").sortWithinPartitions("shingle")
+    return dealt.mapInArrow(run, "a long, b long").distinct()
+
+
+def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
+    """The pairs of found (a, b) whose sets of shingles have the given share in common. named: id, text."""
     wanted = found.select(F.col("a").alias("w")).unionByName(found.select(F.col("b").alias("w"))).distinct()
     wanted = materialize(wanted, "similar-wanted")
-    named = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     # only texts that the bitmap of wanted ids marks are shuffled
     texts = marked(named, bitmap_of(wanted, F.xxhash64("w"), "similar-bitmap"), F.xxhash64("id"), "_maybe").where("_maybe").select("id", "text").join(wanted, F.col("id") == F.col("w"), "left_semi")
 
@@ -291,6 +409,30 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     return found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(compare, "a long, b long")
 
 
+def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
+    """(a, b) links between ids whose sets of shingles have at least the given share in common; ids are connected by links
+    just when pairs of that similarity connect them.
+
+    Keys and wide fingerprints find most links by the sampled plan, some by chance not. Then all pairs between the
+    components so far whose prefixes share a shingle are compared, so none is left. Each link that is returned has been
+    compared on the whole sets of shingles. Ids must be distinct; rows of null id or of no words are not linked.
+    """
+    named = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    prints = materialize(similar_prints(named, size, similarity), "similar-prints")
+    fps = [f"fp{k}" for k in range(WIDE)]
+    classes = materialize(prints.groupBy(*fps).agg(F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("n")), "similar-classes")
+    apart = bucket_links(key_rows(classes, "sampled", WIDE, 1), 1, WIDE_BITS)
+    same = [F.col(f"p.{x}") == F.col(f"c.{x}") for x in fps]
+    alike = prints.alias("p").join(classes.where("n > 1").alias("c"), same).where("doc_id != id").select(F.col("id").alias("a"), F.col("doc_id").alias("b"))
+    found = materialize(apart.unionByName(alike), "similar-candidates")
+    links = materialize(verified(found, named, size, similarity), "similar-met")
+
+    roots = components(links).select(F.col("id").alias("_i"), "root")
+    rooted = prints.select(F.col("doc_id").alias("id"), "n", "prefix").join(roots, F.col("id") == F.col("_i"), "left")
+    rest = materialize(prefix_pairs(rooted.withColumn("root", F.coalesce("root", "id")), similarity), "similar-rest")
+    return links.unionByName(verified(rest, named, size, similarity))
+
+
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs without those whose component of similar texts has a lesser id, all columns as they are."""
     roots = components(materialize(similar_links(docs, id_col, text_col), "similar-links"))
