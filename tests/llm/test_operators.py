@@ -139,6 +139,23 @@ def test_mix(spark, docs, awkward):
     assert got(mix(docs)) == got(mix(docs.repartition(5)))
 
 
+def test_repeat_mixed_meets_targets(spark, docs):
+    # documents of many blocks each: a block of these tables is a word or so
+    rng = random.Random(6)
+    made = spark.createDataFrame([(i, "w " * int(20 + rng.paretovariate(1.1) * 40), f"s{i % 6}") for i in range(3000)], "doc_id long, text string, source string")
+    for df in (docs, made):
+        size = {r["doc_id"]: len((r["text"] or "").encode().split()) for r in df.collect()}
+        source = {r["doc_id"]: r["source"] for r in df.collect()}
+        target = {source[r["doc_id"]]: r["target"] for r in mix(df).collect()}
+        kept, longest = Counter(), Counter()
+        for i, s in source.items():
+            longest[s] = max(longest[s], size[i])
+        for r in repeat_mixed(df).select("doc_id", "source").collect():
+            kept[r["source"]] += size[r["doc_id"]]
+        for s, t in target.items():
+            assert abs(kept[s] - t) <= 0.01 * t + longest[s], (s, kept[s], t)
+
+
 def test_shard(docs, awkward):
     for df in (docs, awkward):
         rows = shard(df).collect()

@@ -19,6 +19,9 @@ BLOCKS = 1 << 16
 BUCKETS = 1024
 WEIGHTS = (5.0, 2.0, 1.0)
 MOST_COPIES = 3
+#: Shares of a document are counted in units of 1 / WHOLE; size classes are half powers of two.
+WHOLE = 1 << 20
+SIZE_CLASSES = 64
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -72,6 +75,11 @@ def mix(docs: DataFrame, seed: int = 7, id_col: str = "doc_id", text_col: str =
     Rows that are the same are interchangeable. The number of sources is taken as bounded (sources x 1024 rows are
     broadcast). An empty table gives an empty result. Other columns are not read.
     """
+    return mixed_rows(docs, seed, id_col, text_col, source_col, weights, blocks).drop("source")
+
+
+def mixed_rows(docs: DataFrame, seed: int, id_col: str, text_col: str, source_col: str, weights: tuple[float, ...] = WEIGHTS, blocks: int = BLOCKS) -> DataFrame:
+    """The rows of mix, with their source."""
     rows = materialize(sized(docs, id_col, text_col, source_col), "mix-sizes")
     targets = materialize(source_targets(rows, weights), "mix-targets")
     plan = award_blocks(targets, seed, blocks)
@@ -91,16 +99,27 @@ def mix(docs: DataFrame, seed: int = 7, id_col: str = "doc_id", text_col: str =
         placed = placed.withColumn(f"b_{at}", block).join(F.broadcast(right), F.col("source").eqNullSafe(F.col(f"s_{at}")) & (F.col(f"b_{at}") == F.col(f"k_{at}")), "left")
     upto = lambda at, x: F.col(f"chosen_{at}") * F.col("block") + F.col(f"times_{at}") * (F.col(x) - F.col(f"b_{at}") * F.col("block"))
     taken = F.when(F.col("size") > 0, upto("z", "end") - upto("a", "begin")).otherwise(0)
-    return placed.select("doc_id", "size", "source_size", "target", F.coalesce(taken, F.lit(0)).cast("long").alias("taken"))
+    return placed.select("doc_id", "source", "size", "source_size", "target", F.coalesce(taken, F.lit(0)).cast("long").alias("taken"))
 
 
 def repeat_mixed(docs: DataFrame, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """The rows of docs as often as the mix takes them: taken / size times, rounded, all columns as they are.
+    """The rows of docs as often as the mix takes them, in whole documents, all columns as they are.
 
-    A row of which the mix takes less than half stays out, and so do rows of no words. Of rows that repeat an id, each
-    comes as often as the one with the most words taken.
+    A source's documents stand in order of size class; the shares taken / size are summed up in that order, and a document
+    comes as often as the sum, from one half on, passes a whole number. So the copies of any run of the order are right to one, and as
+    sizes hardly differ along it, a source's words come to what the mix takes, whatever the size of blocks and documents.
+    Rows of no words stay out. Rows that repeat id and source count as one document, of all their words.
     """
-    taken = mix(docs, seed, id_col, text_col, source_col).where("taken > 0")
-    times = taken.groupBy(F.col("doc_id").alias("_mixed_id")).agg(F.max(F.round(F.col("taken") / F.col("size"))).cast("int").alias("_times")).where("_times > 0")
-    joined = docs.join(times, F.col(id_col).eqNullSafe(F.col("_mixed_id")))
+    rows = mixed_rows(docs, seed, id_col, text_col, source_col).where("size > 0")
+    each = rows.groupBy("doc_id", "source").agg(F.sum("size").alias("size"), F.sum("taken").alias("taken"))
+    each = materialize(each.withColumn("share", F.round(F.col("taken") * F.lit(float(WHOLE)) / F.col("size")).cast("long")), "mix-shares")
+    mixed = F.xxhash64(F.lit(seed), "doc_id")
+    size_class = F.least(F.floor(2 * F.log2("size")), F.lit(SIZE_CLASSES - 1))
+    per_class = BUCKETS // SIZE_CLASSES
+    summed = running_start(each, ["source"], size_class * per_class + F.pmod(mixed, F.lit(per_class)), [mixed, F.col("doc_id")], F.col("share"), BUCKETS, "begin")
+    upto = lambda x: F.floor((x + F.lit(WHOLE // 2)) / F.lit(float(WHOLE)))
+    times = summed.select(F.col("doc_id").alias("_mixed_id"), F.col("source").alias("_mixed_source"), (upto(F.col("begin") + F.col("share")) - upto(F.col("begin"))).cast("int").alias("_times"))
+    joined = docs.join(times.where("_times > 0"), F.col(id_col).eqNullSafe(F.col("_mixed_id")) & F.col(source_col).eqNullSafe(F.col("_mixed_source")))
+    # rows of no words may share an id with others
+    joined = joined.where(F.regexp_count(F.col(text_col), F.lit(WORD)) > 0)
     return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*(joined[c] for c in docs.columns))
