@@ -9,6 +9,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from triewalk.llm import golay, langid, licenses, packing, quality, simhash, suffix_dedup
 from triewalk.llm.anchors import runs
@@ -395,6 +396,24 @@ def test_quality(spark, docs, awkward):
     assert kept == set(range(400)) == {r["doc_id"] for r in quality.keep_good(df, labels).collect()}
 
 
+def test_quality_pools_small_strata(spark):
+    strata = [f"l{k}" for k in range(quality.MOST_STRATA + 40)]
+    rows, n = [], 0
+    for k, lang in enumerate(strata):
+        for _ in range(12 if k < quality.MOST_STRATA else 10):
+            rows.append((n, " ".join(f"w{n}x{j}" for j in range(60)), lang))
+            n += 1
+    labels = spark.createDataFrame([(i, 1) for i in range(n)], "doc_id long, quality int")
+    # each stratum beyond has too few rows of its own, all of them together have enough
+    bad = [(n + k, " ".join(f"w{k}x{j}###" for j in range(60)), lang) for k, lang in enumerate([*strata, "unlabelled"])]
+    df = spark.createDataFrame(rows + bad, "doc_id long, text string, lang string")
+    kept = {r["doc_id"] for r in quality.judge(df, labels).where("kept").collect()}
+    assert kept == set(range(n)) | {n + k for k in range(quality.MOST_STRATA)}
+    scored = quality.judge(df, labels).join(df.select("doc_id", F.col("lang").alias("stratum")), "doc_id").select("doc_id", "stratum", "severity", "base_failed")
+    levels = quality.calibrate(scored, labels)
+    assert len(levels) == quality.MOST_STRATA + 1 and levels[-1][:2] == (None, 400)
+
+
 def test_licenses(spark, awkward):
     p = licenses.parse_expression
     assert p("MIT OR Apache-2.0 AND GPL-2.0 WITH Classpath-exception-2.0") == ("or", ("id", "mit"), ("and", ("id", "apache-2.0"), ("with", ("id", "gpl-2.0"), ("id", "classpath-exception-2.0"))))

@@ -115,15 +115,20 @@ def certified_level(good: int, rejected: list[int], strata: int, alpha: float =
     return level
 
 
-def calibrate(scored: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> list[tuple[str, int, float | None]]:
+def calibrate(scored: DataFrame, labels: DataFrame, alpha: float = ALPHA, delta: float = DELTA) -> list[tuple[str | None, int, float | None]]:
     """(stratum, good labelled rows, level) of each stratum, from all labelled rows that pass the base rules.
 
+    Strata beyond the MOST_STRATA with most labelled rows are one further stratum, named None and given last if there are any.
     scored: doc_id, stratum, severity, base_failed. labels: doc_id, quality (1 is good; null rows and other values are not used).
     """
     good = labels.where("quality = 1").select(F.col("doc_id").alias("_label_id")).distinct()
     held = scored.where("not base_failed").join(good, F.col("doc_id") == F.col("_label_id"))
     falls = [F.sum((F.col("severity") > step).cast("long")).alias(f"r{i}") for i, step in enumerate(LADDER)]
-    rows = held.groupBy("stratum").agg(F.count(F.lit(1)).alias("n"), *falls).orderBy(F.col("n").desc(), "stratum").limit(MOST_STRATA).collect()
+    per = materialize(held.groupBy("stratum").agg(F.count(F.lit(1)).alias("n"), *falls), "quality-strata")
+    rows = per.orderBy(F.col("n").desc(), "stratum").limit(MOST_STRATA).collect()
+    if len(rows) == MOST_STRATA:
+        rest = per.where(~F.col("stratum").isin([r["stratum"] for r in rows])).agg(*(F.sum(c).alias(c) for c in per.columns if c != "stratum"))
+        rows += rest.where("n > 0").withColumn("stratum", F.lit(None).cast("string")).collect()
     return [(r["stratum"], r["n"], certified_level(r["n"], [r[f"r{i}"] for i in range(len(LADDER))], len(rows), alpha, delta)) for r in rows]
 
 
@@ -135,10 +140,12 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     """
     counts = text_counts(docs, [F.col(id_col).alias("doc_id"), F.coalesce(F.col(stratum_col).cast("string"), F.lit("")).alias("stratum")], text_col)
     scored = materialize(counts.withColumn("base_failed", base_failed()).withColumn("severity", severity()), "quality-counts")
-    level = F.lit(None).cast("double")
-    for name, _, step in calibrate(scored, labels):
-        if step is not None:
-            level = F.when(F.col("stratum") == name, F.lit(step)).otherwise(level)
+    levels = calibrate(scored, labels)
+    # the stratum of all others goes to every row outside the named ones
+    level = F.lit(next((step for name, _, step in levels if name is None), None)).cast("double")
+    for name, _, step in levels:
+        if name is not None:
+            level = F.when(F.col("stratum") == name, F.lit(step).cast("double")).otherwise(level)
     out = scored.withColumn("level", level)
     over = F.coalesce(F.col("severity") > F.col("level"), F.lit(False))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & ~over).alias("kept"), "severity", "level")
