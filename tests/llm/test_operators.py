@@ -342,6 +342,19 @@ def test_similar_links_lose_no_component(spark):
     assert_components_as_by_brute_force(df, rows)
 
 
+def test_similar_links_meet_all_pairs(spark):
+    rng = random.Random(5)
+    rows = []
+    for n in range(0, 800, 2):
+        a = [f"w{rng.randint(0, 10**6)}" for _ in range(304)]
+        c = list(a)
+        for k in range(6):
+            c[20 + 45 * k] = f"c{rng.randint(0, 10**6)}"
+        rows += [(n, " ".join(a)), (n + 1, " ".join(c))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {tuple(r) for r in simhash.similar_links(df).collect()} == {(n, n + 1) for n in range(0, 800, 2)}
+
+
 def assert_components_as_by_brute_force(df, rows):
     sets = {i: set(simhash.shingle_hashes(t, simhash.SHINGLE).tolist()) for i, t in rows}
     true = {(i, j) for i in sets for j in sets if i < j and len(sets[i] & sets[j]) >= simhash.SIMILARITY * len(sets[i] | sets[j]) > 0}
