@@ -176,6 +176,20 @@ def test_shard(docs, awkward):
     assert sum(len(homes[t.encode()]) == 1 for t in n_groups) >= 0.9 * len(n_groups)
 
 
+def test_shard_keeps_large_groups(spark):
+    # a quota is 400 rows; the last group exceeds it and needs two shards
+    sizes = [390, 300, 210, 120, 60, 500]
+    rows = [f"group {g}" for g, n in enumerate(sizes) for _ in range(n)]
+    rows += [f"lone {i}" for i in range(6400 - len(rows))]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    homes = defaultdict(Counter)
+    for r in shard(df).collect():
+        homes[rows[r["doc_id"]]][r["shard"]] += 1
+    for g, n in enumerate(sizes):
+        assert len(homes[f"group {g}"]) <= (1 if n <= 400 else 3), (n, homes[f"group {g}"])
+        assert max(homes[f"group {g}"].values()) >= min(n, 360)
+
+
 def test_tokens_and_files(spark, awkward, docs, tmp_path):
     e = WordEncoder(word_bpe())
     extra = ["it's I'LL 'S've", "a\x0bb\x1cc\x85d", "<|endoftext|> x", "ΣΑΣ", "İ ẞ ß", "²³¼ 1.5%", "é", "__a__", "“q”…", "\x00a"]

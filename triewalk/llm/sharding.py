@@ -1,12 +1,15 @@
 """Sharding by balanced label propagation: documents of equal text are linked and move, in a few rounds of joins, towards
 the shard where most of their group lies, as far as the shard's quota allows; then counts are made equal to one row.
 
-A group of equal texts is a node to which its rows are tied (a star, never all pairs). A group larger than an eighth
-of a quota (and than 32 rows) is first cut, by row, into parts that fit, since no shard could hold it.
+A group of equal texts is a node to which its rows are tied (a star, never all pairs). Groups larger than an eighth of a
+quota are few; they are placed first, the largest first, each whole where a shard still has room for it. Only one that
+no shard can hold is cut, by row, over as few shards as have the room.
 """
 
 from __future__ import annotations
 
+from itertools import accumulate
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -33,18 +36,35 @@ def _counts(df: DataFrame, by: str) -> dict[int, int]:
     return {r[0]: r[1] for r in df.groupBy(by).agg(F.count(F.lit(1))).collect()}
 
 
+def place_large(sizes: dict[int, int], shards: int, n: int) -> dict[int, list[tuple[int, int]]]:
+    """(shard, rows) of each group: the tightest shard that holds it, or else the roomiest ones in turn."""
+    room = {s: n // shards + (s < n % shards) for s in range(shards)}
+    placed = {}
+    for key, left in sorted(sizes.items(), key=lambda x: (-x[1], x[0])):
+        placed[key] = []
+        while left:
+            fits = [s for s in room if room[s] >= left]
+            s = min(fits, key=lambda s: (room[s], s)) if fits else max(room, key=lambda s: (room[s], -s))
+            take = min(left, room[s])
+            placed[key].append((s, take))
+            room[s] -= take
+            left -= take
+    return placed
+
+
 def propagate(rows: DataFrame, shards: int, rounds: int, n: int) -> DataFrame:
-    """rows (row_no, part, linked) with a label: starts at random and moves whole parts towards their majority shard.
+    """rows (row_no, part, linked, pinned) with a label: rows with a pinned one have that; the others start at random and moves whole parts towards their majority shard.
 
     A part is accepted by its new shard with the probability that the shard's room allows, drawn from the part's own
     hash, so a rerun decides alike.
     """
     quota = n / shards
-    at = rows.withColumn("label", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(shards)).cast("int"))
+    pinned = rows.where("pinned is not null").withColumn("label", F.col("pinned"))
+    at = rows.where("pinned is null").withColumn("label", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(shards)).cast("int"))
     lone = at.where("not linked")
     # one row a part and label: the rows of a part that share a label move together
     tally = materialize(at.where("linked").groupBy("part", "label").agg(F.count(F.lit(1)).alias("n")), "shard-tally")
-    lone_at = _counts(lone, "label")
+    lone_at, pinned_at = _counts(lone, "label"), _counts(pinned, "label")
     for turn in range(rounds):
         best = tally.groupBy("part").agg(F.max(F.struct("n", F.xxhash64("part", "label").alias("tie"), "label")).getField("label").alias("to"), F.sum("n").alias("size"))
         moved = tally.join(best, "part")
@@ -55,7 +75,7 @@ def propagate(rows: DataFrame, shards: int, rounds: int, n: int) -> DataFrame:
             break
         accept = {}
         for s in range(shards):
-            room = quota * SLACK - lone_at.get(s, 0) * (0.0 if turn else 0.5) - held.get(s, 0) + leaving.get(s, 0)
+            room = quota * SLACK - lone_at.get(s, 0) * (0.0 if turn else 0.5) - pinned_at.get(s, 0) - held.get(s, 0) + leaving.get(s, 0)
             accept[s] = max(0.0, min(1.0, room / coming[s])) if coming.get(s) else 1.0
         draw = F.pmod(F.xxhash64("part", F.lit(turn)), F.lit(1 << 30)) / float(1 << 30)
         ok = draw < _by_case("to", accept, 1.0)
@@ -64,9 +84,9 @@ def propagate(rows: DataFrame, shards: int, rounds: int, n: int) -> DataFrame:
     ends = tally.groupBy("part").agg(F.sort_array(F.collect_set("label")).alias("labels"))
     ends = materialize(ends, "shard-ends")
     pick = F.element_at("labels", (F.pmod(F.xxhash64("doc_id", F.lit(2)), F.size("labels").cast("long")) + 1).cast("int"))
-    return lone.select("row_no", "doc_id", "size", "text_crc32", "part", "linked", "label").unionByName(
-        at.where("linked").drop("label").join(ends, "part").select("row_no", "doc_id", "size", "text_crc32", "part", "linked", pick.alias("label"))
-    )
+    columns = ["row_no", "doc_id", "size", "text_crc32", "part", "linked", "pinned"]
+    moved = at.where("linked").drop("label").join(ends, "part").select(*columns, pick.alias("label"))
+    return lone.select(*columns, "label").unionByName(moved).unionByName(pinned.select(*columns, "label"))
 
 
 def even_out(placed: DataFrame, n: int, shards: int) -> DataFrame:
@@ -76,9 +96,9 @@ def even_out(placed: DataFrame, n: int, shards: int) -> DataFrame:
     over = {s: max(0, have.get(s, 0) - quota[s]) for s in range(shards)}
     under = {s: max(0, quota[s] - have.get(s, 0)) for s in range(shards)}
     mixed = F.xxhash64("row_no", F.lit(3))
-    # lone rows stand in the lower half of the buckets, linked ones, by part, in the upper half
-    spot = F.when(F.col("linked"), F.pmod(F.xxhash64("part"), F.lit(BUCKETS)) + BUCKETS).otherwise(F.pmod(mixed, F.lit(BUCKETS)))
-    ranked = running_start(placed, ["label"], spot, [F.col("part"), mixed, F.col("row_no")], F.lit(1), 2 * BUCKETS, "rank")
+    # lone rows stand in the lower third of the buckets, linked ones, by part, in the next, those of large groups in the last
+    spot = F.when(F.col("pinned").isNotNull(), F.pmod(mixed, F.lit(BUCKETS)) + 2 * BUCKETS).when(F.col("linked"), F.pmod(F.xxhash64("part"), F.lit(BUCKETS)) + BUCKETS).otherwise(F.pmod(mixed, F.lit(BUCKETS)))
+    ranked = running_start(placed, ["label"], spot, [F.col("part"), mixed, F.col("row_no")], F.lit(1), 3 * BUCKETS, "rank")
     base, first = {}, 0
     for s in range(shards):
         base[s], first = first, first + over[s]
@@ -106,11 +126,16 @@ def shard(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, id_col: s
     )
     rows = materialize(rows, "shard-rows")
     n = rows.count()
-    most = max(1, n // (shards * 8), min(n // shards, 32))
     groups = materialize(rows.groupBy("text_key").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1").select(F.col("text_key").alias("k"), "copies"), "shard-groups")
+    # at most eight large groups a shard; of few rows, those of over 32 or of over a quota
+    large = max(1, n // (shards * 8), min(n // shards, 32))
+    homes = place_large({r["k"]: r["copies"] for r in groups.where(F.col("copies") > large).collect()}, shards, n)
+    cut = [(k, s, upto - rows_here, upto) for k, home in homes.items() for (s, rows_here), upto in zip(home, accumulate(x for _, x in home), strict=True)]
+    spread = docs.sparkSession.createDataFrame([(k, s, a / home, z / home) for k, s, a, z in cut for home in [sum(x for _, x in homes[k])]], "hk long, pinned int, lo double, hi double")
     joined = rows.join(groups, F.col("text_key") == F.col("k"), "left")
-    piece = F.pmod(F.xxhash64("row_no"), F.ceil(F.col("copies") / most).cast("long"))
-    parts = joined.select("row_no", "doc_id", "size", "text_crc32", F.xxhash64("text_key", F.coalesce(piece, F.lit(0))).alias("part"), F.col("copies").isNotNull().alias("linked"))
+    draw = F.pmod(F.xxhash64("row_no"), F.lit(1 << 30)) / float(1 << 30)
+    joined = joined.join(F.broadcast(spread), (F.col("text_key") == F.col("hk")) & (draw >= F.col("lo")) & (draw < F.col("hi")), "left")
+    parts = joined.select("row_no", "doc_id", "size", "text_crc32", F.xxhash64("text_key").alias("part"), F.col("copies").isNotNull().alias("linked"), "pinned")
     placed = materialize(propagate(materialize(parts, "shard-parts"), shards, rounds, n), "shard-placed")
     even = materialize(even_out(placed, n, shards), "shard-even")
     mixed = F.xxhash64("row_no", F.lit(4))
