@@ -1,6 +1,7 @@
 """The training-data operators on small awkward tables, against brute force, and the named queries against SQL or brute force."""
 
 import hashlib
+import json
 import random
 import struct
 import zlib
@@ -20,7 +21,7 @@ from triewalk.llm.queries import ORACLES, QUERIES, word_bpe
 from triewalk.llm.sharding import shard
 from triewalk.llm.suffix_sort import common_prefixes, suffix_array
 from triewalk.llm.token_files import ShardReader, token_file_digests, write_token_files
-from triewalk.llm.tokens import WordEncoder
+from triewalk.llm.tokens import WordEncoder, same_rules
 
 SMALL = "/root/testdata/sf0.001"
 # extra columns carry names that the operators use inside
@@ -218,6 +219,30 @@ def test_tokens_and_files(spark, awkward, docs, tmp_path):
     assert np.array_equal(np.concatenate(reader.span(a, n))[:1024], reader.row(0)[: min(n, 1024)])
 
 
+def test_tokens_equal_the_library():
+    """All code points below U+0250 singly and in pairs, and random strings of them."""
+    e = WordEncoder(word_bpe())
+    low = [chr(c) for c in range(0x250)]
+    rng = random.Random(1)
+    mixed = ["".join(rng.choice(low) if rng.random() < 0.5 else rng.choice("abc 's'tZ9\n") for _ in range(rng.randrange(1, 30))) for _ in range(100_000)]
+    named = ["Əliyev", "AZƏRBAYCAN", "ƁARNA Ɗan"]
+    for texts in (low, named, mixed, *([a + b for b in low] for a in low)):
+        for text, want in zip(texts, e.tokenizer.encode_batch(texts, add_special_tokens=False), strict=True):
+            assert e.encode(text) == struct.pack(f"<{len(want.ids) + 1}I", *want.ids, 1), repr(text)
+
+
+def test_other_tokenizer_files_go_through_the_library(tmp_path):
+    with open(word_bpe(), encoding="utf-8") as f:
+        stated = json.load(f)
+    stated["normalizer"] = {"type": "NFC"}
+    path = tmp_path / "other.json"
+    path.write_text(json.dumps(stated), encoding="utf-8")
+    assert same_rules(word_bpe()) and not same_rules(str(path))
+    e = WordEncoder(str(path))
+    want = e.tokenizer.encode("Some Words ABC", add_special_tokens=False).ids
+    assert e.encode("Some Words ABC") == struct.pack(f"<{len(want) + 1}I", *want, 1) != WordEncoder(word_bpe()).encode("Some Words ABC")
+
+
 def test_differencing():
     assert sorted(np.bincount(packing.difference(np.array([8, 7, 6, 5, 4]), 2), weights=[8, 7, 6, 5, 4]).tolist()) == [14.0, 16.0]
     rng = np.random.default_rng(2)

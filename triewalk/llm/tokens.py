@@ -1,12 +1,14 @@
 """Token ids of the public word BPE by the tokenizers library, with a cache of words.
 
-Text of characters below U+0250 is normalised and cut into words here, by the same rules as the tokenizer file states,
-and each new word goes through the library's BPE model once; a two-generation cache of bounded size keeps
-frequent words. Any other text, and any that holds a special token's string, goes through the library whole.
+Text of characters that are, and whose lower case is, below U+0250 is normalised and cut into words here, by the same rules as
+the tokenizer file states, and each new word goes through the library's BPE model once; a two-generation cache of bounded
+size keeps frequent words. Any other text, any that holds a special token's string, and every text under a tokenizer
+file that states other rules goes through the library whole.
 """
 
 from __future__ import annotations
 
+import json
 import re
 import unicodedata
 from array import array
@@ -15,6 +17,15 @@ END_ID = 1
 #: Words of one generation; two are kept, about 250 MB a worker at most.
 CACHE_WORDS = 600_000
 _LIMIT = 0x250
+#: The rules of a tokenizer file that the cutter of words follows.
+NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]}
+PRE_TOKENIZER = {
+    "type": "Sequence",
+    "pretokenizers": [
+        {"type": "Split", "pattern": {"Regex": "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"}, "behavior": "Removed", "invert": True},
+        {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+    ],
+}
 
 
 def _classes() -> tuple[str, str, str]:
@@ -24,6 +35,19 @@ def _classes() -> tuple[str, str, str]:
     return letters, numbers, spaces
 
 
+def _leaving() -> str:
+    """Characters below the limit whose lower case is not one character below it."""
+    return "".join(re.escape(c) for c in map(chr, range(_LIMIT)) if len(c.lower()) > 1 or ord(c.lower()) >= _LIMIT)
+
+
+def same_rules(path: str) -> bool:
+    """Whether a tokenizer file states the rules that the cutter follows."""
+    with open(path, encoding="utf-8") as f:
+        stated = json.load(f)
+    plain = all(not any(t[k] for k in ("single_word", "lstrip", "rstrip", "normalized")) for t in stated["added_tokens"])
+    return plain and stated["normalizer"] == NORMALIZER and stated["pre_tokenizer"] == PRE_TOKENIZER and stated["model"]["type"] == "BPE" and not stated["truncation"]
+
+
 def _byte_chars() -> dict[int, str]:
     """The printable character by which byte-level BPE writes each byte: itself if printable, else the next free one from U+0100."""
     plain = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
@@ -46,7 +70,8 @@ class WordEncoder(dict):
         self.model = self.tokenizer.model
         letters, numbers, spaces = _classes()
         self.words = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[{numbers}]|[^{spaces}{letters}{numbers}]+").findall
-        self.odd = re.compile(rf"[^\x00-\x1b\x20-{chr(_LIMIT - 1)}]|<\|(?:start|end)oftext\|>|[İ]").search
+        special = [re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.odd = re.compile("|".join([rf"[^\x00-\x1b\x20-{chr(_LIMIT - 1)}]", f"[{_leaving()}]", *special])).search if same_rules(path) else lambda text: True
         self.bytes = _byte_chars()
         self.old: dict[str, bytes] = {}
 
