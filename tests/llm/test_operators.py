@@ -394,6 +394,52 @@ def test_similar_links_meet_all_pairs(spark):
     assert {tuple(r) for r in simhash.similar_links(df).collect()} == {(n, n + 1) for n in range(0, 800, 2)}
 
 
+def star(rng, words, copies, low, high):
+    """A text and copies of it whose similarity to it lies in [low, high); copies are less similar to each other."""
+    base = [f"w{rng.randint(0, 10**7)}" for _ in range(words)]
+    shingles = lambda t: set(simhash.shingle_hashes(t, simhash.SHINGLE).tolist())
+    whole, out = shingles(" ".join(base)), [" ".join(base)]
+    while len(out) <= copies:
+        words, alike = list(base), 1.0
+        while alike >= high:
+            words[rng.randrange(len(words))] = f"x{rng.randint(0, 10**7)}"
+            other = shingles(" ".join(words))
+            alike = len(whole & other) / len(whole | other)
+        if alike >= low:
+            out.append(" ".join(words))
+    return out
+
+
+@pytest.mark.parametrize("low, high, copies", [(0.8, 0.82, 150), (0.85, 0.9, 150), (0.8, 0.85, 400)])
+def test_stars_of_near_copies_become_one(spark, monkeypatch, low, high, copies):
+    # small blocks: frequent shingles are compared in several pairs of blocks
+    monkeypatch.setattr(simhash, "BLOCK", 128)
+    rng = random.Random(copies)
+    texts = [t for _ in range(3) for t in star(rng, 150, copies, low, high)]
+    rng.shuffle(texts)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    assert simhash.drop_near_copies(df).count() == 3
+
+
+def test_hot_keys_are_dealt_out(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "BLOCK", 16)
+    rng = np.random.default_rng(4)
+    base = rng.integers(-(1 << 62), 1 << 62, 40)
+    prints = np.unique(np.concatenate([base ^ (np.int64(1) << int(b)) for b in rng.integers(0, 62, 12)]))
+    rows = [(int(k), int(i), int(prints[i])) for k in (1, 2) for i in rng.permutation(len(prints))[: 100 * k]] + [(3, 1, int(prints[1])), (3, 2, int(prints[2]))]
+    found = {tuple(r) for r in simhash.bucket_links(spark.createDataFrame(rows, "key long, id long, fp0 long"), 1, 2, hot_key=20).collect()}
+    by = defaultdict(list)
+    for k, i, fp in rows:
+        by[k].append((i, fp & (2**64 - 1)))
+    true = {(min(i, j), max(i, j)) for x in by.values() for i, a in x for j, b in x if i != j and (a ^ b).bit_count() <= 2}
+    assert found <= true
+    forest, wanted = simhash.Forest(len(prints)), simhash.Forest(len(prints))
+    for f, pairs in ((forest, found), (wanted, true)):
+        for i, j in sorted(pairs):
+            f.join(i, j)
+    assert [forest.root(i) for i in range(len(prints))] == [wanted.root(i) for i in range(len(prints))]
+
+
 def assert_components_as_by_brute_force(df, rows):
     sets = {i: set(simhash.shingle_hashes(t, simhash.SHINGLE).tolist()) for i, t in rows}
     true = {(i, j) for i in sets for j in sets if i < j and len(sets[i] & sets[j]) >= simhash.SIMILARITY * len(sets[i] | sets[j]) > 0}

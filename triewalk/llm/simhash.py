@@ -11,12 +11,14 @@ tolerates two errors. Two plans of keys:
   each in any one order, so texts of different components that share such a shingle are compared too, every pair of them.
 
 Rows with a common key meet in one task, which compares fingerprints in blocks and passes on a least spanning forest of
-the pairs that are close enough: fewer links than rows, and no link between components is lost. Components are then formed by joins.
+the pairs that are close enough: fewer links than rows, and no link between components is lost. A key of more rows than a block is
+dealt out again, as pairs of blocks, each a task's work by itself. Texts that share a frequent shingle are compared in such
+blocks too, on their whole sets, and a block passes on a forest of pairs that are verified. Components are then formed by joins.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -37,6 +39,10 @@ SHINGLE, SIMILARITY = 5, 0.8
 COMMON, COMMON_ONE_IN = 1 << 15, 16
 #: Rows that a block of comparisons holds on each side.
 BLOCK = 2048
+#: Rows of a key up to which they meet where the key's rows are dealt to; keys of more are dealt out in pairs of blocks.
+HOT_KEY = 1 << 14
+#: Texts of a shingle up to which they are passed on as pairs; those of a more frequent one are compared in blocks, which hold so many shingles at most on a side.
+HOT_SHINGLE, BLOCK_SHINGLES = 64, 1 << 20
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _ODD = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
@@ -181,57 +187,140 @@ def _spanning(edges: np.ndarray, n: int) -> np.ndarray:
     return edges[[forest.join(i, j) for i, j in edges[:, 1:].tolist()]] if len(edges) else edges
 
 
-def bucket_links(rows: DataFrame, carried: int, most: int) -> DataFrame:
-    """(a, b) links between ids of rows that share a key, distinct."""
+def settle_buckets(table: np.ndarray, carried: int, most: int) -> np.ndarray:
+    """Links (a, b) within whole buckets. table: key, id, fp0, ..., sorted by key."""
+    table = table[np.lexsort((table[:, 1], table[:, 0]))]  # by id in a bucket, so that buckets of the same rows choose the same links
+    key = table[:, 0]
+    new = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+    size = np.diff(np.r_[new, len(key)])
+    ids, fp = table[:, 1], np.ascontiguousarray(table[:, 2:]).view(np.uint64)
+    found, near = [], []
+    # small buckets, all at once: each row against the next ones of its bucket
+    last = np.repeat(new + size, size)
+    at = np.flatnonzero(np.repeat(size <= 16, size))
+    for step in range(1, 16):
+        at = at[at + step < last[at]]
+        if not len(at):
+            break
+        d = sum(np.bitwise_count(fp[at, k] ^ fp[at + step, k]).astype(np.int16) for k in range(carried))
+        hit = d <= most
+        near.append(np.stack([d[hit].astype(np.int64), at[hit], at[hit] + step], axis=1))
+    if near:
+        found.append(ids[_spanning(np.concatenate(near), len(table))[:, 1:]])
+    for a, n in zip(new[size > 16].tolist(), size[size > 16].tolist(), strict=True):
+        pairs = np.array(close_pairs(fp[a : a + n], most), dtype=np.int64).reshape(-1, 2)
+        found.append(ids[a + pairs])
+    return np.concatenate(found) if found else np.empty((0, 2), np.int64)
+
+
+def link_batch(links: np.ndarray, hot: bool = False) -> pa.RecordBatch:
+    """Links as rows (a, b, hot), each once, the lesser id first."""
+    links = np.unique(np.sort(links[links[:, 0] != links[:, 1]], axis=1), axis=0) if not hot else links
+    return pa.record_batch([pa.array(links[:, 0].copy()), pa.array(links[:, 1].copy()), pa.array(np.full(len(links), hot))], names=["a", "b", "hot"])
+
+
+def bucket_links(rows: DataFrame, carried: int, most: int, hot_key: int = HOT_KEY) -> DataFrame:
+    """(a, b) links between ids of rows (key, id, fp0, ...) that share a key, distinct; they may be found again under several keys.
+
+    A key of more than hot_key rows is only named by the task that meets it, which holds none of its rows beyond that number;
+    its rows are dealt out by block_units.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-
-        def settle(table: np.ndarray) -> pa.RecordBatch | None:
-            """table: whole buckets, sorted by key."""
-            table = table[np.lexsort((table[:, 1], table[:, 0]))]  # by id in a bucket, so that buckets of the same rows choose the same links
-            key = table[:, 0]
-            new = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-            size = np.diff(np.r_[new, len(key)])
-            ids, fp = table[:, 1], np.ascontiguousarray(table[:, 2:]).view(np.uint64)
-            found, near = [], []
-            # small buckets, all at once: each row against the next ones of its bucket
-            last = np.repeat(new + size, size)
-            small = np.repeat(size <= 16, size)
-            at = np.flatnonzero(small)
-            for step in range(1, 16):
-                at = at[at + step < last[at]]
-                if not len(at):
-                    break
-                d = sum(np.bitwise_count(fp[at, k] ^ fp[at + step, k]).astype(np.int16) for k in range(carried))
-                hit = d <= most
-                near.append(np.stack([d[hit].astype(np.int64), at[hit], at[hit] + step], axis=1))
-            if near:
-                found.append(ids[_spanning(np.concatenate(near), len(table))[:, 1:]])
-            for a, n in zip(new[size > 16].tolist(), size[size > 16].tolist(), strict=True):
-                pairs = np.array(close_pairs(fp[a : a + n], most), dtype=np.int64).reshape(-1, 2)
-                found.append(ids[a + pairs])
-            links = np.concatenate(found) if found else np.empty((0, 2), np.int64)
-            links = links[links[:, 0] != links[:, 1]]
-            if not len(links):
-                return None
-            links.sort(axis=1)
-            links = np.unique(links, axis=0)
-            return pa.record_batch([pa.array(links[:, 0].copy()), pa.array(links[:, 1].copy())], names=["a", "b"])
-
+        held, hot = np.empty((0, 2 + carried), np.int64), None
         for b in batches:
-            held.append(np.stack([c.to_numpy(zero_copy_only=False) for c in b.columns], axis=1))
-            if sum(map(len, held)) >= 100_000:
-                table = np.concatenate(held)
-                end = int(np.searchsorted(table[:, 0], table[-1, 0]))  # the last bucket may go on
-                held = [table[end:]]
-                if end and (out := settle(table[:end])) is not None:
-                    yield out
-        if held and (out := settle(np.concatenate(held))) is not None:
-            yield out
+            for a in range(0, b.num_rows, 1 << 16):
+                table = np.stack([c.to_numpy(zero_copy_only=False) for c in b.slice(a, 1 << 16).columns], axis=1)
+                held = np.concatenate([held, table[table[:, 0] != hot] if hot is not None else table])
+                if len(held) < 100_000 and not (len(held) > hot_key and held[-hot_key - 1, 0] == held[-1, 0]):
+                    continue
+                end = int(np.searchsorted(held[:, 0], held[-1, 0]))  # the last bucket may go on
+                if end:
+                    yield from whole(held[:end])
+                    held = held[end:]
+                if len(held) > hot_key:
+                    hot = held[0, 0]
+                    yield link_batch(np.array([[hot, hot]]), True)
+                    held = held[:0]
+        if len(held):
+            yield from whole(held)
+
+    def whole(table: np.ndarray) -> Iterator[pa.RecordBatch]:
+        new = np.flatnonzero(np.r_[True, table[1:, 0] != table[:-1, 0]])
+        size = np.diff(np.r_[new, len(table)])
+        large = size > hot_key
+        if large.any():
+            key = table[new[large], 0]
+            yield link_batch(np.stack([key, key], axis=1), True)
+            table = table[np.repeat(~large, size)]
+        if len(table):
+            yield link_batch(settle_buckets(table, carried, most))
 
     dealt = rows.repartition(total_partitions(rows.sparkSession), "key").sortWithinPartitions("key")
-    return dealt.mapInArrow(run, "a long, b long").distinct()
+    found = materialize(dealt.mapInArrow(run, LINKS).distinct(), "bucket-links")
+    links, hot = found.where("not hot").select("a", "b"), found.where("hot").select(F.col("a").alias("key"))
+    if not hot.limit(1).count():
+        return links
+
+    names = ["key", "id", *(f"fp{k}" for k in range(carried))]
+    there = materialize(rows.join(hot, "key", "left_semi").select(*names), "bucket-hot")
+
+    def compare(unit: list[np.ndarray]) -> np.ndarray:
+        side, ids, fp = unit[0], unit[1], np.ascontiguousarray(np.stack(unit[2:], axis=1)).view(np.uint64)
+        two = len(np.unique(side)) > 1
+        x, y = (np.flatnonzero(side == side.min()), np.flatnonzero(side == side.max()))
+        edges = []
+        for a in range(0, len(x), BLOCK):
+            for b in range(0, len(y), BLOCK):
+                d = _distances(fp[x[a : a + BLOCK]], fp[y[b : b + BLOCK]])
+                i, j = np.nonzero(d <= most)
+                i, j, d = x[a + i], y[b + j], d[i, j]
+                keep = slice(None) if two else i < j
+                edges.append(np.stack([d.astype(np.int64), i, j], axis=1)[keep])
+        return ids[_spanning(np.concatenate(edges), len(ids))[:, 1:]]
+
+    size = there.groupBy("key").agg(F.count(F.lit(1)).alias("n")).select("key", F.ceil(F.col("n") / BLOCK).cast("long").alias("blocks"))
+    return links.unionByName(unit_links(block_units(there, size, ["key"]), ["key"], names[1:], compare)).distinct()
+
+
+LINKS = "a long, b long, hot boolean"
+
+
+def block_units(rows: DataFrame, size: DataFrame, keys: list[str]) -> DataFrame:
+    """rows (keys, id, ...) with lo, hi, side: the rows of a key fall into so many blocks by a hash of the id, and every
+    pair of a key's blocks (lo <= hi) is a unit that holds the rows of both. size: keys, blocks."""
+    there = rows.join(size.select(*(F.col(k).alias(f"_{k}") for k in keys), "blocks"), [F.col(k) == F.col(f"_{k}") for k in keys])
+    own = there.withColumn("_own", F.pmod(F.xxhash64("id", F.lit(17)), F.col("blocks"))).withColumn("_other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    return own.select(*rows.columns, F.least("_own", "_other").alias("lo"), F.greatest("_own", "_other").alias("hi"), F.col("_own").alias("side"))
+
+
+def unit_links(units: DataFrame, keys: list[str], columns: list[str], compare: Callable[[list], np.ndarray]) -> DataFrame:
+    """(a, b) that compare(columns side, *columns of a unit) gives, unit by unit. A task holds one unit at a time."""
+    by = [*keys, "lo", "hi"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        at = None
+        for b in batches:
+            place = np.stack([c.to_numpy(zero_copy_only=False) for c in b.columns[: len(by)]], axis=1)
+            edges = np.r_[0, np.flatnonzero((place[1:] != place[:-1]).any(axis=1)) + 1, len(place)]
+            for a, z in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+                if a == z:
+                    continue
+                if at is not None and at != tuple(place[a]):
+                    yield settle(held)
+                    held = []
+                at = tuple(place[a])
+                held.append(b.slice(a, z - a))
+        if held:
+            yield settle(held)
+
+    def settle(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+        unit = pa.Table.from_batches(held).select(["side", *columns])
+        return link_batch(compare([c.to_numpy() if pa.types.is_integer(c.type) else c.to_pylist() for c in unit.columns]))
+
+    dealt = units.select(*by, "side", *columns).repartition(total_partitions(units.sparkSession), *by).sortWithinPartitions(*by, "side", "id")
+    return dealt.mapInArrow(run, LINKS).select("a", "b").distinct()
 
 
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3, most: int = MAX_BITS) -> DataFrame:
@@ -305,9 +394,12 @@ def similar_prints(docs: DataFrame, size: int, similarity: float) -> DataFrame:
     return docs.mapInArrow(run, ", ".join(f"{x} {'binary' if x == 'prefix' else 'long'}" for x in names))
 
 
-def prefix_pairs(rooted: DataFrame, similarity: float) -> DataFrame:
-    """(a, b), distinct: ids of different root whose prefixes share a shingle and whose sizes and places in the order do not
-    rule the given similarity out. rooted: id, root, n, prefix. No pair of that similarity and different root is left out."""
+def shared_postings(rooted: DataFrame) -> DataFrame:
+    """(shingle, id, root, n, place, texts, shingles): the prefix of each text, a row a shingle, as far as texts of different
+    roots share the shingle; texts: how many have it, shingles: of how many shingles these are. rooted: id, root, n, prefix.
+
+    Shingles are counted before any is dealt out, and only rows whose shingle a bitmap marks go into the join.
+    """
     names = ["shingle", "id", "root", "n", "place"]
 
     def explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -322,70 +414,61 @@ def prefix_pairs(rooted: DataFrame, similarity: float) -> DataFrame:
                 columns = [np.concatenate(firsts[lo:hi]), *(b.column(k).to_numpy(zero_copy_only=False)[at] for k in range(3)), place]
                 yield pa.record_batch([pa.array(c) for c in columns], names=names)
 
-    def possible(x: np.ndarray, y: np.ndarray) -> np.ndarray:
-        """Rows as (..., id, root, n, place). Holds at the first shingle in common, so nothing is lost if it fails at others."""
-        n, m = x[..., 2], y[..., 2]
-        left = np.minimum(n - x[..., 3], m - y[..., 3])
-        need = similarity / (1 + similarity) * (n + m) - 1e-6
-        return (x[..., 1] != y[..., 1]) & (np.minimum(n, m) >= similarity * np.maximum(n, m) - 1e-6) & (left >= need)
+    rows = rooted.select("id", "root", "n", "prefix").mapInArrow(explode, ", ".join(f"{x} long" for x in names))
+    return among_several(rows, "similar-shared")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-
-        def pairs(found: list[np.ndarray]) -> pa.RecordBatch:
-            links = np.unique(np.sort(np.concatenate([np.empty((0, 2), np.int64), *found]), axis=1), axis=0)
-            return pa.record_batch([pa.array(links[:, 0].copy()), pa.array(links[:, 1].copy())], names=["a", "b"])
-
-        def settle(table: np.ndarray) -> Iterator[pa.RecordBatch]:
-            """table: all rows of its shingles, sorted by shingle."""
-            new = np.flatnonzero(np.r_[True, table[1:, 0] != table[:-1, 0]])
-            size = np.diff(np.r_[new, len(table)])
-            rows, found = table[:, 1:], []
-            last = np.repeat(new + size, size)
-            at = np.flatnonzero(np.repeat((size > 1) & (size <= 16), size))
-            for step in range(1, 16):
-                at = at[at + step < last[at]]
-                if not len(at):
-                    break
-                hit = at[possible(rows[at], rows[at + step])]
-                found.append(np.stack([rows[hit, 0], rows[hit + step, 0]], axis=1))
-            yield pairs(found)
-            for start, n in zip(new[size > 16].tolist(), size[size > 16].tolist(), strict=True):
-                group = rows[start : start + n]
-                if (group[:, 1] == group[0, 1]).all():
-                    continue
-                group = group[np.argsort(group[:, 2], kind="stable")]  # by size, so that blocks too far apart end the search
-                for i in range(0, n, BLOCK):
-                    x = group[i : i + BLOCK]
-                    for j in range(i, n, BLOCK):
-                        y = group[j : j + BLOCK]
-                        if x[-1, 2] < similarity * y[0, 2] - 1e-6:
-                            break
-                        p, q = np.nonzero(possible(x[:, None], y[None]))
-                        keep = i + p < j + q
-                        if keep.any():
-                            yield pairs([np.stack([x[p[keep], 0], y[q[keep], 0]], axis=1)])
 
-        for b in batches:
-            held.append(np.stack([c.to_numpy(zero_copy_only=False) for c in b.columns], axis=1))
-            if sum(map(len, held)) >= 100_000:
-                table = np.concatenate(held)
-                end = int(np.searchsorted(table[:, 0], table[-1, 0]))  # the last shingle may go on
-                held = [table[end:]]
-                if end:
-                    yield from settle(table[:end])
-        if held and sum(map(len, held)):
-            yield from settle(np.concatenate(held))
+def among_several(rows: DataFrame, name: str) -> DataFrame:
+    """rows (shingle, id, root, n, place) whose shingle has several roots, with its counts, written out."""
+    per = rows.groupBy("shingle").agg(F.count(F.lit(1)).alias("texts"), F.sum("n").alias("shingles"), F.min("root").alias("_lo"), F.max("root").alias("_hi"))
+    per = materialize(per.where("_lo < _hi").select(F.col("shingle").alias("_shingle"), "texts", "shingles"), f"{name}-counts")
+    maybe = marked(rows, bitmap_of(per, F.col("_shingle"), f"{name}-bitmap"), F.col("shingle"), "_maybe").where("_maybe").drop("_maybe")
+    return materialize(maybe.join(per, F.col("shingle") == F.col("_shingle")).drop("_shingle"), name)
 
-    rows = rooted.select("id", "root", "n", "prefix").mapInArrow(explode, ", ".join(f"{x} long" for x in names))
-    dealt = rows.repartition(total_partitions(rows.sparkSession), "shingle").sortWithinPartitions("shingle")
-    return dealt.mapInArrow(run, "a long, b long").distinct()
 
+def possible(x: np.ndarray, y: np.ndarray, similarity: float) -> np.ndarray:
+    """Whether sizes and places let rows (..., id, root, n, place) that share a shingle be so similar, and of different roots. Holds at
+    the first shingle in common, so nothing is lost if it fails at others."""
+    n, m = x[..., 2], y[..., 2]
+    left = np.minimum(n - x[..., 3], m - y[..., 3])
+    need = similarity / (1 + similarity) * (n + m) - 1e-6
+    return (x[..., 1] != y[..., 1]) & (np.minimum(n, m) >= similarity * np.maximum(n, m) - 1e-6) & (left >= need)
 
-def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
-    """The pairs of found (a, b) whose sets of shingles have the given share in common. named: id, text."""
-    wanted = found.select(F.col("a").alias("w")).unionByName(found.select(F.col("b").alias("w"))).distinct()
-    wanted = materialize(wanted, "similar-wanted")
+
+def prefix_pairs(shared: DataFrame, similarity: float) -> DataFrame:
+    """(a, b), distinct: ids of different root that share one of the shingles of shared (HOT_SHINGLE texts at most), and are not ruled out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.empty((0, 5), np.int64)
+        for b in batches:
+            held = np.concatenate([held, np.stack([c.to_numpy(zero_copy_only=False) for c in b.columns], axis=1)])
+            if len(held) >= 100_000:
+                end = int(np.searchsorted(held[:, 0], held[-1, 0]))  # the last shingle may go on
+                if end:
+                    yield settle(held[:end])
+                    held = held[end:]
+        if len(held):
+            yield settle(held)
+
+    def settle(table: np.ndarray) -> pa.RecordBatch:
+        """table: all rows of its shingles, sorted by shingle."""
+        new = np.flatnonzero(np.r_[True, table[1:, 0] != table[:-1, 0]])
+        size = np.diff(np.r_[new, len(table)])
+        rows, found = table[:, 1:], [np.empty((0, 2), np.int64)]
+        last, at = np.repeat(new + size, size), np.arange(len(table))
+        for step in range(1, int(size.max())):
+            at = at[at + step < last[at]]
+            hit = at[possible(rows[at], rows[at + step], similarity)]
+            found.append(np.stack([rows[hit, 0], rows[hit + step, 0]], axis=1))
+        return link_batch(np.concatenate(found))
+
+    dealt = shared.select("shingle", "id", "root", "n", "place").repartition(total_partitions(shared.sparkSession), "shingle").sortWithinPartitions("shingle")
+    return dealt.mapInArrow(run, LINKS).select("a", "b").distinct()
+
+
+def shingle_sets(named: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
+    """(id, shingles): the sorted set of shingle hashes, as bytes, of each row of named (id, text) whose id is wanted (w); written out."""
+    wanted = materialize(wanted.distinct(), "similar-wanted")
     # only texts that the bitmap of wanted ids marks are shuffled
     texts = marked(named, bitmap_of(wanted, F.xxhash64("w"), "similar-bitmap"), F.xxhash64("id"), "_maybe").where("_maybe").select("id", "text").join(wanted, F.col("id") == F.col("w"), "left_semi")
 
@@ -393,7 +476,12 @@ def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -
         for b in batches:
             yield pa.record_batch([b.column(0), pa.array([np.unique(shingle_hashes(t.as_py(), size)).tobytes() for t in b.column(1)], pa.binary())], names=["id", "shingles"])
 
-    hashed = materialize(texts.mapInArrow(sets, "id long, shingles binary"), "similar-shingles")
+    return materialize(texts.mapInArrow(sets, "id long, shingles binary"), "similar-shingles")
+
+
+def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
+    """The pairs of found (a, b) whose sets of shingles have the given share in common. named: id, text."""
+    hashed = shingle_sets(named, found.select(F.col("a").alias("w")).unionByName(found.select(F.col("b").alias("w"))), size)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -409,13 +497,75 @@ def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -
     return found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(compare, "a long, b long")
 
 
+def common_counts(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """How many values each of the sets numbered x has in common with each of those numbered y: a product of 0/1 matrices over
+    the values that stand in several sets, some thousand values at a time."""
+    owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    _, value, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    several = times[value] > 1
+    owner, value = owner[several], (np.cumsum(times > 1) - 1)[value[several]]
+    order = np.argsort(value, kind="stable")
+    owner, value = owner[order], value[order]
+    out = np.zeros((len(x), len(y)), dtype=np.float32)
+    for a in range(0, int(value[-1]) + 1 if len(value) else 0, 4096):
+        lo, hi = np.searchsorted(value, [a, a + 4096])
+        has = np.zeros((len(sets), 4096), dtype=np.float32)
+        has[owner[lo:hi], value[lo:hi] - a] = 1
+        out += has[x] @ has[y].T
+    return out
+
+
+def block_links(shared: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
+    """(a, b) of a verified forest in each block unit of the shingles of shared. Different units may find links of the same texts."""
+    hashed = shingle_sets(named, shared.select(F.col("id").alias("w")), size)
+    per = shared.groupBy("shingle").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("all"))
+    per = per.select("shingle", F.greatest(F.ceil(F.col("k") / (BLOCK // 2)), F.ceil(F.col("all") / BLOCK_SHINGLES)).cast("long").alias("blocks"))
+    units = block_units(shared.select("shingle", "id", "root", "n", "place"), per, ["shingle"])
+    units = units.join(hashed.select(F.col("id").alias("_i"), "shingles"), F.col("id") == F.col("_i"))
+
+    def compare(unit: list) -> np.ndarray:
+        side, rows = unit[0], np.stack(unit[1:5], axis=1)
+        two = len(np.unique(side)) > 1
+        x, y = np.flatnonzero(side == side.min()), np.flatnonzero(side == side.max())
+        look = possible(rows[x][:, None], rows[y][None], similarity)
+        if not two:
+            look &= np.arange(len(x))[:, None] < np.arange(len(y))[None]
+        if not look.any():
+            return np.empty((0, 2), np.int64)
+        sets = [np.frombuffer(v, dtype=np.uint64) for v in unit[5]]
+        i, j = np.nonzero(look)
+        if len(i) <= 4 * len(sets):
+            common = np.array([len(np.intersect1d(sets[x[p]], sets[y[q]], assume_unique=True)) for p, q in zip(i.tolist(), j.tolist(), strict=True)])
+        else:
+            common = common_counts(sets, x, y)[i, j]
+        i, j = x[i], y[j]
+        alike = (common > 0) & (common >= similarity * (rows[i, 2] + rows[j, 2] - common) - 1e-6)
+        # texts of one root are one already
+        roots, at = np.unique(rows[:, 1], return_inverse=True)
+        edges = np.stack([np.zeros(int(alike.sum()), np.int64), at[i[alike]], at[j[alike]], i[alike], j[alike]], axis=1)
+        forest = Forest(len(roots))
+        return rows[:, 0][np.array([e[3:] for e in edges.tolist() if forest.join(e[1], e[2])], dtype=np.int64).reshape(-1, 2)]
+
+    return unit_links(units, ["shingle"], ["id", "root", "n", "place", "shingles"], compare)
+
+
+def follow(roots: DataFrame, column: str, links: DataFrame, rooted: DataFrame) -> DataFrame:
+    """roots with its column of roots brought up to date by links between ids of rooted (id, root)."""
+    at = lambda c: rooted.select(F.col("id").alias(c), F.col("root").alias(f"r{c}"))
+    between = links.join(at("a"), "a").join(at("b"), "b").select(F.col("ra").alias("a"), F.col("rb").alias("b"))
+    moved = components(between).select(F.col("id").alias("_was"), F.col("root").alias("_now"))
+    return roots.join(moved, F.col(column) == F.col("_was"), "left").withColumn(column, F.coalesce("_now", column)).drop("_was", "_now")
+
+
 def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
     """(a, b) links between ids whose sets of shingles have at least the given share in common; ids are connected by links
     just when pairs of that similarity connect them.
 
     Keys and wide fingerprints find most links by the sampled plan, some by chance not. Then all pairs between the
-    components so far whose prefixes share a shingle are compared, so none is left. Each link that is returned has been
-    compared on the whole sets of shingles. Ids must be distinct; rows of null id or of no words are not linked.
+    components so far whose prefixes share a shingle are compared, so none is left: those under a shingle of few texts as pairs,
+    those under a frequent one in blocks, where each text first comes under one such shingle alone, so that large groups are
+    together before all their shingles are gone through. Each link that is returned has been compared on the whole sets of
+    shingles. Rows of null id or of no words are not linked. Rows that share an id are one document of several texts.
     """
     named = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     prints = materialize(similar_prints(named, size, similarity), "similar-prints")
@@ -429,11 +579,24 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
     roots = components(links).select(F.col("id").alias("_i"), "root")
     rooted = prints.select(F.col("doc_id").alias("id"), "n", "prefix").join(roots, F.col("id") == F.col("_i"), "left")
-    rest = materialize(prefix_pairs(rooted.withColumn("root", F.coalesce("root", "id")), similarity), "similar-rest")
+    shared = shared_postings(rooted.withColumn("root", F.coalesce("root", "id")))
+    frequent = shared.where(F.col("texts") > HOT_SHINGLE)
+    if frequent.limit(1).count():
+        once = frequent.groupBy("id").agg(F.min_by("shingle", F.xxhash64("shingle")).alias("_one")).select(F.col("id").alias("_id"), "_one")
+        once = materialize(frequent.join(once, (F.col("id") == F.col("_id")) & (F.col("shingle") == F.col("_one"))).select(*shared.columns), "similar-once")
+        met = materialize(block_links(once, named, size, similarity), "similar-met")
+        links = links.unionByName(met)
+        shared = among_several(follow(shared.drop("texts", "shingles"), "root", met, once.select("id", "root").distinct()), "similar-shared")
+        links = links.unionByName(block_links(shared.where(F.col("texts") > HOT_SHINGLE), named, size, similarity))
+    rest = materialize(prefix_pairs(shared.where(F.col("texts") <= HOT_SHINGLE), similarity), "similar-rest")
     return links.unionByName(verified(rest, named, size, similarity))
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs without those whose component of similar texts has a lesser id, all columns as they are."""
+    """The rows of docs without those whose component of similar texts has a lesser id, all columns as they are.
+
+    Rows of null id, and texts of no words (null and empty ones too), are never dropped. Rows that share an id are one document of several texts and
+    stay or go together. Whole texts are compared, however long. An empty table gives an empty result.
+    """
     roots = components(materialize(similar_links(docs, id_col, text_col), "similar-links"))
     return without_ids(docs, materialize(roots.where("id != root").select("id"), "similar-gone"), id_col)
