@@ -15,13 +15,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import materialize
+
 WIDTHS = (2, 3, 4)
 FILTERS = 16
 WINDOW = 256
 OVERLAP = max(WIDTHS) - 1
-#: The training sample: rows a language, languages, and pieces of each row's text.
-MOST_ROWS, MOST_LANGUAGES, PIECES, PIECE_CHARS = 400, 64, 4, 200
-STEPS, BATCH, RATE = 500, 128, 0.01
+#: The training sample, the one bound on what is learned from: rows a language, rows in all (shared evenly if the languages
+#: are many), and pieces of each row's text.
+MOST_ROWS, SAMPLE_ROWS, PIECES, PIECE_CHARS = 400, 50_000, 4, 200
+#: Steps of training: so many for up to eight languages, and in proportion for more.
+STEPS, STEPS_UPTO, BATCH, RATE = 500, 8, 128, 0.01
 #: Windows held at once in a worker: about 16 MB a table look-up.
 CHUNK = 1024
 NO_LANGUAGE = "und"
@@ -126,24 +130,26 @@ def softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=1, keepdims=True)
 
 
-def training_sample(rows: DataFrame) -> list[tuple[str, str]]:
-    """(language, piece of text): PIECES pieces of up to MOST_ROWS rows of each of the MOST_LANGUAGES commonest languages.
+def training_sample(rows: DataFrame, sample_rows: int = SAMPLE_ROWS) -> list[tuple[str, str]]:
+    """(language, piece of text): PIECES pieces of about MOST_ROWS rows of each language, or of fewer if there are so many languages that
+    these come to more than sample_rows.
 
-    rows: doc_id, text, lang. Rows are drawn by a hash of the id at the rate that each language's count asks for.
+    rows: doc_id, text, lang. Rows are drawn by a hash of the id at the rate that each language's count asks for; every language is
+    learned, unless there are more of them than sample_rows.
     """
     usable = rows.where("lang is not null and text is not null and char_length(text) > 0")
-    counts = usable.groupBy("lang").count().orderBy(F.col("count").desc(), "lang").limit(MOST_LANGUAGES).collect()
-    if not counts:
+    counts = materialize(usable.groupBy(F.col("lang").alias("_lang")).agg(F.count(F.lit(1)).alias("_n")), "language-counts")
+    languages = counts.count()
+    if not languages:
         return []
-    rate = F.lit(0.0)
-    for r in counts:
-        rate = F.when(F.col("lang") == r["lang"], F.lit(min(1.0, MOST_ROWS / r["count"]))).otherwise(rate)
+    each = max(1, min(MOST_ROWS, sample_rows // languages))
     draw = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(1 << 30)) / float(1 << 30)
-    chosen = usable.where(draw < rate)
+    # rows that no language could draw do not meet the join; a language of few rows gives all it has
+    least = counts.agg(F.min("_n")).first()[0]
+    chosen = usable.where(draw < min(1.0, each / least)).join(counts, F.col("lang") == F.col("_lang")).where(draw < F.lit(float(each)) / F.col("_n"))
     room = F.greatest(F.char_length("text") - PIECE_CHARS, F.lit(0)) + 1
     pieces = [F.substring(F.col("text"), (F.pmod(F.xxhash64("doc_id", F.lit(20 + i)), room) + 1).cast("int"), F.lit(PIECE_CHARS)) for i in range(PIECES)]
-    most = MOST_ROWS * MOST_LANGUAGES * 2
-    taken = chosen.select("lang", F.xxhash64("doc_id").alias("h"), F.array(*pieces).alias("pieces")).orderBy("h").limit(most).collect()
+    taken = chosen.select("lang", F.xxhash64("doc_id").alias("h"), F.array(*pieces).alias("pieces")).orderBy("h").limit(2 * sample_rows).collect()
     return [(r["lang"], p) for r in taken for p in r["pieces"]]
 
 
@@ -156,7 +162,8 @@ def train(sample: list[tuple[str, str]], seed: int = 5) -> ByteConvNet | None:
     most = max(map(len, by))
     rng = np.random.default_rng(seed)
     x = np.concatenate([b[rng.permutation(np.arange(most) % len(b))] for b in by])
-    return ByteConvNet(languages, seed).fit(x, np.repeat(np.arange(len(languages)), most))
+    steps = STEPS * max(1, -(-len(languages) // STEPS_UPTO))
+    return ByteConvNet(languages, seed).fit(x, np.repeat(np.arange(len(languages)), most), steps)
 
 
 RESULT = "doc_id long, held_out boolean, lang_pred string, score double"
@@ -207,8 +214,8 @@ def identify(docs: DataFrame, net: ByteConvNet | None, held_out, id_col: str = "
 def language_id(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """Trains on text and non-null language of rows whose crc32 of the id as text is not 1 mod 3, and predicts all rows.
 
-    A null id is neither trained on nor held out. Rows that repeat an id get the same held_out. A language of few rows is
-    learned from those. Languages beyond the 64 commonest are not learned. An empty table gives an empty result.
+    A null id is neither trained on nor held out. Rows that repeat an id get the same held_out. Every language is
+    learned, one of few rows from those. Whole texts are read, however long. An empty table gives an empty result.
     """
     third = F.crc32(F.col(id_col).cast("string").cast("binary")) % 3
     seen = docs.where(third != 1).select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang"))
