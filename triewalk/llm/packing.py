@@ -23,8 +23,9 @@ from .tokens import encoder
 CAPACITY = 2048
 #: Mean number of pieces of a group.
 GROUP = 3000
-#: Of a rest longer than SPLIT_OVER ids, the last SPLIT ids become a piece of their own: small pieces even out the windows.
-SPLIT_OVER, SPLIT = 256, 48
+#: Of a rest longer than the first number of ids, so many at its end become a piece of their own: small pieces even out the windows.
+#: (256, 48) leaves hardly any padding; None cuts documents at the capacity alone.
+SPLIT = (256, 48)
 
 
 def difference(sizes: np.ndarray, k: int) -> np.ndarray:
@@ -88,22 +89,22 @@ def pack_sizes(sizes: np.ndarray, capacity: int = CAPACITY) -> np.ndarray:
         k += 1
 
 
-def cut(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
+def cut(n: int, capacity: int = CAPACITY, split: tuple[int, int] | None = SPLIT) -> list[tuple[int, int]]:
     """(start, length) of a document's pieces."""
     out = [(a, capacity) for a in range(0, n - capacity + 1, capacity)]
     start = len(out) * capacity
     rest = n - start
-    if rest > SPLIT_OVER:
-        out += [(start, rest - SPLIT), (n - SPLIT, SPLIT)]
+    if split and rest > split[0]:
+        out += [(start, rest - split[1]), (n - split[1], split[1])]
     elif rest:
         out.append((start, rest))
     return out
 
 
-PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, row_no long"
+PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, doc_pieces long, row_no long"
 
 
-def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, split: tuple[int, int] | None = SPLIT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row a piece of each document, ids encoded by the tokenizer with the end id appended."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -113,22 +114,23 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, id_col: st
             for doc_id, row_no, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
                 ids = memoryview(encode(text.as_py()))
                 n = len(ids) // 4
-                rows += [(doc_id, a, m, zlib.crc32(ids[4 * a : 4 * (a + m)]), n, row_no) for a, m in cut(n, capacity)]
-            columns = list(zip(*rows, strict=True)) if rows else [()] * 6
+                spans = cut(n, capacity, split)
+                rows += [(doc_id, a, m, zlib.crc32(ids[4 * a : 4 * (a + m)]), n, len(spans), row_no) for a, m in spans]
+            columns = list(zip(*rows, strict=True)) if rows else [()] * 7
             yield pa.record_batch([pa.array(list(c), pa.int64()) for c in columns], names=[x.split()[0] for x in PIECES.split(", ")])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row_no"), F.col(text_col).alias("text"))
     return rows.mapInArrow(run, PIECES)
 
 
-def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, group: int = GROUP, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset: one row a piece.
+def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, group: int = GROUP, split: tuple[int, int] | None = SPLIT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, doc_pieces: one row a piece; doc_pieces: of its document.
 
     Null and empty texts have the end id alone, one piece. Rows that repeat an id are packed as rows of their own. A full
     piece is a sequence by itself. Offsets of a sequence are gapless from 0. An empty table gives an empty result.
-    Groups hold about `group` pieces each, by a hash of (row, start), so a very long document spreads over many.
+    Groups hold about `group` pieces each, by a hash of (row, start), so a very long document spreads over many. Other columns are not read.
     """
-    cut_up = materialize(pieces(docs, tokenizer, capacity, id_col, text_col), "pack-pieces")
+    cut_up = materialize(pieces(docs, tokenizer, capacity, split, id_col, text_col), "pack-pieces")
     groups = max(1, round(cut_up.count() / group))
     keyed = cut_up.withColumn("grp", F.pmod(F.xxhash64("row_no", "start"), F.lit(groups)))
 
@@ -139,6 +141,6 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, group: int =
         window = np.concatenate([np.arange(full), full + pack_sizes(sizes[full:], capacity)])
         one["sequence_id"] = window + (int(key[0]) << 24)
         one["offset"] = one.groupby("sequence_id")["length"].cumsum() - one["length"]
-        return one[["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]]
+        return one[["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "doc_pieces"]]
 
-    return keyed.groupBy("grp").applyInPandas(assign, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    return keyed.groupBy("grp").applyInPandas(assign, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, doc_pieces long")
