@@ -1,8 +1,9 @@
 """Exact dedup by progressive refinement: length, then a hash of the prefix, then a hash of the whole text.
 
-The first scan reads only lengths and prefixes. The (length, prefix) groups that hold more than one row
-go into a bitmap of a fixed size, which is broadcast; in the second scan only texts whose bit is set are hashed in full.
-A row whose bit is set by chance costs one hash and changes no result.
+The first scan keeps a length and a hash of the prefix for each row, no text. Lengths that occur once settle their rows; of the
+others' rows the prefix hashes are compared, and the (length, prefix) groups of more than one row go into a bitmap of a
+fixed size, which is broadcast. In the second scan only texts whose bit is set are hashed in full. A row whose bit is set
+by chance costs one hash and changes no result.
 """
 
 from __future__ import annotations
@@ -15,25 +16,38 @@ from .common import ascii_lower, bitmap_of, marked, materialize
 PREFIX_CHARS = 256
 
 
-def _prefix_key(text: Column) -> Column:
-    return F.xxhash64(F.octet_length(text), ascii_lower(F.substring(text, 1, PREFIX_CHARS)))
+def _length(text: Column) -> Column:
+    return F.octet_length(text)
 
 
-def _repeated_prefixes(rows: DataFrame) -> DataFrame:
-    """Bitmap of the (length, prefix) keys that more than one row has."""
-    again = rows.groupBy("prefix_key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    return bitmap_of(again, F.col("prefix_key"), "dedup-bitmap")
+def _prefix(text: Column) -> Column:
+    return F.xxhash64(ascii_lower(F.substring(text, 1, PREFIX_CHARS)))
 
 
-def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
-    """doc_id, keep_id, group_size, kept for every row of docs, and text_sha256 of the normalised text if digest.
+def candidates(texts: DataFrame) -> DataFrame:
+    """Bitmap of the (length, prefix) keys that more than one row of texts (raw) has: by length first, then by prefix among the lengths left."""
+    keys = materialize(texts.select(_length(F.col("raw")).alias("length"), _prefix(F.col("raw")).alias("prefix")), "dedup-keys")
+    lengths = keys.groupBy(F.col("length").alias("_l")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("_l")
+    left = keys.join(materialize(lengths, "dedup-lengths"), F.col("length") == F.col("_l"), "left_semi")
+    again = left.groupBy("length", "prefix").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    return bitmap_of(again, F.xxhash64("length", "prefix"), "dedup-bitmap")
+
+
+def _survivors(texts: DataFrame, bitmap: DataFrame) -> DataFrame:
+    """texts (raw, ...) with `maybe`: whether the row's length and prefix may have others."""
+    return marked(texts, bitmap, F.xxhash64(_length(F.col("raw")), _prefix(F.col("raw"))), "maybe")
+
+
+def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, bitmap: DataFrame | None = None) -> DataFrame:
+    """doc_id, keep_id, group_size, kept, text_sha256 for every row of docs. The hash of the normalised text is null for rows that
+    the refinement settles without it, unless digest asks for all. bitmap: of candidates(), if there already.
 
     Texts are equal when the same after lower-casing A-Z; a null text counts as empty, so nulls and empty texts are one
     group. Of a group the row with the largest id stays (a null id is below all others); of rows that repeat both text
-    and id exactly one is kept. Other columns of docs are not read. An empty table gives an empty result.
+    and id exactly one is kept. Other columns of docs are not read. Whole texts count, however long. An empty table gives an empty result.
     """
-    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("raw")).withColumn("prefix_key", _prefix_key(F.col("raw")))
-    tested = marked(rows, _repeated_prefixes(rows), F.col("prefix_key"), "maybe")
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("raw"))
+    tested = _survivors(rows, candidates(rows) if bitmap is None else bitmap)
     whole = F.sha2(ascii_lower(F.col("raw")), 256)
     narrow = tested.select(
         "doc_id",
@@ -58,7 +72,7 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         F.when(F.col("n").isNull(), F.col("doc_id")).otherwise(F.col("top_id")).alias("keep_id"),
         F.coalesce("n", F.lit(1)).cast("long").alias("group_size"),
         F.coalesce(F.col("top_row") == F.col("row_no"), F.lit(True)).alias("kept"),
-        *(["text_sha256"] if digest else []),
+        "text_sha256",
     )
     return out
 
@@ -66,15 +80,18 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs that exact_groups keeps, with all their columns; of rows that repeat text and id, one stays.
 
-    Rows of a text with copies are told from the rest by a bitmap of their full hashes: only they are shuffled, with their texts.
+    Only texts that length and prefix leave are hashed in full, and only rows of a text with copies, which a bitmap of their
+    full hashes marks, are shuffled with their texts. An empty table gives an empty result.
     """
-    verdict = materialize(exact_groups(docs, id_col, text_col, digest=True).where("group_size > 1"), "dedup-verdict")
-    sha = F.sha2(ascii_lower(F.coalesce(F.col(text_col), F.lit(""))), 256)
-    keyed = docs.withColumn("_sha", sha)
-    flagged = marked(keyed, bitmap_of(verdict, F.xxhash64("text_sha256"), "copies-bitmap"), F.xxhash64("_sha"), "_maybe")
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    bitmap = candidates(docs.select(text.alias("raw")))
+    verdict = materialize(exact_groups(docs, id_col, text_col, bitmap=bitmap).where("group_size > 1"), "dedup-verdict")
+    copied = materialize(verdict.groupBy("text_sha256").agg(F.max("keep_id").alias("_kept_id")).withColumnRenamed("text_sha256", "_hash"), "dedup-kept")
+    tested = marked(docs, bitmap, F.xxhash64(_length(text), _prefix(text)), "_survives")
+    keyed = tested.withColumn("_sha", F.when(F.col("_survives"), F.sha2(ascii_lower(text), 256)))
+    flagged = marked(keyed, bitmap_of(copied, F.xxhash64("_hash"), "copies-bitmap"), F.xxhash64("_sha"), "_maybe").withColumn("_maybe", F.col("_maybe") & F.col("_survives"))
     alone = flagged.where("not _maybe").select(*docs.columns)
-    copied = verdict.groupBy("text_sha256").agg(F.max("keep_id").alias("_kept_id")).withColumnRenamed("text_sha256", "_hash")
-    among = flagged.where("_maybe").drop("_maybe").join(materialize(copied, "dedup-kept"), F.col("_sha") == F.col("_hash"), "left")
+    among = flagged.where("_maybe").drop("_maybe", "_survives").join(copied, F.col("_sha") == F.col("_hash"), "left")
     # a marked row without copies finds no partner and stays
     stay = among.where(F.col("_hash").isNull() | F.col(id_col).eqNullSafe(F.col("_kept_id")))
     one = stay.where("_hash is null").select(*docs.columns).unionByName(stay.where("_hash is not null").dropDuplicates(["_sha"]).select(*docs.columns))
