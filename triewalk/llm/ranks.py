@@ -7,10 +7,19 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def running_start(df: DataFrame, group: list[str], bucket: Column, order: list[Column], amount: Column, buckets: int, out: str) -> DataFrame:
+#: Rows of a small table that may be sent to all executors.
+BROADCAST_ROWS = 1 << 21
+
+
+def sent_if_small(df: DataFrame, rows: int) -> DataFrame:
+    """df, to be broadcast if its known number of rows allows; else the join is left to the planner."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
+def running_start(df: DataFrame, group: list[str], bucket: Column, order: list[Column], amount: Column, buckets: int, out: str, groups: int) -> DataFrame:
     """df with `out`: the sum of amount over the rows before this one, in its group, by (bucket, order).
 
-    group: columns of few values (their number times `buckets` rows are broadcast: a bound that the caller states).
+    groups: how many groups there are; the table of totals, groups times `buckets` rows, is broadcast if that is few.
     order must be total within a bucket but for rows that are the same; bucket must be an int in [0, buckets).
     """
     keyed = df.withColumn("_bucket", bucket.cast("int")).withColumn("_amount", amount.cast("long"))
@@ -23,4 +32,4 @@ def running_start(df: DataFrame, group: list[str], bucket: Column, order: list[C
     same = F.col("_bucket") == F.col("_b")
     for i, g in enumerate(group):
         same = same & F.col(g).eqNullSafe(F.col(f"_g{i}"))
-    return placed.join(F.broadcast(right), same, "left").withColumn(out, F.col("_start") + F.col("_inside")).drop("_bucket", "_amount", "_inside", "_start", "_b", *(f"_g{i}" for i in range(len(group))))
+    return placed.join(sent_if_small(right, groups * buckets), same, "left").withColumn(out, F.col("_start") + F.col("_inside")).drop("_bucket", "_amount", "_inside", "_start", "_b", *(f"_g{i}" for i in range(len(group))))

@@ -98,7 +98,7 @@ def even_out(placed: DataFrame, n: int, shards: int) -> DataFrame:
     mixed = F.xxhash64("row_no", F.lit(3))
     # lone rows stand in the lower third of the buckets, linked ones, by part, in the next, those of large groups in the last
     spot = F.when(F.col("pinned").isNotNull(), F.pmod(mixed, F.lit(BUCKETS)) + 2 * BUCKETS).when(F.col("linked"), F.pmod(F.xxhash64("part"), F.lit(BUCKETS)) + BUCKETS).otherwise(F.pmod(mixed, F.lit(BUCKETS)))
-    ranked = running_start(placed, ["label"], spot, [F.col("part"), mixed, F.col("row_no")], F.lit(1), 3 * BUCKETS, "rank")
+    ranked = running_start(placed, ["label"], spot, [F.col("part"), mixed, F.col("row_no")], F.lit(1), 3 * BUCKETS, "rank", shards)
     base, first = {}, 0
     for s in range(shards):
         base[s], first = first, first + over[s]
@@ -111,10 +111,11 @@ def even_out(placed: DataFrame, n: int, shards: int) -> DataFrame:
 
 
 def shard(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, size, text_crc32, law, shard, slot, grown_shard for every row of docs, by the law `rows`.
+    """doc_id, size, text_crc32, law, shard, slot, grown_shard, linked, cut for every row of docs, by the law `rows`.
 
-    Size: the text's UTF-8 bytes plus 1 (null: 1). A null text is linked with empty ones. A null or repeated id makes a
-    row of its own. An empty table gives an empty result; other columns are not read.
+    Size: the text's UTF-8 bytes plus 1 (null: 1). A null text is linked with empty ones. linked: whether others have the row's
+    text; cut: whether it stands outside the shard that holds most of them, so that its link is an edge that was cut. A null or
+    repeated id makes a row of its own. An empty table gives an empty result; other columns are not read.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(
@@ -127,11 +128,11 @@ def shard(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, id_col: s
     rows = materialize(rows, "shard-rows")
     n = rows.count()
     groups = materialize(rows.groupBy("text_key").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1").select(F.col("text_key").alias("k"), "copies"), "shard-groups")
-    # at most eight large groups a shard; of few rows, those of over 32 or of over a quota
-    large = max(1, n // (shards * 8), min(n // shards, 32))
+    # less than eight such groups a shard, however many rows there are
+    large = max(1, n // (shards * 8))
     homes = place_large({r["k"]: r["copies"] for r in groups.where(F.col("copies") > large).collect()}, shards, n)
-    cut = [(k, s, upto - rows_here, upto) for k, home in homes.items() for (s, rows_here), upto in zip(home, accumulate(x for _, x in home), strict=True)]
-    spread = docs.sparkSession.createDataFrame([(k, s, a / home, z / home) for k, s, a, z in cut for home in [sum(x for _, x in homes[k])]], "hk long, pinned int, lo double, hi double")
+    pieces = [(k, s, upto - rows_here, upto) for k, home in homes.items() for (s, rows_here), upto in zip(home, accumulate(x for _, x in home), strict=True)]
+    spread = docs.sparkSession.createDataFrame([(k, s, a / home, z / home) for k, s, a, z in pieces for home in [sum(x for _, x in homes[k])]], "hk long, pinned int, lo double, hi double")
     joined = rows.join(groups, F.col("text_key") == F.col("k"), "left")
     draw = F.pmod(F.xxhash64("row_no"), F.lit(1 << 30)) / float(1 << 30)
     joined = joined.join(F.broadcast(spread), (F.col("text_key") == F.col("hk")) & (draw >= F.col("lo")) & (draw < F.col("hi")), "left")
@@ -139,5 +140,14 @@ def shard(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, id_col: s
     placed = materialize(propagate(materialize(parts, "shard-parts"), shards, rounds, n), "shard-placed")
     even = materialize(even_out(placed, n, shards), "shard-even")
     mixed = F.xxhash64("row_no", F.lit(4))
-    slotted = running_start(even, ["shard"], F.pmod(mixed, F.lit(BUCKETS)), [mixed, F.col("row_no")], F.lit(1), BUCKETS, "slot")
-    return slotted.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", F.col("slot").cast("long"), F.lit(None).cast("int").alias("grown_shard"))
+    spread_out = even.where("linked").groupBy("part", "shard").agg(F.count(F.lit(1)).alias("n")).groupBy("part").agg(F.max(F.struct("n", -F.col("shard"))).alias("top"), F.count(F.lit(1)).alias("shards"))
+    homes = materialize(spread_out.where("shards > 1").select(F.col("part").alias("_part"), (-F.col("top.col2")).alias("_home")), "shard-homes")
+    even = even.join(homes, F.col("linked") & (F.col("part") == F.col("_part")), "left")
+    slotted = running_start(even, ["shard"], F.pmod(mixed, F.lit(BUCKETS)), [mixed, F.col("row_no")], F.lit(1), BUCKETS, "slot", shards)
+    cut_off = F.coalesce(F.col("shard") != F.col("_home"), F.lit(False))
+    return slotted.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", F.col("slot").cast("long"), F.lit(None).cast("int").alias("grown_shard"), "linked", cut_off.alias("cut"))
+
+
+def cut_links(placed: DataFrame) -> DataFrame:
+    """One row: links (a row to its text's group, for texts of several rows) and how many of them the shards cut."""
+    return placed.where("linked").agg(F.count(F.lit(1)).alias("links"), F.coalesce(F.sum(F.col("cut").cast("long")), F.lit(0)).alias("cut"))
