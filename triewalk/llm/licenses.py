@@ -34,6 +34,22 @@ NOTICES = {
 TAG = "spdx license identifier"
 IDENTIFIERS = {"apache-2.0": "apache-2", "gpl-2.0": "gpl-2", "gpl-2.0-only": "gpl-2", "gpl-2.0-or-later": "gpl-2", "gpl-3.0": "gpl-3", "gpl-3.0-only": "gpl-3", "gpl-3.0-or-later": "gpl-3", "mpl-2.0": "mpl-2", "cc-by-nc-4.0": "cc-by-nc", "cc-by-4.0": "cc-by", "cc-by-sa-4.0": "cc-by-sa"}
 
+#: Identifiers that a tag may name, in lower case; any other word after a tag is no licence.
+KNOWN = frozenset(
+    """
+    0bsd afl-3.0 agpl-1.0 agpl-3.0 agpl-3.0-only agpl-3.0-or-later apache-1.0 apache-1.1 apache-2.0 artistic-1.0 artistic-2.0 beerware
+    blueoak-1.0.0 bsd-1-clause bsd-2-clause bsd-3-clause bsd-3-clause-clear bsd-4-clause bsl-1.0 busl-1.1 cc-by-3.0 cc-by-4.0
+    cc-by-nc-3.0 cc-by-nc-4.0 cc-by-nc-nd-4.0 cc-by-nc-sa-4.0 cc-by-nd-4.0 cc-by-sa-3.0 cc-by-sa-4.0 cc0-1.0 cddl-1.0 cddl-1.1
+    cecill-2.1 cpl-1.0 curl ecl-2.0 elastic-2.0 epl-1.0 epl-2.0 eupl-1.1 eupl-1.2 ftl gfdl-1.3 gpl-1.0 gpl-2.0 gpl-2.0-only
+    gpl-2.0-or-later gpl-3.0 gpl-3.0-only gpl-3.0-or-later hpnd icu ijg isc json lgpl-2.0 lgpl-2.1 lgpl-2.1-only lgpl-2.1-or-later
+    lgpl-3.0 lgpl-3.0-only lgpl-3.0-or-later libpng lppl-1.3c mit mit-0 mpl-1.1 mpl-2.0 ms-pl ms-rl mulanpsl-2.0 ncsa odbl-1.0
+    ofl-1.1 openssl osl-3.0 php-3.01 postgresql psf-2.0 python-2.0 ruby sspl-1.0 unicode-dfs-2016 unlicense upl-1.0 vim w3c wtfpl
+    x11 zlib zpl-2.1
+    """.split()
+)
+#: Labels that an expression is evaluated against unless told otherwise.
+PERMISSIVE = frozenset({"0bsd", "apache-2", "bsd-2-clause", "bsd-3-clause", "bsl-1.0", "cc0-1.0", "isc", "mit", "mit-0", "postgresql", "python-2.0", "unlicense", "zlib"})
+
 _UPPER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 #: Every byte outside words becomes a blank; letters A-Z become lower case.
 _WORDS = bytes(32 if _UPPER[c] <= 0x2F or 0x3A <= _UPPER[c] <= 0x60 or 0x7B <= _UPPER[c] <= 0x7F else _UPPER[c] for c in range(256))
@@ -106,17 +122,24 @@ def _nodes(tree: tuple) -> list[tuple]:
     return out
 
 
+def label_of(name: str) -> str | None:
+    """The label of an identifier in lower case (`+`: or later); None for one that is not known."""
+    name = name if name in KNOWN else name.removesuffix("+")
+    return IDENTIFIERS.get(name, name) if name in KNOWN else None
+
+
 def labels_of(tree: tuple) -> set[str]:
-    """Labels that an expression names."""
-    return {IDENTIFIERS.get(node[1], node[1]) for node in _nodes(tree) if node[0] == "id"}
+    """Labels of the known identifiers that an expression names."""
+    return {label for node in _nodes(tree) if node[0] == "id" if (label := label_of(node[1]))}
 
 
-def satisfied(tree: tuple, allowed: set[str]) -> bool:
-    """Whether the allowed labels meet an expression: `or` leaves a choice, `and` needs both, `with` needs the licence before it."""
+def satisfied(tree: tuple, allowed: frozenset[str] | set[str]) -> bool:
+    """Whether the allowed labels meet an expression: `or` leaves a choice, `and` needs both, `with` needs the licence before it.
+    An unknown identifier is not allowed."""
     values: list[bool] = []
     for node in reversed(_nodes(tree)):
         if node[0] == "id":
-            values.append(IDENTIFIERS.get(node[1], node[1]) in allowed)
+            values.append(label_of(node[1]) in allowed)
         elif node[0] != "with":
             right, left = values.pop(), values.pop()
             values.append(left or right if node[0] == "or" else left and right)
@@ -162,21 +185,23 @@ def scan(text: str | None) -> dict:
                 tree = parse_expression(m[1])
             except BadExpression:
                 continue
-            out["expressions"].append(tree)
-            out["own"] |= labels_of(tree)
-            doubt = 0.0
+            if named := labels_of(tree):
+                out["expressions"].append(tree)
+                out["own"] |= named
+                doubt = 0.0
     out["score"] = 1 - doubt if out["base"] or out["own"] else 0.0
     return out
 
 
-RESULT = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double"
+RESULT = "doc_id long, n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, permitted boolean"
 
 
-def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row a row of docs: words, places of base phrases, labels. A null or empty text has none and the score 0.
+def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", allowed: frozenset[str] = PERMISSIVE) -> DataFrame:
+    """One row a row of docs: words, places of base phrases, labels, and whether the allowed labels meet every expression after an
+    identifier tag (null if there is none that names a known identifier). A null or empty text has no words and the score 0.
 
     Labels are distinct, sorted and comma-joined; those of the method include the base's. Every word of a text is read,
-    however long. Other columns are not read; rows that repeat an id come back each.
+    however long. Other columns are not read; rows that repeat an id come back each. An empty table gives an empty result.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -185,9 +210,9 @@ def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
             for doc_id, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 x = scan(text.as_py())
                 at = [w for w, _ in x["places"]]
-                rows.append((doc_id, x["n_words"], len(at), min(at, default=None), max(at, default=None), ",".join(sorted(x["base"])), ",".join(sorted(x["base"] | x["own"])), x["score"]))
-            columns = list(zip(*rows, strict=True)) if rows else [()] * 8
-            kinds = [*[pa.int64()] * 5, pa.string(), pa.string(), pa.float64()]
+                rows.append((doc_id, x["n_words"], len(at), min(at, default=None), max(at, default=None), ",".join(sorted(x["base"])), ",".join(sorted(x["base"] | x["own"])), x["score"], all(satisfied(t, allowed) for t in x["expressions"]) if x["expressions"] else None))
+            columns = list(zip(*rows, strict=True)) if rows else [()] * 9
+            kinds = [*[pa.int64()] * 5, pa.string(), pa.string(), pa.float64(), pa.bool_()]
             yield pa.record_batch([pa.array(list(c), k) for c, k in zip(columns, kinds, strict=True)], names=[x.split()[0] for x in RESULT.split(", ")])
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, RESULT)
