@@ -2,7 +2,9 @@
 
 import hashlib
 import json
+import math
 import random
+import re
 import struct
 import zlib
 from collections import Counter, defaultdict
@@ -16,9 +18,9 @@ from triewalk.llm import golay, langid, licenses, packing, quality, simhash, suf
 from triewalk.llm.anchors import runs
 from triewalk.llm.components import components
 from triewalk.llm.exact_dedup import drop_exact_copies, exact_groups
-from triewalk.llm.mixing import mix, repeat_mixed
+from triewalk.llm.mixing import mix, repeat_mixed, shard_quotas
 from triewalk.llm.queries import ORACLES, QUERIES, word_bpe
-from triewalk.llm.sharding import shard
+from triewalk.llm.sharding import cut_links, shard
 from triewalk.llm.suffix_sort import common_prefixes, suffix_array
 from triewalk.llm.token_files import ShardReader, token_file_digests, write_token_files
 from triewalk.llm.tokens import WordEncoder, same_rules
@@ -107,6 +109,11 @@ def test_exact(awkward):
     kept = Counter(r["text_sha256"] for r in exact_groups(awkward, digest=True).where("kept").collect())
     assert set(kept.values()) == {1} and len(kept) == len(groups)
     assert drop_exact_copies(awkward).count() == len(groups)
+    # the refinement alone: only rows that share length and prefix with others are hashed in full
+    hashed = {r["doc_id"]: r["text_sha256"] for r in exact_groups(awkward).where("text_sha256 is not null").collect()}
+    whole = {r["doc_id"]: tuple(r) for r in exact_groups(awkward, digest=True).drop("text_sha256").collect()}
+    assert whole == {r["doc_id"]: tuple(r) for r in exact_groups(awkward).drop("text_sha256").collect()}
+    assert {0, 1, 2, 3, 13} <= set(hashed) and not {7, 9, 10} & set(hashed)
 
 
 def test_mix(spark, docs, awkward):
@@ -141,6 +148,15 @@ def test_mix(spark, docs, awkward):
     assert got(mix(docs)) == got(mix(docs.repartition(5)))
 
 
+def test_shard_quotas(docs, empty):
+    by = defaultdict(int)
+    for r in shard_quotas(docs).collect():
+        assert r["blocks"] > 0
+        by[r["shard"]] += r["blocks"]
+    assert set(by) == set(range(16)) and max(by.values()) - min(by.values()) <= 1
+    assert shard_quotas(empty).count() == 0
+
+
 def test_repeat_mixed_meets_targets(spark, docs):
     # documents of many blocks each: a block of these tables is a word or so
     rng = random.Random(6)
@@ -189,6 +205,20 @@ def test_shard_keeps_large_groups(spark):
     for g, n in enumerate(sizes):
         assert len(homes[f"group {g}"]) <= (1 if n <= 400 else 3), (n, homes[f"group {g}"])
         assert max(homes[f"group {g}"].values()) >= min(n, 360)
+    placed = shard(df)
+    outside = sum(sum(h.values()) - max(h.values()) for g, h in homes.items() if g.startswith("group"))
+    assert tuple(cut_links(placed).first()) == (sum(sizes), outside) and placed.where("cut and not linked").count() == 0
+
+
+@pytest.mark.parametrize("n", [160, 6400])
+def test_shard_is_alike_at_all_sizes(spark, n):
+    """Groups of a tenth and a fortieth of a quota and more stay whole, however many rows there are."""
+    quota = n // 16
+    sizes = [max(2, quota // k) for k in (1, 2, 3, 10, 40)]
+    rows = [f"group {g}" for g, m in enumerate(sizes) for _ in range(m)]
+    rows += [f"lone {i}" for i in range(n - len(rows))]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    assert tuple(cut_links(shard(df)).first()) == (sum(sizes), 0)
 
 
 def test_tokens_and_files(spark, awkward, docs, tmp_path):
@@ -275,6 +305,9 @@ def test_pack(docs, awkward):
             assert at == full if full else at <= 2048
     used = sum(n for s in sequences.values() for _, n in s)
     assert used == sum(len(x) // 4 for x in ids.values())
+    assert packing.cut(5000, split=None) == [(0, 2048), (2048, 2048), (4096, 904)] and len(packing.cut(5000)) == 4
+    whole = packing.pack(docs, word_bpe(), split=None).collect()
+    assert all(r["doc_pieces"] == -(-r["doc_tokens"] // 2048) for r in whole) and sum(r["length"] for r in whole) == sum(len(e.encode(r["text"])) // 4 for r in docs.collect())
 
 
 def test_golay():
@@ -494,6 +527,43 @@ def test_quality(spark, docs, awkward):
     assert kept == set(range(400)) == {r["doc_id"] for r in quality.keep_good(df, labels).collect()}
 
 
+def test_quality_holds_on_a_held_out_half(spark):
+    """Cutoffs chosen on half of the good rows reject no more than ALPHA of the other half, in each stratum."""
+    rng = np.random.default_rng(5)
+    n = 4000
+    scored = spark.createDataFrame([(i, "ab"[i % 2], float(x), False) for i, x in enumerate(rng.lognormal(-0.5 + 0.4 * (np.arange(n) % 2), 0.6, n))], "doc_id long, stratum string, severity double, base_failed boolean")
+    half = spark.range(0, n, 1).where("id % 4 < 2").selectExpr("id as doc_id", "1 as quality")
+    levels = {name: step for name, _, step in quality.calibrate(scored, half)}
+    assert set(levels) == {"a", "b"} and None not in levels.values()
+    rest = scored.where("doc_id % 4 >= 2").collect()
+    for name, step in levels.items():
+        there = [r["severity"] for r in rest if r["stratum"] == name]
+        assert 0 < np.mean([x > step for x in there]) <= quality.ALPHA
+
+
+def test_quality_verdict_by_brute_force(spark, docs):
+    labels = spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    good = {r["doc_id"] for r in labels.collect() if r["quality"] == 1}
+    rows, by = {}, defaultdict(list)
+    for r in docs.collect():
+        n, chars, symbols, dup, repeated, lines, top = quality.count_text(r["text"])
+        failed = n < 50 or 100 * repeated > 50 * n
+        worst = max(symbols / max(chars, 1) / 0.02, dup / max(lines, 1) / 0.45, repeated / max(n, 1) / 0.3, top / max(n, 1) / 0.3)
+        rows[r["doc_id"]] = (failed, worst, r["lang"] or "")
+        if r["doc_id"] in good and not failed:
+            by[r["lang"] or ""].append(worst)
+    level = {}
+    for name, there in by.items():
+        for step in quality.LADDER:
+            k = sum(x > step for x in there)
+            if sum(math.comb(len(there), i) * quality.ALPHA**i * (1 - quality.ALPHA) ** (len(there) - i) for i in range(k + 1)) > quality.DELTA / len(by):
+                break
+            level[name] = step
+    want = {i: not failed and worst <= level.get(name, math.inf) for i, (failed, worst, name) in rows.items()}
+    assert {r["doc_id"]: r["kept"] for r in quality.judge(docs, labels).collect()} == want
+
+
 def test_quality_pools_small_strata(spark):
     strata = [f"l{k}" for k in range(quality.MOST_STRATA + 40)]
     rows, n = [], 0
@@ -516,6 +586,13 @@ def test_licenses(spark, awkward):
     p = licenses.parse_expression
     assert p("MIT OR Apache-2.0 AND GPL-2.0 WITH Classpath-exception-2.0") == ("or", ("id", "mit"), ("and", ("id", "apache-2.0"), ("with", ("id", "gpl-2.0"), ("id", "classpath-exception-2.0"))))
     assert p("(MIT OR ISC) AND BSD-3-Clause")[0] == "and"
+    assert licenses.scan("SPDX-License-Identifier: see below")["own"] == set() and licenses.label_of("gpl-2.0+") == "gpl-2"
+    told = [("SPDX-License-Identifier: MIT OR GPL-3.0", True), ("SPDX-License-Identifier: MIT AND GPL-3.0", False), ("SPDX-License-Identifier: Apache-2.0 WITH LLVM-exception", True)]
+    told += [("SPDX-License-Identifier: MIT\nSPDX-License-Identifier: AGPL-3.0", False), ("SPDX-License-Identifier: see below", None), ("no tag", None), (None, None)]
+    rows = licenses.scan_licenses(spark.createDataFrame([(i, t) for i, (t, _) in enumerate(told)], "doc_id long, text string"))
+    assert [r["permitted"] for r in rows.orderBy("doc_id").collect()] == [x for _, x in told]
+    rows = licenses.scan_licenses(spark.createDataFrame([(0, told[1][0])], "doc_id long, text string"), allowed=frozenset({"mit", "gpl-3"}))
+    assert rows.first()["permitted"] is True
     assert licenses.labels_of(p("GPL-2.0 WITH x OR MIT")) == {"gpl-2", "mit"}
     assert licenses.satisfied(p("MIT AND (GPL-3.0 OR ISC)"), {"mit", "isc"}) and not licenses.satisfied(p("MIT AND ISC"), {"mit"})
     for bad in ("", "MIT OR", "(MIT", "AND MIT", "MIT)", "()"):
@@ -533,6 +610,38 @@ def test_licenses(spark, awkward):
     assert [w for w, _ in long["places"]] == [words + 4 * i for i in range(30000)]
 
 
+def test_license_labels_by_brute_force():
+    rng = random.Random(3)
+    phrases = [*licenses.BASE, *licenses.NOTICES]
+    for _ in range(300):
+        text = " ".join(rng.choice([rng.choice(phrases), rng.choice("the mit license cc by nc sa bsd 3 public gnu".split())]) for _ in range(12))
+        for old in " .,-\n":
+            text = text.replace(" ", rng.choice(" .,-\n"), 2)
+        words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", text)
+        line = f" {' '.join(words)} "
+        x = licenses.scan(text)
+        assert x["own"] == {label for phrase, (label, _) in licenses.NOTICES.items() if f" {phrase} " in line}
+        at = [(i, label) for phrase, label in licenses.BASE.items() for i in range(len(words)) if words[i : i + phrase.count(" ") + 1] == phrase.split()]
+        assert sorted(x["places"]) == sorted(at)
+
+
+def test_language_id_learns_seventy_languages(spark):
+    rng = random.Random(9)
+    letters = "abcdefghijklmnopqrstuvwxyzàéîõüßñçøåæœ"
+    words = {f"l{k:02d}": ["".join(rng.choice(letters) for _ in range(rng.randint(3, 6))) for _ in range(12)] for k in range(70)}
+    rows = [(k * 100 + i, " ".join(rng.choices(w, k=30)), name) for k, (name, w) in enumerate(words.items()) for i in range(30)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    truth = {i: name for i, _, name in rows}
+    found = langid.language_id(df).where("held_out").collect()
+    assert {r["lang_pred"] for r in found} == set(words) and np.mean([r["lang_pred"] == truth[r["doc_id"]] for r in found]) >= 0.9
+
+
+def test_language_sample_is_bounded(spark):
+    df = spark.createDataFrame([(i, f"text {i}", f"l{i % 50}") for i in range(5000)], "doc_id long, text string, lang string")
+    sample = langid.training_sample(df, sample_rows=500)
+    assert len({name for name, _ in sample}) == 50 and len(sample) <= 2 * 500 * langid.PIECES
+
+
 def test_language_id(docs):
     rows = {r["doc_id"]: r for r in langid.language_id(docs).collect()}
     right = [rows[r["doc_id"]]["lang_pred"] == r["lang"] for r in docs.collect() if zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1]

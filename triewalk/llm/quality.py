@@ -136,7 +136,8 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, severity, level for every row of docs.
 
     kept: false if a base rule fails or the severity is over the stratum's certified level. A null text has no words and fails. A null
-    stratum is one of its own. Rows that repeat an id count once each. With no labels nothing but the base rules rejects.
+    stratum is one of its own. Rows that repeat an id count once each. With no labels nothing but the base rules rejects. Whole
+    texts are counted, however long; other columns are not read. An empty table gives an empty result.
     """
     counts = text_counts(docs, [F.col(id_col).alias("doc_id"), F.coalesce(F.col(stratum_col).cast("string"), F.lit("")).alias("stratum")], text_col)
     scored = materialize(counts.withColumn("base_failed", base_failed()).withColumn("severity", severity()), "quality-counts")
