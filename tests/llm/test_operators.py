@@ -15,7 +15,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from triewalk.llm import golay, langid, licenses, packing, quality, simhash, suffix_dedup
-from triewalk.llm.anchors import runs
+from triewalk.llm.anchors import PART, runs
 from triewalk.llm.components import components
 from triewalk.llm.exact_dedup import drop_exact_copies, exact_groups
 from triewalk.llm.mixing import mix, repeat_mixed, shard_quotas
@@ -696,6 +696,52 @@ def test_suffix_dedup(spark, hot):
     assert all(hashlib.sha256(r["kept_text"]).hexdigest() == r["kept_sha256"] for r in rows)
 
 
+def test_suffix_dedup_hot_anchor(spark, monkeypatch):
+    """A line that many texts hold, a passage that many hold between different words, and arrays of few symbols."""
+    monkeypatch.setattr(suffix_dedup, "ARRAY_SYMBOLS", 3000)
+    rng = random.Random(12)
+    text = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(rng.randint(1, 9))) for _ in range(n))
+    line, passage = text(12), text(50)
+    texts = [text(12) + line + text(14) for _ in range(80)] + [text(3) + passage + text(3) for _ in range(60)]
+    texts += [passage[10:240], passage[:215] + "x", *texts[:3], *texts[100:104]]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    for hot in (7, 30, 5000):
+        assert [tuple(r)[1:5] for r in suffix_dedup.remove_repeats(df, hot=hot).orderBy("doc_id").collect()] == brute_removed(texts), hot
+
+
+def test_repeated_windows_by_bands(monkeypatch):
+    rng = random.Random(13)
+    gram = "".join(rng.choice("abcd") for _ in range(32))
+    left, right = ("".join(rng.choice("ab") for _ in range(168)) for _ in "ab")
+    slices = set()
+    while len(slices) < 60:
+        a, z = list(left), list(right)
+        for side in (a, z):
+            for _ in range(rng.randint(0, 2)):
+                side[rng.randrange(168)] = rng.choice("xyz")
+        a = a[rng.randint(0, 60) :]
+        slices.add(("".join([*a, gram, *z]).encode()[: rng.randint(250, 368)], len(a)))
+    slices = [(s, p) for s, p in sorted(slices) if len(s) >= 200 and p <= 168]
+    windows = Counter(s[i : i + 200] for s, p in slices for i in range(len(s) - 199) if 0 <= p - i <= 168)
+    for limit in (100, 2000, 10**6):
+        monkeypatch.setattr(suffix_dedup, "ARRAY_SYMBOLS", limit)
+        flags = suffix_dedup.repeated_windows([s for s, _ in slices], [p for _, p in slices], [1] * len(slices))
+        for (s, p), f in zip(slices, flags, strict=True):
+            assert all(f[i] == (windows[s[i : i + 200]] > 1) for i in range(len(f)) if 0 <= p - i <= 168)
+
+
+def test_suffix_dedup_text_over_a_part(spark):
+    """A text of over 16 MiB, with a passage that stands over the cut of its parts and again in a short text."""
+    rng = np.random.default_rng(8)
+    long = "".join(map(chr, rng.integers(97, 123, PART + 5000)))
+    passage = long[PART - 700 : PART + 900]
+    texts = [long, "A" * 50 + passage + "B" * 50, "C" * 30 + long[100:299]]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rows = suffix_dedup.remove_repeats(df).orderBy("doc_id").collect()
+    kept = [long.replace(passage, ""), "A" * 50 + "B" * 50, texts[2]]
+    assert [tuple(r)[1:5] for r in rows] == [(len(t), len(t) - len(k), int(t != k), hashlib.sha256(k.encode()).hexdigest()) for t, k in zip(texts, kept, strict=True)]
+
+
 def test_runs_cover_all_windows():
     raw = bytes(random.Random(2).choices(b"abcd ", k=5000))
     _, _, start, length, place = runs(raw)

@@ -7,6 +7,8 @@ import numpy as np
 import xxhash
 
 WINDOW, GRAM = 200, 32
+#: Places of the anchor in a window.
+SPREAD = WINDOW - GRAM + 1
 _BASE = 0x9E3779B97F4A7C15
 _PLACE_BITS = 24
 #: Longer texts are cut into parts that overlap by a window less one byte; a window's anchor depends on the window alone.
@@ -55,3 +57,16 @@ def runs(raw: bytes) -> tuple[np.ndarray, ...]:
     if not out:
         return (np.empty(0, np.uint64), np.empty(0, np.uint64), *[np.empty(0, np.int64)] * 3)
     return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+
+
+def bands(raw: bytes, place: int, width: int) -> list[tuple[int, int, int, bytes]]:
+    """The windows of a slice with its anchor at place, by bands of so many places of the anchor in the window: (band, start, end,
+    region) for raw[start : end], the windows in the band, and the bytes that every window of the band would hold. Equal windows
+    lie in one band and under equal regions; a band of width 1 is one window, and its region the window itself."""
+    least, most = max(0, place - (len(raw) - WINDOW)), min(place, SPREAD - 1)
+    out = []
+    for band in range(least // width, most // width + 1):
+        first, last = band * width, min(band * width + width, SPREAD) - 1
+        start, end = place - min(last, most), place - max(first, least) + WINDOW
+        out.append((band, start, end, raw[place - first : place - last + WINDOW]))
+    return out

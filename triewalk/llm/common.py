@@ -52,7 +52,15 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     """Writes df as Parquet to the shared folder and reads it back: cuts the lineage, survives lost executors and gives later joins their sizes."""
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._scratch_path = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Removes tables that materialize gave, once nothing reads them any more."""
+    for df in tables:
+        _remove(df.sparkSession, df._scratch_path)
 
 
 def ascii_lower(text: Column) -> Column:

@@ -4,8 +4,12 @@ Every window of 200 bytes names an anchor (see anchors). Windows can only be equ
 apart into small texts, one per anchor, whose slices share no window with any other text. Slices that are the same byte for byte
 are counted and kept once. What the slices of an anchor share to either side of it is cut out and again kept once with its
 count; over these strings a suffix array is built by linear grouping, and windows whose neighbour there has a common
-prefix of 200 bytes are repeats. An anchor with very many different slices is not brought into one task: its windows
-are hashed and counted as rows of their own.
+prefix of 200 bytes are repeats.
+
+A text that is too long for one array, or for one task, falls apart once more: windows are told apart by where the anchor stands in
+them, in bands, and by the bytes that all windows of a band hold, since equal windows agree in both. Bands become narrower until each
+text is small; a band of one place leaves one string, the window. So every repeat is found in an array or by a count of
+equal strings, however frequent the anchor.
 """
 
 from __future__ import annotations
@@ -19,14 +23,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .anchors import GRAM, WINDOW, runs
-from .common import materialize, total_partitions
+from .anchors import GRAM, SPREAD, WINDOW, bands, runs
+from .common import bitmap_of, discard, marked, materialize, total_partitions
 from .suffix_sort import common_prefixes, suffix_array
 
 #: Different slices of an anchor up to which they meet in one task.
-HOT_SLICES = 20_000
-#: Symbols of one suffix array; a larger text of an anchor has its windows hashed instead.
+HOT_SLICES = 2_000
+#: Symbols of one suffix array.
 ARRAY_SYMBOLS = 60_000
+#: Widths of the bands by which a more frequent anchor's slices are dealt out, one after the other as far as it takes.
+WIDTHS = (43, 11, 3, 1)
 
 RUNS = "doc_id long, text_key long, anchor long, content long, start long, length long, place long"
 
@@ -83,27 +89,27 @@ def _shared(sides: list[bytes]) -> list[int]:
     return out
 
 
-def _window_hashes(part: bytes) -> list[int]:
-    view = memoryview(part)
-    return [xxhash.xxh3_64_intdigest(view[i : i + WINDOW]) for i in range(len(part) - WINDOW + 1)]
-
-
-def repeated_windows(strings: list[bytes], times: list[int]) -> list[np.ndarray]:
+def repeated_windows(strings: list[bytes], places: list[int], times: list[int], width: int = SPREAD) -> list[np.ndarray]:
     """For each string, which of its windows also stand elsewhere: in another of the strings, or again if the string counts for several.
 
-    The strings are joined, each closed by a symbol of its own, and ordered by a suffix array.
+    strings: different, of one anchor, which stands at the places. They are joined, each closed by a symbol of its own, and ordered by
+    a suffix array; if they are too long for one, their windows are taken apart by narrower bands.
     """
     out = [np.full(max(0, len(s) - WINDOW + 1), n > 1) for s, n in zip(strings, times, strict=True)]
     if len(strings) == 1:
         return out
     if sum(map(len, strings)) > ARRAY_SYMBOLS:
-        hashes = [_window_hashes(s) for s in strings]
-        flat = np.array([h for hs in hashes for h in hs], dtype=np.uint64)
-        _, inverse, count = np.unique(flat, return_inverse=True, return_counts=True)
-        again, at = count[inverse] > 1, 0
-        for flags in out:
-            flags |= again[at : at + len(flags)]
-            at += len(flags)
+        width = max(1, width // 4)
+        apart: dict[tuple, dict[bytes, list[tuple[int, int, int]]]] = {}
+        for k, (s, p) in enumerate(zip(strings, places, strict=True)):
+            for band, start, end, region in bands(s, p, width):
+                apart.setdefault((band, region), {}).setdefault(s[start:end], []).append((k, start, p - start))
+        for members in apart.values():
+            counts = [sum(times[k] for k, _, _ in x) for x in members.values()]
+            if sum(counts) > 1:
+                for x, flags in zip(members.values(), repeated_windows(list(members), [x[0][2] for x in members.values()], counts, width), strict=True):
+                    for k, start, _ in x:
+                        out[k][start : start + len(flags)] |= flags
         return out
     text: list[int] = []
     begins = []
@@ -143,7 +149,8 @@ def anchor_repeats(slices: list[tuple[bytes, int, int]]) -> list[list[tuple[int,
     out: list[list[tuple[int, int]]] = [[] for _ in slices]
     if kept:
         strings = list(kept)
-        flags = repeated_windows(strings, [sum(slices[i][2] for i in kept[s]) for s in strings])
+        places = [slices[kept[s][0]][1] - cut[kept[s][0]][0] for s in strings]
+        flags = repeated_windows(strings, places, [sum(slices[i][2] for i in kept[s]) for s in strings])
         for s, f in zip(strings, flags, strict=True):
             for i in kept[s]:
                 out[i] = [(cut[i][0] + x, cut[i][0] + y) for x, y in _spans(f)]
@@ -200,19 +207,47 @@ def _array_spans(slices: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, SPANS)
 
 
-def _hot_spans(slices: DataFrame) -> DataFrame:
-    """SPANS of the slices of hot anchors: a row a window, counted by its hash with partial sums before the shuffle."""
-    schema = "doc_id long, text_key long, start long, times long, window long"
+def _in_bands(slices: DataFrame, width: int) -> DataFrame:
+    """CUT of the slices' bands, anchor being a hash of anchor, band and region, as far as a hash occurs again (and a few by chance).
+    Texts of different regions may meet under one hash, which does no harm: arrays and counts go by the bytes."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def parts(row: tuple) -> Iterator[tuple]:
+        anchor, doc_id, key, start, place, times, raw = row
+        for band, a, z, region in bands(raw, place, width):
+            seed = (anchor ^ (band + 1) * 0x9E3779B97F4A7C15) & (2**64 - 1)
+            yield (int(np.uint64(xxhash.xxh3_64_intdigest(region, seed)).astype(np.int64)), doc_id, key, start + a, place - a, times, raw[a:z])
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for row in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                yield _batch([(row[1], row[2], row[3] + i, row[5], np.uint64(h).astype(np.int64).item()) for i, h in enumerate(_window_hashes(row[6]))], schema)
+            for a in range(0, b.num_rows, 2000):
+                rows = zip(*(c.to_pylist() for c in b.slice(a, 2000).columns), strict=True)
+                yield _batch([(p[0], p[5]) for row in rows for p in parts(row)], "anchor long, times long")
 
-    windows = materialize(slices.mapInArrow(run, schema), "suffix-windows")
-    again = materialize(windows.groupBy("window").agg(F.sum("times").alias("n")).where("n > 1").select(F.col("window").alias("w")), "suffix-again")
-    found = windows.where("times = 1").join(again, F.col("window") == F.col("w"), "left_semi")
-    return found.select("doc_id", "text_key", "start", (F.col("start") + WINDOW).alias("end"))
+    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for a in range(0, b.num_rows, 2000):
+                rows = zip(*(c.to_pylist() for c in b.slice(a, 2000).columns), strict=True)
+                yield _batch([p for row in rows for p in parts(row)], CUT)
+
+    again = slices.mapInArrow(keys, "anchor long, times long").groupBy("anchor").agg(F.sum("times").alias("n")).where("n > 1")
+    seen = bitmap_of(again, F.col("anchor"), "suffix-bitmap")
+    return materialize(marked(slices.mapInArrow(whole, CUT), seen, F.col("anchor"), "_again").where("_again").drop("_again"), "suffix-bands")
+
+
+def anchor_spans(slices: DataFrame, hot: int = HOT_SLICES, widths: tuple[int, ...] = WIDTHS) -> DataFrame:
+    """SPANS of slices (CUT, different within an anchor) that occur once. Anchors of over `hot` slices are dealt out by bands; of equal
+    bands one goes on, with the count of all."""
+    many = materialize(slices.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select(F.col("anchor").alias("k")), "suffix-hot")
+    if not widths or not many.limit(1).count():
+        return _array_spans(slices)
+    few = slices.join(many, F.col("anchor") == F.col("k"), "left_anti")
+    parts = _in_bands(slices.join(many, F.col("anchor") == F.col("k"), "left_semi"), widths[0])
+    one = F.min(F.struct("doc_id", "text_key", "start", "place")).alias("one")
+    kinds = materialize(parts.groupBy("anchor", "slice").agg(F.sum("times").alias("times"), one).select("anchor", "one.*", "times", "slice"), "suffix-kinds")
+    equal = kinds.where("times > 1").select(F.col("anchor").alias("_a"), F.col("slice").alias("_s"))
+    same = parts.where("times = 1").join(equal, (F.col("anchor") == F.col("_a")) & (F.col("slice") == F.col("_s")), "left_semi")
+    spans = same.select("doc_id", "text_key", "start", (F.col("start") + F.length("slice")).alias("end"))
+    return _array_spans(few).unionByName(spans).unionByName(anchor_spans(kinds, hot, widths[1:]))
 
 
 def repeat_spans(docs: DataFrame, hot: int = HOT_SLICES) -> DataFrame:
@@ -221,6 +256,7 @@ def repeat_spans(docs: DataFrame, hot: int = HOT_SLICES) -> DataFrame:
     anchors = found.groupBy("anchor").agg(F.count(F.lit(1)).alias("n"), F.min("content").alias("lo"), F.max("content").alias("hi")).where("n > 1")
     anchors = materialize(anchors.select(F.col("anchor").alias("k"), (F.col("lo") != F.col("hi")).alias("several")), "suffix-anchors")
     shared = materialize(found.join(anchors, F.col("anchor") == F.col("k")).drop("k"), "suffix-shared")
+    discard(found, anchors)
     span = ["doc_id", "text_key", "start", (F.col("start") + F.col("length")).alias("end")]
     same = shared.where("not several").select(*span)
 
@@ -229,17 +265,8 @@ def repeat_spans(docs: DataFrame, hot: int = HOT_SLICES) -> DataFrame:
     kinds = materialize(several.groupBy("anchor", "content").agg(F.count(F.lit(1)).alias("times"), one).select("anchor", "content", "times", "one.*"), "suffix-kinds")
     copies = kinds.where("times > 1").select(F.col("anchor").alias("a"), F.col("content").alias("c"))
     copied = several.join(copies, (F.col("anchor") == F.col("a")) & (F.col("content") == F.col("c")), "left_semi").select(*span)
-
-    slices = _slices(docs, kinds)
-    many = materialize(kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > hot).select(F.col("anchor").alias("k")), "suffix-hot")
-    if many.limit(1).count():
-        slices = materialize(slices, "suffix-slices")
-        # at most one hot anchor a `hot` slices
-        few = slices.join(many, F.col("anchor") == F.col("k"), "left_anti")
-        arrays = _array_spans(few).unionByName(_hot_spans(slices.join(many, F.col("anchor") == F.col("k"), "left_semi")))
-    else:
-        arrays = _array_spans(slices)
-    return same.unionByName(copied).unionByName(arrays)
+    slices = materialize(_slices(docs, kinds), "suffix-slices")
+    return same.unionByName(copied).unionByName(anchor_spans(slices, hot))
 
 
 RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
@@ -250,7 +277,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     A byte goes if a 200-byte string over it also starts elsewhere, in the same text too; strings are judged on the input. A null
     text is empty. Rows that repeat id and text are occurrences of their own and fare alike. Texts under 200 bytes
-    lose nothing. An empty table gives an empty result.
+    lose nothing; texts may be of any length. Other columns are not read. An empty table gives an empty result.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.xxhash64(F.col(text_col)), F.lit(0)).alias("text_key"), F.col(text_col).alias("text"))
     spans = repeat_spans(rows, hot).groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("start", "end")).alias("spans"))
