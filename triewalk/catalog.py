@@ -82,8 +82,7 @@ def cycle4_nation_count(s, d):
 
 @named("clique4_nation_count", "SELECT count(*) AS n FROM nn p JOIN nn q ON p.u = q.u JOIN nn r ON p.u = r.u JOIN nn s ON s.u = p.v AND s.v = q.v JOIN nn t ON t.u = p.v AND t.v = r.v JOIN nn w ON w.u = q.v AND w.v = r.v", "nn")
 def clique4_nation_count(s, d):
-    df = run("Q(a,b,c,e) :- E(a,b), E(a,c), E(a,e), E(b,c), E(b,e), E(c,e)", {"E": relation(s, d, "nn")}, "cells")
-    return df.agg(F.count(F.lit(1)).alias("n"))
+    return count("Q(a,b,c,e) :- E(a,b), E(a,c), E(a,e), E(b,c), E(b,e), E(c,e)", {"E": relation(s, d, "nn")})
 
 
 @named("bowtie_hop_count", f"SELECT CAST(sum(k * k) AS BIGINT) AS n FROM (SELECT a, count(*) AS k FROM ({HOP3.format(e='hop')}) GROUP BY a)", "hop")

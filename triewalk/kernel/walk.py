@@ -68,6 +68,34 @@ class ColumnTrie:
         """How many different values stand at a depth in each range of rows (not empty, of one parent)."""
         return self.run[depth][hi - 1] - self.run[depth][lo] + 1
 
+    def holds(self, depth: int, lo: np.ndarray, hi: np.ndarray, value: np.ndarray) -> np.ndarray:
+        """Whether each range holds its value. With small values at the second of two columns a table of bits answers at once."""
+        if depth == 1 and len(self.columns) == 2:
+            table = self._bits()
+            if table is not None:
+                bits, least, width = table
+                at = value - least
+                inside = (at >= 0) & (at < width)
+                place = self.run[0][lo] * width + np.where(inside, at, 0)
+                return inside & ((bits[place >> 3] >> (place & 7).astype(np.uint8)) & 1).astype(bool)
+        return self.find(depth, lo, hi, value)[0]
+
+    def _bits(self) -> tuple[np.ndarray, int, int] | None:
+        """(bits, least value, width): for each first value and each place from the least second value a bit; None if that takes over
+        eight times as many bytes as the rows."""
+        if not hasattr(self, "_table"):
+            least = int(self.columns[1].min())
+            width = int(self.columns[1].max()) - least + 1
+            first = len(self.starts[0]) - 1
+            if first * width > 1024 * self.n or width > 1 << 40:
+                self._table = None
+            else:
+                bits = np.zeros(-(-first * width // 8), dtype=np.uint8)
+                place = self.run[0] * width + (self.columns[1] - least)
+                np.bitwise_or.at(bits, place >> 3, (1 << (place & 7)).astype(np.uint8))
+                self._table = (bits, least, width)
+        return self._table
+
     def find(self, depth: int, lo: np.ndarray, hi: np.ndarray, value: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(found, lo, hi): the run of each value in its range, all ranges halved at once."""
         column, a, z = self.columns[depth], lo.copy(), hi.copy()
@@ -84,12 +112,21 @@ class ColumnTrie:
         return found, a, end
 
 
-def walk_batches(tries: list[ColumnTrie], levels: list[list[tuple[int, int]]], batch_rows: int = 1 << 16, costs: np.ndarray | None = None) -> Iterator[list[np.ndarray]]:
+def count_answers(tries: list[ColumnTrie], levels: list[list[tuple[int, int]]], batch_rows: int = 1 << 16) -> int:
+    """How many bindings there are, none of them listed: the last variable's values are counted where they are found."""
+    total = np.zeros(1, dtype=np.int64)
+    for _ in walk_batches(tries, levels, batch_rows, total=total):
+        raise AssertionError("a count lists nothing")
+    return int(total[0])
+
+
+def walk_batches(tries: list[ColumnTrie], levels: list[list[tuple[int, int]]], batch_rows: int = 1 << 16, costs: np.ndarray | None = None, total: np.ndarray | None = None) -> Iterator[list[np.ndarray]]:
     """Bindings as blocks of columns. levels[i]: (trie, depth in it) of each participant of variable i.
 
     A block of prefixes keeps a range of rows a trie. Of a prefix's participants the one with the fewest children is
     expanded and the others are searched; blocks are cut to batch_rows and done depth first, so memory does not grow
-    with the answer. costs[i], if given, gathers the rows expanded at level i, which is its level cost.
+    with the answer. costs[i], if given, gathers the rows expanded at level i, which is its level cost. total, if given,
+    gathers the number of bindings, and none is yielded.
     """
     if any(t.n == 0 for t in tries):
         return
@@ -100,11 +137,14 @@ def walk_batches(tries: list[ColumnTrie], levels: list[list[tuple[int, int]]], b
         kids = np.stack([tries[t].children(d, *ranges[t]) for t, d in parts])
         least = kids.argmin(axis=0)
         amount = kids.min(axis=0)
+        if total is not None and costs is None and len(parts) == 1 and level + 1 == len(levels):
+            total[0] += amount.sum()  # every value of the one slice is an answer
+            return
         begin = 0
         # cut so that each piece expands to about batch_rows
-        total = np.cumsum(amount)
+        upto = np.cumsum(amount)
         while begin < n:
-            past = int(np.searchsorted(total, (total[begin - 1] if begin else 0) + batch_rows, side="right"))
+            past = int(np.searchsorted(upto, (upto[begin - 1] if begin else 0) + batch_rows, side="right"))
             end = max(begin + 1, past)
             yield from piece(level, prefix, ranges, least, amount, slice(begin, end))
             begin = end
@@ -124,15 +164,22 @@ def walk_batches(tries: list[ColumnTrie], levels: list[list[tuple[int, int]]], b
                 costs[level] += len(of)
             now = {t: (lo, hi)}
             keep = np.ones(len(of), dtype=bool)
+            counting = total is not None and level + 1 == len(levels)
             for u, e in levels[level]:
                 if u == t:
                     continue
                 at = of[keep]
+                if counting:
+                    keep[np.flatnonzero(keep)[~tries[u].holds(e, ranges[u][0][at], ranges[u][1][at], value[keep])]] = False
+                    continue
                 found, a, z = tries[u].find(e, ranges[u][0][at], ranges[u][1][at], value[keep])
                 for w in now:
                     now[w] = tuple(x[found] for x in now[w])
                 now[u] = (a[found], z[found])
                 keep[np.flatnonzero(keep)[~found]] = False
+            if counting:
+                total[0] += int(keep.sum())
+                continue
             of, value = of[keep], value[keep]
             if not len(of):
                 continue

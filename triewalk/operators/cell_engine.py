@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..kernel.walk import ColumnTrie, walk_batches
+from ..kernel.walk import ColumnTrie, count_answers, walk_batches
 from ..plans.rewrite import KeyFrame
 
 _WHOLE = (T.ByteType, T.ShortType, T.IntegerType, T.LongType)
@@ -55,7 +55,8 @@ def participants(atoms: list[tuple[str, ...]], order: list[str]) -> list[list[tu
 
 
 def run_cells(frames: list[KeyFrame], order: list[str], shares: dict[str, int], batch_rows: int = 1 << 16, measure: str | None = None) -> DataFrame:
-    """All bindings as longs; measure="costs": per cell the rows expanded at each level instead (cell, level, cost)."""
+    """All bindings as longs; measure="costs": per cell the rows expanded at each level instead (cell, level, cost); "count": per cell
+    the number of bindings (n), none of them made."""
     cells = math.prod(shares.get(v, 1) for v in order)
     rows = assign(frames, order, shares)
     width = len(rows.columns) - 2
@@ -68,6 +69,9 @@ def run_cells(frames: list[KeyFrame], order: list[str], shares: dict[str, int],
         if any(not h for h in held):
             return
         tries = [ColumnTrie.of([np.concatenate([b[d] for b in h]) for d in range(a)]) for h, a in zip(held, arities, strict=True)]
+        if measure == "count":
+            yield pa.record_batch([pa.array([count_answers(tries, levels, batch_rows)], pa.int64())], names=["n"])
+            return
         costs = np.zeros(len(order), dtype=np.int64)
         for columns in walk_batches(tries, levels, batch_rows, costs):
             if measure is None:
@@ -92,5 +96,5 @@ def run_cells(frames: list[KeyFrame], order: list[str], shares: dict[str, int],
         if at is not None:
             yield from one(at, held)
 
-    schema = "cell long, level long, cost long" if measure == "costs" else ", ".join(f"`{v}` long" for v in order)
+    schema = "n long" if measure == "count" else "cell long, level long, cost long" if measure == "costs" else ", ".join(f"`{v}` long" for v in order)
     return dealt.mapInArrow(run, schema)

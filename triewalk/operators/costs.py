@@ -13,25 +13,20 @@ from ..kernel.walk import count_moves
 from ..plans.bounds import cover_bound
 from ..plans.levels import level_plan
 from ..plans.rewrite import KeyFrame
-from .engine import Prepared
-from .level_engine import _projection, run_levels, with_degrees
+from .broadcast_engine import TooLarge
+from .engine import Prepared, settle
+from .level_engine import run_levels
+
+#: Rows that a scalar walk may bring to the driver: it counts moves, it is no engine.
+LOCAL_ROWS = 2_000_000
 
 
 def level_costs(p: Prepared, order: list[str]) -> list[tuple[str, int, int]]:
-    """(variable, level cost, prefixes found) of each level: the cost is the sum of the smallest slice over the prefixes before."""
-    spark, frames = p.frames[0].df.sparkSession, p.frames
-    plan, keep = level_plan([f.vars for f in frames], order), []
-    run_levels(spark, frames, order, keep=keep)
-    out = []
-    for i, level in enumerate(plan):
-        if i == 0:
-            cost = min(_projection(frames[k], (level.var,)).count() for k in level.participants)
-        else:
-            known = with_degrees(keep[i - 1], frames, level, None)
-            degs = [F.col(f"deg{k}") for k in range(len(level.participants))]
-            cost = known.agg(F.coalesce(F.sum(F.least(*degs) if len(degs) > 1 else degs[0]), F.lit(0))).first()[0]
-        out.append((level.var, int(cost), keep[i].count()))
-    return out
+    """(variable, level cost, prefixes found) of each level: the cost is the sum of the smallest slice over the prefixes before. It is
+    summed from the degrees that the walk itself writes."""
+    frames, keep, costs = [f.of(order) for f in settle(p.frames)], [], []
+    run_levels(p.frames[0].df.sparkSession, frames, order, keep=keep, costs=costs)
+    return [(v, int(c), prefix.count()) for v, c, prefix in zip(order, costs, keep, strict=True)]
 
 
 def costs_frame(p: Prepared, order: list[str]) -> DataFrame:
@@ -41,14 +36,18 @@ def costs_frame(p: Prepared, order: list[str]) -> DataFrame:
 
 def all_order_costs(p: Prepared) -> DataFrame:
     """The sum of level costs in every order."""
+    p = Prepared(p.head, settle(p.frames), p.filters, p.types, p.relations)
     rows = [(",".join(o), sum(c for _, c, _ in level_costs(p, list(o)))) for o in permutations(p.vars)]
     return p.frames[0].df.sparkSession.createDataFrame(rows, "variable_order string, total long")
 
 
 def local_atoms(p: Prepared, order: list[str]) -> list[tuple[list[int], list[tuple]]]:
-    """Atoms as Python rows for the scalar kernels, which are for small inputs."""
+    """Atoms as Python rows for the scalar kernels, which run on the driver and are for LOCAL_ROWS rows at most."""
+    frames = settle(p.frames)
+    if sum(f.rows for f in frames) > LOCAL_ROWS:
+        raise TooLarge(f"{sum(f.rows for f in frames)} rows for a scalar walk on the driver; {LOCAL_ROWS} are allowed")
     out = []
-    for f in p.frames:
+    for f in frames:
         vs = [v for v in order if v in f.vars]
         out.append(([order.index(v) for v in vs], [tuple(r) for r in f.df.select(*vs).collect()]))
     return out

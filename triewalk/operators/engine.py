@@ -8,17 +8,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.bounds import cover_bound
-from ..plans.choice import best_shares, choose_engine
+from ..plans.choice import acyclic, choose_engine, enough_cells
 from ..plans.ir import And, Atom, Compare, Const, Exists, JoinQuery, Not, Or, QueryError, UnsafeVariable, analyze
 from ..plans.levels import level_plan
 from ..plans.order import choose_order, estimate_costs
 from ..plans.parse import rule
 from ..plans.rewrite import KeyFrame, key_frame, variable_types
-from ..plans.stats import frame_stats
-from .broadcast_engine import run_broadcast
+from ..plans.stats import FrameStats, frame_stats
+from ..sources.scratch import cut
+from .broadcast_engine import TooLarge, run_broadcast
 from .cell_engine import run_cells, whole_numbers
 from .domain import decode, encode_frames
-from .level_engine import degrees, run_levels
+from .layout import LayoutCatalog
+from .level_engine import Projections, run_levels
 
 ENGINES = ("auto", "levels", "hash", "cells", "broadcast", "pairwise")
 CELLS = 64
@@ -125,84 +127,171 @@ def _filter(p: Prepared):
     return after
 
 
-def execute(p: Prepared, engine: str = "auto", order: list[str] | None = None, shares: dict[str, int] | None = None, driver: str = "per_prefix", cells: int = CELLS, keep: list | None = None, batch_rows: int = 1 << 16) -> DataFrame:
-    """Distinct bindings of the head."""
+def settle(frames: list[KeyFrame], layouts: LayoutCatalog | None = None) -> list[KeyFrame]:
+    """The frames written out and counted, atoms of one source once. layouts: keeps whole relations as sorted tables from query to query."""
+    made: dict[tuple, tuple[DataFrame, int]] = {}
+    out = []
+    for f in frames:
+        if f.rows is not None:
+            out.append(f)
+            continue
+        if not f.source:
+            df = cut(f.df, "frame")
+            out.append(KeyFrame(f.name, f.vars, df, rows=df.count()))
+            continue
+        key = (f.source, tuple(sorted(f.columns)))
+        if key not in made:
+            named = f.df.select(*(F.col(v).alias(c) for c, v in sorted(zip(f.columns, f.vars, strict=True))))
+            relation, conditions, _ = f.source
+            kept = layouts.build(relation, named, list(named.columns)) if layouts and not conditions else cut(named, "frame")
+            made[key] = (kept, kept.count())
+        kept, rows = made[key]
+        out.append(KeyFrame(f.name, f.vars, kept.select(*(F.col(f"`{c}`").alias(v) for c, v in zip(f.columns, f.vars, strict=True))), f.source, f.columns, rows))
+    return out
+
+
+def planning_stats(frames: list[KeyFrame]) -> list[FrameStats]:
+    """Estimates for the choice of order and engine, one small job a source."""
+    known: dict[tuple, tuple[FrameStats, KeyFrame]] = {}
+    out = []
+    for i, f in enumerate(frames):
+        key = (f.source, tuple(sorted(f.columns))) if f.source else (i,)
+        if key not in known:
+            known[key] = (frame_stats(f, exact=False), f)
+        stats, of = known[key]
+        if of is f:
+            out.append(stats)
+        else:
+            at = {c: v for c, v in zip(of.columns, of.vars, strict=True)}
+            out.append(FrameStats(stats.rows, {frozenset([v]): stats.distinct[frozenset([at[c]])] for c, v in zip(f.columns, f.vars, strict=True)}))
+    return out
+
+
+def heavy_values(frames: list[KeyFrame], shares: dict[str, int]) -> dict[str, list]:
+    """Values that a cell cannot spread: of each variable with several shares those in more rows of an atom than its mean over the shares.
+    There are fewer of them than shares for each atom, and one job with partial sums finds them."""
+    tagged = None
+    for f in frames:
+        for v in f.vars:
+            if shares.get(v, 1) > 1 and len(f.vars) > 1:
+                one = f.df.groupBy(F.col(v).cast("long").alias("value")).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > max(1000, f.rows // shares[v])).select(F.lit(v).alias("var"), "value")
+                tagged = one if tagged is None else tagged.unionByName(one)
+    out: dict[str, list] = {}
+    for r in tagged.distinct().collect() if tagged is not None else ():
+        out.setdefault(r["var"], []).append(r["value"])
+    return out
+
+
+def split(frames: list[KeyFrame], var: str, heavy: DataFrame) -> tuple[list[KeyFrame], list[KeyFrame]]:
+    """The frames without the heavy values of var, and those with them alone: disjoint, and together whole."""
+    parts = []
+    for how in ("left_anti", "left_semi"):
+        parts.append([KeyFrame(f.name, f.vars, f.df.join(F.broadcast(heavy), var, how)) if var in f.vars else f for f in frames])
+    return parts[0], parts[1]
+
+
+def execute(p: Prepared, engine: str = "auto", order: list[str] | None = None, shares: dict[str, int] | None = None, driver: str = "per_prefix", cells: int = CELLS, keep: list | None = None, batch_rows: int = 1 << 16, measure: str | None = None, skew: str = "split", layouts: LayoutCatalog | None = None, costs: list | None = None, strategy: str = "exhaustive") -> DataFrame:
+    """Distinct bindings of the head; measure="count": their number instead, as rows n to be summed.
+
+    order: by default the one of least estimated cost. cells: how many at least; more are made if a cell would not fit a task. skew="split":
+    values too frequent for a cell are found and joined apart by levels; "off" leaves them in.
+    """
     if engine not in ENGINES:
         raise QueryError(f"no engine {engine!r}")
-    order = order or list(p.vars)
     spark, atoms = p.frames[0].df.sparkSession, [f.vars for f in p.frames]
-    frames = [KeyFrame(f.name, tuple(v for v in order if v in f.vars), f.df.select(*(v for v in order if v in f.vars))) for f in p.frames]
-    if engine == "auto":
-        stats = [frame_stats(f, exact=False) for f in frames]
-        engine, found = choose_engine(atoms, [s.rows for s in stats], order, estimate_costs(order, atoms, stats), cells)
+    chosen = engine
+    if engine == "auto" and len(atoms) > 1 and acyclic(atoms):
+        chosen = "pairwise"
+    frames = p.frames
+    if chosen != "pairwise" and len(frames) > 1:
+        frames = settle(frames, layouts)
+    stats = planning_stats(frames) if len(frames) > 1 and chosen != "pairwise" and (order is None or engine == "auto") else None
+    if order is None:
+        order = choose_order(p.vars, atoms, stats, strategy) if stats and len(p.vars) > 2 else list(p.vars)
+    frames = [f.of(order) for f in frames]
+    atoms = [f.vars for f in frames]
+    if chosen == "auto":
+        chosen, found = choose_engine(atoms, [s.rows for s in stats], order, estimate_costs(order, atoms, stats), cells, layouts is not None) if stats else ("levels", None)
         shares = shares or found
-        engine = "plain" if engine == "levels" else engine
     after = _filter(p)
-    if engine in ("levels", "hash", "plain"):
-        out = run_levels(spark, frames, order, engine, driver, after, keep)
-    elif engine == "pairwise":
+    if chosen in ("levels", "hash"):
+        out = run_levels(spark, frames, order, chosen, driver, after, keep, costs)
+    elif chosen == "pairwise":
         from .baselines import pairwise_frames
 
         out = pairwise_frames(frames, reduce=True).select(*order)
         for i in range(len(order)):
             out = after(out, order[: i + 1])
     else:
+        frames = settle(frames)  # a query of one atom
         books = None
         if not whole_numbers(frames):
             frames, books = encode_frames(frames)
-        if engine == "cells":
+            frames = settle(frames)
+        inside = "count" if measure == "count" and not p.filters else None
+        if chosen == "cells":
+            shares = shares or enough_cells(atoms, [f.rows for f in frames], order, cells)
             if shares is None:
-                shares = best_shares([f.vars for f in frames], [f.df.count() for f in frames], order, cells)
-            out = run_cells(frames, order, shares, batch_rows)
+                raise TooLarge("no grid of cells fits the tasks' memory; walk by levels")
+            frequent = heavy_values(frames, shares) if skew == "split" and len(frames) > 1 else {}
+            out = None
+            while frequent:
+                var, values = frequent.popitem()
+                light, heavy = split(frames, var, spark.createDataFrame([(v,) for v in values], f"`{var}` long"))
+                part = run_levels(spark, settle(heavy), [var, *(v for v in order if v != var)]).select(*(F.col(v).cast("long").alias(v) for v in order))
+                part = part.agg(F.count(F.lit(1)).alias("n")) if inside else part
+                out = part if out is None else out.unionByName(part)
+                frames = settle(light)
+            rest = run_cells(frames, order, shares, batch_rows, inside)
+            out = rest if out is None else rest.unionByName(out)
         else:
-            out = run_broadcast(spark, frames, order, batch_rows=batch_rows)
+            out = run_broadcast(spark, frames, order, batch_rows=batch_rows, measure=inside)
+        if inside:
+            return out
         out = decode(out, books) if books else out.select(*(F.col(v).cast(p.types.get(v, "long")).alias(v) for v in order))
         for i in range(len(order)):
             out = after(out, order[: i + 1])
-    return out.select(*p.head)
+    out = out.select(*p.head)
+    return out.agg(F.count(F.lit(1)).alias("n")) if measure == "count" else out
 
 
-def run(q: JoinQuery | str, relations: dict[str, DataFrame], engine: str = "levels", order: list[str] | None = None, strategy: str = "appearance", **kw) -> DataFrame:
-    """The answer of a rule over relations, distinct rows by construction. order: a permutation of the visible variables."""
-    p = prepare(q, relations, None)
-    if order is None and strategy not in ("appearance", "given"):
-        stats = [frame_stats(f, exact=False) for f in p.frames]
-        order = choose_order(p.vars, [f.vars for f in p.frames], stats, strategy)
-    return execute(p, engine, order, **kw)
+def run(q: JoinQuery | str, relations: dict[str, DataFrame], engine: str = "levels", order: list[str] | None = None, **kw) -> DataFrame:
+    """The answer of a rule over relations, distinct rows by construction. order: a permutation of the visible variables, by default
+    that of the least estimated cost (strategy="appearance": as in the rule)."""
+    return execute(prepare(q, relations, None), engine, order, **kw)
 
 
 def run_split(q: JoinQuery | str, relations: dict[str, DataFrame], var: str, threshold: int, engine: str = "cells", **kw) -> DataFrame:
-    """Skew split: answers whose value of var is heavy (more than `threshold` rows in some atom) are found apart from the rest.
-
-    The two parts restrict every atom that has var, so they are disjoint and together whole.
-    """
+    """Skew split by hand: answers whose value of var is heavy (more than `threshold` rows in some atom) are found apart from the rest."""
     p = prepare(q, relations)
     heavy = None
     for f in p.frames:
         if var in f.vars:
             h = f.df.groupBy(var).count().where(F.col("count") > threshold).select(var)
             heavy = h if heavy is None else heavy.union(h)
-    heavy = heavy.distinct()
-
-    def part(how: str) -> DataFrame:
-        frames = [KeyFrame(f.name, f.vars, f.df.join(heavy, var, how)) if var in f.vars else f for f in p.frames]
-        return execute(Prepared(p.head, frames, p.filters, p.types, p.relations), engine if how == "left_anti" else "levels", **kw)
-
-    return part("left_anti").unionByName(part("left_semi"))
+    heavy = cut(heavy.distinct(), "heavy")
+    light, rest = [], []
+    for f in p.frames:
+        light.append(KeyFrame(f.name, f.vars, f.df.join(heavy, var, "left_anti")) if var in f.vars else f)
+        rest.append(KeyFrame(f.name, f.vars, f.df.join(heavy, var, "left_semi")) if var in f.vars else f)
+    some = lambda frames, how: execute(Prepared(p.head, frames, p.filters, p.types, p.relations), how, **kw)
+    return some(light, engine).unionByName(some(rest, "levels"))
 
 
-def count(q: JoinQuery | str, relations: dict[str, DataFrame], order: list[str] | None = None) -> DataFrame:
-    """One row, n: the last level is summed, not listed, where one atom alone gives it."""
+def count(q: JoinQuery | str, relations: dict[str, DataFrame], order: list[str] | None = None, engine: str = "auto") -> DataFrame:
+    """One row, n. Answers are not listed: where one atom alone gives the last variable its degrees are summed, else the last
+    variable's values are counted where the walk finds them."""
     p = prepare(q, relations)
-    order = order or list(p.vars)
-    spark = p.frames[0].df.sparkSession
-    last = level_plan([f.vars for f in p.frames], order)[-1]
-    if p.filters or len(last.participants) > 1 or len(order) == 1 or not last.bound[0]:
-        return execute(p, "levels", order).agg(F.count(F.lit(1)).alias("n"))
-    rest = [KeyFrame(f.name, tuple(v for v in f.vars if v != last.var), f.df.select(*(v for v in f.vars if v != last.var)).distinct()) for f in p.frames if set(f.vars) != {last.var}]
-    prefix = run_levels(spark, rest, order[:-1])
-    deg = degrees(p.frames[last.participants[0]], last.bound[0], last.var, "deg")
-    return prefix.join(deg, [*last.bound[0]]).agg(F.coalesce(F.sum("deg"), F.lit(0)).cast("long").alias("n"))
+    atoms = [f.vars for f in p.frames]
+    given = order or list(p.vars)
+    last = level_plan(atoms, given)[-1]
+    if not p.filters and len(last.participants) == 1 and len(given) > 1 and last.bound[0]:
+        frames = settle(p.frames)
+        rest = [KeyFrame(f.name, tuple(v for v in f.vars if v != last.var), f.df.select(*(v for v in f.vars if v != last.var)).distinct()) for f in frames if set(f.vars) != {last.var}]
+        prefix = execute(Prepared(tuple(given[:-1]), rest, [], p.types, p.relations), "auto", given[:-1])
+        deg = Projections(frames).degrees(last.participants[0], last.bound[0], last.var, "deg")
+        return prefix.join(deg, [*last.bound[0]]).agg(F.coalesce(F.sum("deg"), F.lit(0)).cast("long").alias("n"))
+    return execute(p, engine, order, measure="count").agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
 
 
 def exists(q: JoinQuery | str, relations: dict[str, DataFrame], **kw) -> bool:
@@ -243,9 +332,9 @@ def attach(answer: DataFrame, rel: DataFrame, on: dict[str, str], cols: list[str
 def explain(q: JoinQuery | str, relations: dict[str, DataFrame], order: list[str] | None = None) -> str:
     """Order, levels, sizes, bound, estimated costs, engine and shares as text."""
     p = prepare(q, relations)
-    order = order or list(p.vars)
-    stats = [frame_stats(f, exact=False) for f in p.frames]
+    stats = planning_stats(p.frames)
     sizes, atoms = [s.rows for s in stats], [f.vars for f in p.frames]
+    order = order or choose_order(p.vars, atoms, stats)
     costs = estimate_costs(order, atoms, stats)
     engine, shares = choose_engine(atoms, sizes, order, costs, CELLS)
     bound, weights = cover_bound(p.edges, sizes)

@@ -14,11 +14,23 @@ from .ir import Atom, Const, JoinQuery, common_type, tidy
 
 @dataclass
 class KeyFrame:
-    """An atom made ready: vars in the variable order and a frame with a column of that name each, distinct and without nulls."""
+    """An atom made ready: vars in the variable order and a frame with a column of that name each, distinct and without nulls.
+
+    source: what the frame is made of but for the names of its columns, if that is known, and the relation's column of each variable; two
+    atoms of one source are one table under two names. rows: how many, once they are written out.
+    """
 
     name: str
     vars: tuple[str, ...]
     df: DataFrame
+    source: tuple | None = None
+    columns: tuple[str, ...] = ()
+    rows: int | None = None
+
+    def of(self, order: list[str]) -> KeyFrame:
+        """The frame with its columns in another order of variables."""
+        vs = tuple(v for v in order if v in self.vars)
+        return KeyFrame(self.name, vs, self.df.select(*vs), self.source, tuple(self.columns[self.vars.index(v)] for v in vs) if self.columns else (), self.rows)
 
 
 def split_repeats(q: JoinQuery) -> tuple[JoinQuery, list[tuple[str, str]]]:
@@ -83,18 +95,22 @@ def key_frame(atom: Atom, df: DataFrame, order: list[str], types: dict, name: st
     """
     columns = df.columns
     first: dict[str, str] = {}
+    conditions = []
     for c, t in zip(columns, atom.terms, strict=True):
         col = F.col(f"`{c}`")
         if isinstance(t, Const):
             df = df.where(col == F.lit(t.value))
+            conditions.append((c, "is", repr(t.value)))
         elif t in first:
             df = df.where(col == F.col(f"`{first[t]}`"))
+            conditions.append((c, "same", first[t]))
         else:
             first[t] = c
     vars_ = tuple(v for v in order if v in first)
+    kinds = tuple(sorted((first[v], str(types[v])) for v in vars_))
     out = df.select(*(tidy(F.col(f"`{first[v]}`").cast(types[v]), types[v]).alias(v) for v in vars_)).dropna()
     whole = unique and len(vars_) == len(columns)
-    return KeyFrame(name or atom.relation, vars_, out if whole else out.distinct())
+    return KeyFrame(name or atom.relation, vars_, out if whole else out.distinct(), (atom.relation, tuple(conditions), kinds), tuple(first[v] for v in vars_))
 
 
 def variable_types(q: JoinQuery, relations: dict[str, DataFrame]) -> dict:

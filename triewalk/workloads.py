@@ -27,7 +27,7 @@ def w01(spark: SparkSession, sf_dir: str, engine: str = "levels", order: list[st
     if engine == "heavy_light":
         r, s, t = (rels[n].toDF(*v) for n, v in (("R", "ab"), ("S", "bc"), ("T", "ac")))
         return longs(baselines.heavy_light(r, s.distinct(), t.distinct()))
-    return longs(run(TRIANGLE, rels, engine, order or ["c", "b", "a"], **kw), ["a", "b", "c"])
+    return longs(run(TRIANGLE, rels, engine, order, **kw), ["a", "b", "c"])
 
 
 def w01_prepared(spark: SparkSession, sf_dir: str) -> Prepared:
