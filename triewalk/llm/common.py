@@ -3,8 +3,12 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager, suppress
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -57,6 +61,40 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+#: Rows of an Arrow batch that carries texts or sets of hashes: a batch is held whole on both sides of the pipe to a Python worker.
+TEXT_ROWS = 512
+
+
+@contextmanager
+def text_batches(spark: SparkSession) -> Iterator[None]:
+    """Jobs run inside move TEXT_ROWS rows a batch at most to and from Python workers; the session's own number holds again after."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    was = spark.conf.get(key)
+    spark.conf.set(key, str(min(int(was), TEXT_ROWS) if int(was) > 0 else TEXT_ROWS))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, was)
+
+
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run, which returns what it has freed to the machine when a task's batches end: Python workers stay for later tasks."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        with suppress(OSError, AttributeError):  # another C library than glibc
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+    return wrapped
+
+
+def materialize_texts(df: DataFrame, name: str) -> DataFrame:
+    """materialize for a frame made by Python workers from whole texts or sets of hashes."""
+    with text_batches(df.sparkSession):
+        return materialize(df, name)
+
+
 def discard(*tables: DataFrame) -> None:
     """Removes tables that materialize gave, once nothing reads them any more."""
     for df in tables:

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import lean, materialize_texts
 from .tokens import encoder
 
 CAPACITY = 2048
@@ -120,7 +120,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, split: tup
             yield pa.record_batch([pa.array(list(c), pa.int64()) for c in columns], names=[x.split()[0] for x in PIECES.split(", ")])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row_no"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(run, PIECES)
+    return rows.mapInArrow(lean(run), PIECES)
 
 
 def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, group: int = GROUP, split: tuple[int, int] | None = SPLIT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -130,7 +130,7 @@ def pack(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, group: int =
     piece is a sequence by itself. Offsets of a sequence are gapless from 0. An empty table gives an empty result.
     Groups hold about `group` pieces each, by a hash of (row, start), so a very long document spreads over many. Other columns are not read.
     """
-    cut_up = materialize(pieces(docs, tokenizer, capacity, split, id_col, text_col), "pack-pieces")
+    cut_up = materialize_texts(pieces(docs, tokenizer, capacity, split, id_col, text_col), "pack-pieces")
     groups = max(1, round(cut_up.count() / group))
     keyed = cut_up.withColumn("grp", F.pmod(F.xxhash64("row_no", "start"), F.lit(groups)))
 

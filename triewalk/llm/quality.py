@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, without_ids
+from .common import lean, materialize, materialize_texts, without_ids
 
 ALPHA, DELTA = 0.025, 0.05
 #: Multiples of the reference cutoffs, from lax to strict.
@@ -78,7 +78,7 @@ def text_counts(docs: DataFrame, keep: list[Column], text_col: str = "text") ->
             yield pa.record_batch([*b.columns[:-1], *columns], names=[*b.schema.names[:-1], *names])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept)
-    return rows.mapInArrow(run, f"{schema}, {COUNTS}")
+    return rows.mapInArrow(lean(run), f"{schema}, {COUNTS}")
 
 
 def base_failed() -> Column:
@@ -140,7 +140,7 @@ def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     texts are counted, however long; other columns are not read. An empty table gives an empty result.
     """
     counts = text_counts(docs, [F.col(id_col).alias("doc_id"), F.coalesce(F.col(stratum_col).cast("string"), F.lit("")).alias("stratum")], text_col)
-    scored = materialize(counts.withColumn("base_failed", base_failed()).withColumn("severity", severity()), "quality-counts")
+    scored = materialize_texts(counts.withColumn("base_failed", base_failed()).withColumn("severity", severity()), "quality-counts")
     levels = calibrate(scored, labels)
     # the stratum of all others goes to every row outside the named ones
     level = F.lit(next((step for name, _, step in levels if name is None), None)).cast("double")

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import golay
-from .common import bitmap_of, marked, materialize, total_partitions, without_ids
+from .common import bitmap_of, discard, lean, marked, materialize, materialize_texts, text_batches, total_partitions, without_ids
 from .components import components
 
 SEED = 42
@@ -95,7 +95,7 @@ def fingerprints(docs: DataFrame, size: int, words: int, distinct: bool, id_col:
                     out[i, k] = votes(spread(h, k))
             yield pa.record_batch([b.column(0), *(pa.array(out[:, k].view(np.int64)) for k in range(words))], names=names)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, ", ".join(f"{n} long" for n in names))
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(lean(run), ", ".join(f"{n} long" for n in names))
 
 
 def exact_keys(fp: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -257,7 +257,7 @@ def bucket_links(rows: DataFrame, carried: int, most: int, hot_key: int = HOT_KE
             yield link_batch(settle_buckets(table, carried, most))
 
     dealt = rows.repartition(total_partitions(rows.sparkSession), "key").sortWithinPartitions("key")
-    found = materialize(dealt.mapInArrow(run, LINKS).distinct(), "bucket-links")
+    found = materialize(dealt.mapInArrow(lean(run), LINKS).distinct(), "bucket-links")
     links, hot = found.where("not hot").select("a", "b"), found.where("hot").select(F.col("a").alias("key"))
     if not hot.limit(1).count():
         return links
@@ -320,7 +320,7 @@ def unit_links(units: DataFrame, keys: list[str], columns: list[str], compare: C
         return link_batch(compare([c.to_numpy() if pa.types.is_integer(c.type) else c.to_pylist() for c in unit.columns]))
 
     dealt = units.select(*by, "side", *columns).repartition(total_partitions(units.sparkSession), *by).sortWithinPartitions(*by, "side", "id")
-    return dealt.mapInArrow(run, LINKS).select("a", "b").distinct()
+    return dealt.mapInArrow(lean(run), LINKS).select("a", "b").distinct()
 
 
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3, most: int = MAX_BITS) -> DataFrame:
@@ -332,7 +332,7 @@ def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     """
     if most > MAX_BITS:
         raise ValueError(f"the exact plan of keys covers at most {MAX_BITS} bits")
-    prints = materialize(fingerprints(docs, size, 1, False, id_col, text_col), "simhash-prints")
+    prints = materialize_texts(fingerprints(docs, size, 1, False, id_col, text_col), "simhash-prints")
     classes = materialize(prints.groupBy("fp0").agg(F.min("doc_id").alias("least_id")), "simhash-classes")
     # a class is named by its fingerprint, and its component by the least id of all its classes
     links = materialize(bucket_links(key_rows(classes.select(F.col("fp0").alias("id"), "fp0"), "exact", 1, 1), 1, most), "simhash-links")
@@ -349,11 +349,13 @@ def common_shingles(docs: DataFrame, size: int) -> np.ndarray:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for text in b.column(0):
-                yield pa.record_batch([pa.array(np.unique(shingle_hashes(text.as_py(), size)).view(np.int64))], names=["shingle"])
+            for a in range(0, b.num_rows, 64):
+                sets = [np.unique(shingle_hashes(text.as_py(), size)).view(np.int64) for text in b.column(0).slice(a, 64)]
+                yield pa.record_batch([pa.array(np.concatenate(sets))], names=["shingle"])
 
-    some = docs.where(F.pmod(F.xxhash64("id"), F.lit(COMMON_ONE_IN)) == 0).select("text").mapInArrow(run, "shingle long")
-    top = some.groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1").orderBy(F.col("n").desc(), "shingle").limit(COMMON).collect()
+    some = docs.where(F.pmod(F.xxhash64("id"), F.lit(COMMON_ONE_IN)) == 0).select("text").mapInArrow(lean(run), "shingle long")
+    with text_batches(docs.sparkSession):
+        top = some.groupBy("shingle").agg(F.count(F.lit(1)).alias("n")).where("n > 1").orderBy(F.col("n").desc(), "shingle").limit(COMMON).collect()
     return np.array([r["shingle"] for r in reversed(top)], dtype=np.int64).view(np.uint64)
 
 
@@ -391,7 +393,7 @@ def similar_prints(docs: DataFrame, size: int, similarity: float) -> DataFrame:
                 firsts.append(prefix(h, similarity, *common.value).tobytes())
             yield pa.record_batch([b.column(0), *(pa.array(out[:, k].view(np.int64)) for k in range(WIDE)), pa.array(sizes, pa.int64()), pa.array(firsts, pa.binary())], names=names)
 
-    return docs.mapInArrow(run, ", ".join(f"{x} {'binary' if x == 'prefix' else 'long'}" for x in names))
+    return docs.mapInArrow(lean(run), ", ".join(f"{x} {'binary' if x == 'prefix' else 'long'}" for x in names))
 
 
 def shared_postings(rooted: DataFrame) -> DataFrame:
@@ -463,7 +465,7 @@ def prefix_pairs(shared: DataFrame, similarity: float) -> DataFrame:
         return link_batch(np.concatenate(found))
 
     dealt = shared.select("shingle", "id", "root", "n", "place").repartition(total_partitions(shared.sparkSession), "shingle").sortWithinPartitions("shingle")
-    return dealt.mapInArrow(run, LINKS).select("a", "b").distinct()
+    return dealt.mapInArrow(lean(run), LINKS).select("a", "b").distinct()
 
 
 def shingle_sets(named: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
@@ -476,7 +478,7 @@ def shingle_sets(named: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
         for b in batches:
             yield pa.record_batch([b.column(0), pa.array([np.unique(shingle_hashes(t.as_py(), size)).tobytes() for t in b.column(1)], pa.binary())], names=["id", "shingles"])
 
-    return materialize(texts.mapInArrow(sets, "id long, shingles binary"), "similar-shingles")
+    return materialize_texts(texts.mapInArrow(lean(sets), "id long, shingles binary"), "similar-shingles")
 
 
 def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
@@ -494,7 +496,7 @@ def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -
 
     left = hashed.select(F.col("id").alias("a"), F.col("shingles").alias("sa"))
     right = hashed.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
-    return found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(compare, "a long, b long")
+    return found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(lean(compare), "a long, b long")
 
 
 def common_counts(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -568,14 +570,14 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     shingles. Rows of null id or of no words are not linked. Rows that share an id are one document of several texts.
     """
     named = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    prints = materialize(similar_prints(named, size, similarity), "similar-prints")
+    prints = materialize_texts(similar_prints(named, size, similarity), "similar-prints")
     fps = [f"fp{k}" for k in range(WIDE)]
     classes = materialize(prints.groupBy(*fps).agg(F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("n")), "similar-classes")
     apart = bucket_links(key_rows(classes, "sampled", WIDE, 1), 1, WIDE_BITS)
     same = [F.col(f"p.{x}") == F.col(f"c.{x}") for x in fps]
     alike = prints.alias("p").join(classes.where("n > 1").alias("c"), same).where("doc_id != id").select(F.col("id").alias("a"), F.col("doc_id").alias("b"))
     found = materialize(apart.unionByName(alike), "similar-candidates")
-    links = materialize(verified(found, named, size, similarity), "similar-met")
+    links = materialize_texts(verified(found, named, size, similarity), "similar-met")
 
     roots = components(links).select(F.col("id").alias("_i"), "root")
     rooted = prints.select(F.col("doc_id").alias("id"), "n", "prefix").join(roots, F.col("id") == F.col("_i"), "left")
@@ -584,12 +586,14 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     if frequent.limit(1).count():
         once = frequent.groupBy("id").agg(F.min_by("shingle", F.xxhash64("shingle")).alias("_one")).select(F.col("id").alias("_id"), "_one")
         once = materialize(frequent.join(once, (F.col("id") == F.col("_id")) & (F.col("shingle") == F.col("_one"))).select(*shared.columns), "similar-once")
-        met = materialize(block_links(once, named, size, similarity), "similar-met")
+        met = materialize_texts(block_links(once, named, size, similarity), "similar-met")
         links = links.unionByName(met)
         shared = among_several(follow(shared.drop("texts", "shingles"), "root", met, once.select("id", "root").distinct()), "similar-shared")
-        links = links.unionByName(block_links(shared.where(F.col("texts") > HOT_SHINGLE), named, size, similarity))
+        links = links.unionByName(materialize_texts(block_links(shared.where(F.col("texts") > HOT_SHINGLE), named, size, similarity), "similar-met"))
     rest = materialize(prefix_pairs(shared.where(F.col("texts") <= HOT_SHINGLE), similarity), "similar-rest")
-    return links.unionByName(verified(rest, named, size, similarity))
+    links = links.unionByName(materialize_texts(verified(rest, named, size, similarity), "similar-met"))
+    discard(rest, shared, found, classes, prints)
+    return links
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .anchors import GRAM, SPREAD, WINDOW, bands, runs
-from .common import bitmap_of, discard, marked, materialize, total_partitions
+from .common import bitmap_of, discard, lean, marked, materialize, materialize_texts, total_partitions
 from .suffix_sort import common_prefixes, suffix_array
 
 #: Different slices of an anchor up to which they meet in one task.
@@ -71,7 +71,7 @@ def text_runs(docs: DataFrame) -> DataFrame:
         columns = [np.concatenate([f[k] for _, f in parts]) for k in range(5)]
         return pa.record_batch([pa.array(ids[at]), pa.array(keys[at]), *(pa.array(c.view(np.int64)) for c in columns)], names=[x.split()[0] for x in RUNS.split(", ")])
 
-    return docs.select("doc_id", "text_key", "text").mapInArrow(run, RUNS)
+    return docs.select("doc_id", "text_key", "text").mapInArrow(lean(run), RUNS)
 
 
 def _shared(sides: list[bytes]) -> list[int]:
@@ -179,7 +179,7 @@ def _slices(docs: DataFrame, wanted: DataFrame) -> DataFrame:
                     rows = []
             yield _batch(rows, CUT)
 
-    return texts.select("doc_id", "text_key", "text", "cuts").mapInArrow(run, CUT)
+    return texts.select("doc_id", "text_key", "text", "cuts").mapInArrow(lean(run), CUT)
 
 
 def _array_spans(slices: DataFrame) -> DataFrame:
@@ -204,7 +204,7 @@ def _array_spans(slices: DataFrame) -> DataFrame:
 
     # the start orders what is cut alike; results do not depend on it
     dealt = slices.repartition(total_partitions(slices.sparkSession), "anchor").sortWithinPartitions("anchor", "doc_id", "start")
-    return dealt.mapInArrow(run, SPANS)
+    return dealt.mapInArrow(lean(run), SPANS)
 
 
 def _in_bands(slices: DataFrame, width: int) -> DataFrame:
@@ -252,7 +252,7 @@ def anchor_spans(slices: DataFrame, hot: int = HOT_SLICES, widths: tuple[int, ..
 
 def repeat_spans(docs: DataFrame, hot: int = HOT_SLICES) -> DataFrame:
     """SPANS (may overlap) of all bytes of docs (doc_id, text_key, text) that a repeated window covers."""
-    found = materialize(text_runs(docs), "suffix-runs")
+    found = materialize_texts(text_runs(docs), "suffix-runs")
     anchors = found.groupBy("anchor").agg(F.count(F.lit(1)).alias("n"), F.min("content").alias("lo"), F.max("content").alias("hi")).where("n > 1")
     anchors = materialize(anchors.select(F.col("anchor").alias("k"), (F.col("lo") != F.col("hi")).alias("several")), "suffix-anchors")
     shared = materialize(found.join(anchors, F.col("anchor") == F.col("k")).drop("k"), "suffix-shared")
@@ -265,7 +265,7 @@ def repeat_spans(docs: DataFrame, hot: int = HOT_SLICES) -> DataFrame:
     kinds = materialize(several.groupBy("anchor", "content").agg(F.count(F.lit(1)).alias("times"), one).select("anchor", "content", "times", "one.*"), "suffix-kinds")
     copies = kinds.where("times > 1").select(F.col("anchor").alias("a"), F.col("content").alias("c"))
     copied = several.join(copies, (F.col("anchor") == F.col("a")) & (F.col("content") == F.col("c")), "left_semi").select(*span)
-    slices = materialize(_slices(docs, kinds), "suffix-slices")
+    slices = materialize_texts(_slices(docs, kinds), "suffix-slices")
     return same.unionByName(copied).unionByName(anchor_spans(slices, hot))
 
 
@@ -303,4 +303,4 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 out.append((doc_id.as_py(), len(raw), len(raw) - len(left), len(merged), hashlib.sha256(left).hexdigest(), left))
             yield _batch(out, schema)
 
-    return joined.select("doc_id", "text", "spans").mapInArrow(run, schema)
+    return joined.select("doc_id", "text", "spans").mapInArrow(lean(run), schema)

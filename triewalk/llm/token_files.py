@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import scratch_path, total_partitions
+from .common import lean, scratch_path, text_batches, total_partitions
 from .tokens import encoder
 
 SEQUENCE = 1024
@@ -159,7 +159,8 @@ def write_token_files(docs: DataFrame, folder: str, tokenizer: str, shards: int
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     dealt = rows.repartitionByRange(shards, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
-    return sorted(tuple(r) for r in dealt.mapInArrow(write, "shard long, docs long, ids long").collect())
+    with text_batches(docs.sparkSession):
+        return sorted(tuple(r) for r in dealt.mapInArrow(lean(write), "shard long, docs long, ids long").collect())
 
 
 def read_token_files(spark, folder: str, manifest: list[tuple[int, int, int]]) -> DataFrame:
@@ -184,7 +185,7 @@ def read_token_files(spark, folder: str, manifest: list[tuple[int, int, int]]) -
                 yield _rows(rows)
 
     files = spark.createDataFrame(starts, "shard long, base long").repartition(max(1, len(starts)), "shard") if starts else spark.createDataFrame([], "shard long, base long")
-    return files.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.mapInArrow(lean(read), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:

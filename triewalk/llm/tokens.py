@@ -14,8 +14,8 @@ import unicodedata
 from array import array
 
 END_ID = 1
-#: Words of one generation; two are kept, about 250 MB a worker at most.
-CACHE_WORDS = 600_000
+#: Words of one generation; two are kept, about 120 MB a worker at most.
+CACHE_WORDS = 300_000
 _LIMIT = 0x250
 #: The rules of a tokenizer file that the cutter of words follows.
 NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]}
