@@ -6,11 +6,12 @@ import pytest
 from pyspark.sql import functions as F
 
 from triewalk import workloads as W
-from triewalk.operators import baselines, costs, families, layout, renumber, skip_meet
+from triewalk.operators import baselines, costs, families, layout, level_engine, renumber, skip_meet
 from triewalk.operators.broadcast_engine import TooLarge, run_broadcast
 from triewalk.operators.cell_engine import run_cells
 from triewalk.operators.domain import encode_domain
-from triewalk.operators.engine import Answer, attach, count, execute, exists, explain, first, prepare, run, run_split
+from triewalk.operators.engine import Answer, attach, count, execute, exists, explain, first, heavy_values, prepare, run, run_split, settle
+from triewalk.plans import choice
 from triewalk.plans.ir import Atom, JoinQuery
 from triewalk.sources.synthetic import density_instance, grid, projection_instance
 from triewalk.sources.tables import load, relation
@@ -82,6 +83,63 @@ def test_skewed_key(spark):
     assert got(run_split(q, {"E": e}, "a", 50)) == want == got(run(q, {"E": e}, "cells"))
 
 
+def test_heavy_values_are_found_and_split(spark):
+    e = pairs(spark, [(0, i) for i in range(3000)] + [(i, i + 1) for i in range(3000)] + [(i, 0) for i in range(0, 3000, 3)])
+    q = "Q(a,b,c) :- E(a,b), E(b,c), E(a,c)"
+    p = prepare(q, {"E": e})
+    frames = settle(p.frames)
+    assert len({id(f.df) for f in frames}) == 3 and {f.rows for f in frames} == {e.distinct().count()}
+    assert heavy_values(frames, {"a": 4, "b": 4, "c": 1}) == {"a": [0], "b": [0]}
+    want = got(run(q, {"E": e}, "broadcast"))
+    for skew in ("split", "off"):
+        assert got(run(q, {"E": e}, "cells", skew=skew)) == want
+        assert execute(p, "cells", measure="count", skew=skew).agg(F.sum("n")).first()[0] == len(want)
+
+
+def test_counts_without_listing(spark):
+    rng = random.Random(4)
+    e = pairs(spark, [(rng.randint(0, 30), rng.randint(-5, 30)) for _ in range(300)])
+    for q in ("Q(a,b,c) :- E(a,b), E(b,c), E(a,c)", "Q(a,b,c,d) :- E(a,b), E(b,c), E(c,d), E(a,d)", "Q(a,b,c) :- E(a,b), E(b,c)", "Q(a,b) :- E(a,b), E(b,a)"):
+        n = run(q, {"E": e}).count()
+        for engine in ("auto", "cells", "broadcast", "levels", "hash", "pairwise"):
+            assert count(q, {"E": e}, engine=engine).first()[0] == n, (q, engine)
+    assert count("Q(a,b,c) :- E(a,b), E(b,c), E(a,c), a < b", {"E": e}).first()[0] == run("Q(a,b,c) :- E(a,b), E(b,c), E(a,c), a < b", {"E": e}).count()
+
+
+def test_choices():
+    tri, order = [("a", "b"), ("b", "c"), ("a", "c")], ["a", "b", "c"]
+    assert choice.choose_engine(tri, [100] * 3, order, [1.0] * 3, 64)[0] == "broadcast"
+    big = [10**9] * 3
+    shares = choice.enough_cells(tri, big, order, 64)
+    assert choice.cell_load(tri, big, shares) <= choice.CELL_BYTES < choice.cell_load(tri, big, choice.best_shares(tri, big, order, 64))
+    assert choice.enough_cells(tri, [10**15] * 3, order, 64) is None
+    few = [10.0] * 3
+    assert choice.choose_engine(tri, [10**15] * 3, order, few, 64)[0] == "levels"
+    assert choice.choose_engine(tri, [10**15, 10**12, 10**15], order, few, 64)[0] == "hash"
+    assert choice.choose_engine(tri, [10**15, 10**12, 10**15], order, few, 64, sorted_already=True)[0] == "levels"
+    assert choice.choose_engine(tri[:2], [10**9] * 2, order, few, 64)[0] == "pairwise"
+
+
+def test_engines_read_kept_layouts(spark):
+    cat = layout.LayoutCatalog(spark, "t_kept", 2)
+    rng = random.Random(2)
+    e = {"E": pairs(spark, [(rng.randint(0, 9), rng.randint(0, 9)) for _ in range(50)])}
+    q = "Q(a,b,c) :- E(a,b), E(b,c), E(a,c)"
+    want = got(run(q, e))
+    assert got(run(q, e, "levels", layouts=cat)) == want == got(run(q, e, "cells", layouts=cat)) and len(cat.known) == 1
+    # the kept table is what is read: rows added to it count without the relation being given again
+    cat.refresh("E", pairs(spark, [(50, 51), (51, 52), (50, 52)]))
+    assert got(run(q, e, "levels", layouts=cat)) == sorted([*want, (50, 51, 52)])
+    cat.drop()
+
+
+def test_products_without_a_common_variable(spark, monkeypatch):
+    a, b = {"A": spark.range(7), "B": spark.range(5)}, sorted((x, y) for x in range(7) for y in range(5))
+    assert got(run("Q(x,y) :- A(x), B(y)", a, "levels")) == b
+    monkeypatch.setattr(level_engine, "BROADCAST_ROWS", 1)
+    assert got(run("Q(x,y) :- A(x), B(y)", a, "levels")) == b
+
+
 def test_golden_sizes(spark):
     assert W.w01(spark, SMALL).count() == 59
     assert W.w02(spark, SMALL).count() == 2615

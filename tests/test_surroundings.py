@@ -1,11 +1,13 @@
 import datetime as dt
+import shutil
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
 
 from triewalk.functions import udf
-from triewalk.operators import surround
-from triewalk.sources.tables import load, load_text, save
+from triewalk.operators import families, surround
+from triewalk.sources.tables import load, load_text, next_in_order, save
 from triewalk.streaming import streams
 
 from .conftest import SMALL
@@ -92,10 +94,66 @@ def test_delta_stream(spark, days, tmp_path):
     from triewalk.operators.engine import run
 
     whole = spark.read.parquet(days).selectExpr("user_id as u", "event_id % 15 as v")
-    assert sink.batches == 3
+    assert len(sink.batches(spark)) == 3
     assert got(sink.answers(spark)) == got(run("Q(a,b,c) :- E(a,b), E(b,c)", {"E": whole}))
 
 
+def test_delta_stream_goes_on_after_a_restart(spark, days, tmp_path):
+    from triewalk.operators.engine import run
+
+    make = lambda b: b.selectExpr("user_id as u", "event_id % 15 as v")
+    q, state = "Q(a,b,c) :- E(a,b), E(b,c)", str(tmp_path / "state")
+
+    def go():
+        """Whatever files there are; a sink of its own each time, as after a lost driver."""
+        sink = streams.DeltaQuery(q, "E", make, state)
+        src = streams.stream_files(spark, str(tmp_path / "arriving"), EVENTS)
+        src.writeStream.foreachBatch(sink).option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start().awaitTermination(300)
+        return streams.DeltaQuery(q, "E", make, state).answers(spark)
+
+    files = sorted(Path(days).parent.rglob("*.parquet"))
+    (tmp_path / "arriving").mkdir()
+    for f in files[:1]:
+        shutil.copy(f, tmp_path / "arriving" / f"0-{f.name}")
+    go()
+    for i, f in enumerate(files[1:], 1):
+        shutil.copy(f, tmp_path / "arriving" / f"{i}-{f.name}")
+    assert got(go()) == got(run(q, {"E": make(spark.read.parquet(days))}))
+
+
+def test_next_in_order_of_one_crowded_moment(spark):
+    """All rows at one moment: ranges go by the id then."""
+    df = spark.range(1000).selectExpr("timestamp'2024-01-01' as ts", "id", "id * 7 % 13 as u")
+    rows = {r["id"]: r["next"] for r in next_in_order(df, ["ts", "id"], "u").collect()}
+    assert rows == {i: (i + 1) * 7 % 13 if i < 999 else None for i in range(1000)}
+
+
+def test_degree_profile_of_one_degree(spark):
+    profile = got(families.degree_profile(spark.range(500).selectExpr("id as u", "id + 1 as v"), "u"))
+    assert profile == [(i, 1) for i in range(500)]
+
+
+def test_rule_source_and_function(spark, tmp_path):
+    from triewalk.functions.udf import register, rule_rows
+    from triewalk.operators.engine import run
+    from triewalk.plans.ir import QueryError
+    from triewalk.functions.udf import walk_rule_arrays
+    from triewalk.plans.parse import rule
+    from triewalk.sources.rule_source import RuleSource
+
+    e = spark.range(60).selectExpr("id % 8 as u", "id * 5 % 9 as v").distinct()
+    e.write.parquet(str(tmp_path / "e"))
+    spark.dataSource.register(RuleSource)
+    q = "Q(a,b,c,d) :- E(a,b), E(b,c), E(c,d), E(a,d)"
+    want = got(run(q, {"E": e}))
+    assert want and got(spark.read.format("rule").option("rule", q).option("parts", 3).option("relation_E", str(tmp_path / "e")).load()) == want
+    register(spark)
+    rule_rows(q, {"E": e}, 3).createOrReplaceTempView("some_rows")
+    assert got(spark.sql(f"SELECT * FROM walk_rule('{q}', TABLE(some_rows) PARTITION BY cell)")) == want
+    with pytest.raises(QueryError):
+        list(walk_rule_arrays(rule("Q(a) :- E(a,a)"), []))
+
+
 def test_streamed_answers_of_no_rows(spark):
     none = spark.createDataFrame([], "u long, v long")
     assert got(streams.streamed_answers("Q(a,b,c) :- E(a,b), E(b,c)", "E", none, 2)) == []

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import permutations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,11 +13,13 @@ from .functions import columns as C
 from .kernel.cursor import OpCounter, SortedCursor
 from .kernel.meet import SkipMeet, drain
 from .operators import baselines, costs, families, renumber, surround
-from .operators.engine import Prepared, count, execute, prepare, run
+from .operators.cell_engine import run_cells
+from .operators.engine import Prepared, count, prepare, run
 from .operators.skip_meet import skip_meet
-from .plans.bounds import cover_bound, projection_bound
+from .plans.bounds import cover_bound, growth_exponent, projection_bound
 from .plans.rewrite import KeyFrame
-from .sources.synthetic import projection_instance
+from .sources.scratch import cut, fresh_path
+from .sources.synthetic import grid, projection_instance
 from .sources.tables import load, relation
 from .streaming import streams
 
@@ -33,6 +36,8 @@ RELATIONS = {
     "co_supp": "SELECT DISTINCT x.l_suppkey AS u, y.l_suppkey AS v FROM lineitem x JOIN lineitem y ON x.l_orderkey = y.l_orderkey AND x.l_suppkey < y.l_suppkey",
     "co_part": "SELECT DISTINCT x.l_partkey AS u, y.l_partkey AS v FROM lineitem x JOIN lineitem y ON x.l_orderkey = y.l_orderkey AND x.l_partkey < y.l_partkey",
     "bts": "SELECT DISTINCT p_brand AS a, p_type AS b, p_size AS c FROM part",
+    "utd": "SELECT DISTINCT user_id AS a, event_type AS b, day(ts) AS c FROM events",
+    "zipf": "SELECT DISTINCT l_partkey % 400 * (l_partkey % 400) // 800 AS u, 2000 // (1 + l_suppkey * 7 % 200) AS v FROM lineitem",
 }
 
 
@@ -70,11 +75,20 @@ named("grid_nation_triangle", HOP3.format(e="nn"), "nn")(lambda s, d: W.w02(s, d
 
 @named("skew_split_triangle", TRI, "cs sn cn")
 def skew_split_triangle(s, d):
+    """Heavy nations apart, by a threshold that the caller gives."""
     from .operators.engine import run_split
 
     return W.longs(run_split(W.TRIANGLE, W.w01_relations(s, d), "c", 500), ["a", "b", "c"])
 
 
+for _skew in ("split", "off"):
+
+    @named(f"tri_zipf_{_skew}", HOP3.format(e="zipf"), "zipf")
+    def tri_zipf(s, d, k=_skew):
+        """Triangles of a graph in which a few values hold most edges; split: these are found and joined apart by the engine itself."""
+        return W.longs(run("Q(a,b,c) :- E(a,b), E(b,c), E(a,c)", {"E": relation(s, d, "zipf")}, "cells", skew=k), ["a", "b", "c"])
+
+
 @named("cycle4_nation_count", "SELECT count(*) AS n FROM nn p JOIN nn q ON p.v = q.u JOIN nn r ON q.v = r.u JOIN nn t ON r.v = t.u AND t.v = p.u", "nn")
 def cycle4_nation_count(s, d):
     return count("Q(a,b,c,e) :- E(a,b), E(b,c), E(c,e), E(e,a)", {"E": relation(s, d, "nn")})
@@ -92,6 +106,12 @@ def bowtie_hop_count(s, d):
     return tri.agg(F.sum(F.col("k") * F.col("k")).cast("long").alias("n"))
 
 
+@named("bowtie_rule_count", f"WITH hop AS ({RELATIONS['hop']}) SELECT CAST(sum(k * k) AS BIGINT) AS n FROM (SELECT a, count(*) AS k FROM ({HOP3.format(e='hop')}) GROUP BY a)")
+def bowtie_rule_count(s, d):
+    """The bow-tie as one rule of five variables, counted by the walk."""
+    return count("Q(a,b,c,e,f) :- E(a,b), E(b,c), E(a,c), E(a,e), E(e,f), E(a,f)", {"E": relation(s, d, "hop")}, ["a", "b", "c", "e", "f"])
+
+
 @named("pairs3_part", "SELECT x.a, x.b, y.c FROM (SELECT DISTINCT a, b FROM bts) x JOIN (SELECT DISTINCT b, c FROM bts) y ON x.b = y.b JOIN (SELECT DISTINCT a, c FROM bts) z ON z.a = x.a AND z.c = y.c", "bts")
 def pairs3_part(s, d):
     t = relation(s, d, "bts").toDF("a", "b", "c")
@@ -202,7 +222,15 @@ LINES = "k AS (SELECT DISTINCT doc_id, trim(line, ' ') AS line FROM (SELECT doc_
 @named("shared_line_triangles", f"WITH {LINES} SELECT count(*) AS n FROM ({HOP3.format(e='e')})")
 def shared_line_triangles(s, d):
     """Triangles of documents that share a line: clusters of copies."""
-    return count("Q(a,b,c) :- E(a,b), E(b,c), E(a,c)", {"E": W.shared_lines(s, d)})
+    return W.shared_line_triangles(s, d)
+
+
+@named(
+    "benchmark_lines",
+    "SELECT DISTINCT item_id, doc_id FROM (SELECT item_id, trim(line, ' ') AS line FROM (SELECT item_id, unnest(string_split(text, chr(10))) AS line FROM benchmark)) JOIN (SELECT doc_id, trim(line, ' ') AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents)) USING (line) WHERE length(line) >= 40",
+)
+def benchmark_lines(s, d):
+    return W.benchmark_lines(s, d)
 
 
 # --- unary meets ---------------------------------------------------------------------------------------------------------
@@ -222,6 +250,11 @@ def trie_prefixes_part(s, d):
     return W.prefix_counts(s, d, "bts")
 
 
+@named("trie_prefixes_events", "SELECT 1 AS depth, count(DISTINCT a) AS n FROM utd UNION ALL SELECT 2, count(DISTINCT (a, b)) FROM utd UNION ALL SELECT 3, count(*) FROM utd", "utd")
+def trie_prefixes_events(s, d):
+    return W.prefix_counts(s, d, "utd")
+
+
 LEVELS_ABC = (
     "q1 AS (SELECT DISTINCT a FROM cs SEMI JOIN cn USING (a)), q2 AS (SELECT a, b FROM cs SEMI JOIN q1 USING (a) SEMI JOIN sn USING (b)), "
     "da AS (SELECT a, count(DISTINCT b) AS k FROM cs GROUP BY a), ea AS (SELECT a, count(*) AS k FROM cn GROUP BY a), db AS (SELECT b, count(*) AS k FROM sn GROUP BY b), "
@@ -243,7 +276,25 @@ def prefix_sizes_tri(s, d):
     return costs.costs_frame(W.w01_prepared(s, d), ["a", "b", "c"]).select("var", "n_rows")
 
 
-@named("order_costs_all")
+def _order_sql() -> str:
+    """Sums of level costs of the triangle in each of the six orders, one SELECT an order: prefixes, then the least degree of each."""
+    rels = {"cs": "ab", "sn": "bc", "cn": "ac"}
+    out = []
+    for order in permutations("abc"):
+        x, y, z = order
+        has = lambda *vs: [r for r, cols in rels.items() if set(vs) <= set(cols)]
+        first = " INTERSECT ".join(f"SELECT {x} FROM {r}" for r in has(x))
+        least_first = ", ".join(f"(SELECT count(DISTINCT {x}) FROM {r})" for r in has(x))
+        (both,), (free,) = has(x, y), [r for r in has(y) if r not in has(x, y)]
+        second = f"SELECT {x}, {y} FROM {both} SEMI JOIN ({first}) USING ({x}) SEMI JOIN {free} USING ({y})"
+        c2 = f"(SELECT sum(least(k, (SELECT count(DISTINCT {y}) FROM {free}))) FROM ({first}) JOIN (SELECT {x}, count(*) AS k FROM {both} GROUP BY {x}) USING ({x}))"
+        (rx,), (ry,) = has(x, z), has(y, z)
+        c3 = f"(SELECT sum(least(kx, ky)) FROM ({second}) JOIN (SELECT {x}, count(*) AS kx FROM {rx} GROUP BY {x}) USING ({x}) JOIN (SELECT {y}, count(*) AS ky FROM {ry} GROUP BY {y}) USING ({y}))"
+        out.append(f"SELECT '{','.join(order)}' AS variable_order, CAST(least({least_first}) + coalesce({c2}, 0) + coalesce({c3}, 0) AS BIGINT) AS total")
+    return " UNION ALL ".join(out)
+
+
+@named("order_costs_all", _order_sql(), "cs sn cn")
 def order_costs_all(s, d):
     return W.w06(s, d)
 
@@ -300,7 +351,13 @@ def heavy_light_sweep(s, d):
     return baselines.heavy_light_sweep(r["R"].toDF("a", "b"), W.longs(r["S"].toDF("b", "c")).distinct(), W.longs(r["T"].toDF("a", "c")).distinct(), [0, 150, 500, 1_000_000_000])
 
 
-@named("certificate_tri", f"WITH {CTE3}, {LEVELS_ABC} SELECT 'a' AS var, (SELECT c FROM c0) AS c, true AS ok UNION ALL SELECT 'b', (SELECT c FROM c1), true UNION ALL SELECT 'c', (SELECT c FROM c2), true")
+@named(
+    "certificate_tri",
+    f"WITH {CTE3}, {LEVELS_ABC}, z AS (SELECT CAST((SELECT count(*) FROM cs) AS DOUBLE) AS r, (SELECT count(*) FROM sn) AS s, (SELECT count(*) FROM cn) AS t), "
+    "q AS (SELECT least(sqrt(r * s * t), r * s, s * t, r * t) AS bound FROM z) "
+    "SELECT 'a' AS var, c, (SELECT count(*) FROM q1) <= c AND c <= bound AS ok FROM c0, q UNION ALL SELECT 'b', c, (SELECT count(*) FROM q2) <= c AND c <= bound FROM c1, q "
+    f"UNION ALL SELECT 'c', c, (SELECT count(*) FROM ({TRI})) <= c AND c <= bound FROM c2, q",
+)
 def certificate_tri(s, d):
     cert = costs.certify(W.w01_prepared(s, d), ["a", "b", "c"])
     return s.createDataFrame([(v, c, n <= c <= cert["bound"]) for v, c, n in cert["levels"]], "var string, c long, ok boolean")
@@ -326,12 +383,22 @@ def degree_profile_hop(s, d):
     return W.longs(families.degree_profile(relation(s, d, "hop"), "u"))
 
 
-@named("degree_dominance_hop", "SELECT count(*) AS violations FROM hop WHERE false", "hop")
+RANKED = "{n} AS (SELECT row_number() OVER (ORDER BY k DESC) - 1 AS rank, k FROM (SELECT u, count(*) AS k FROM hop {where} GROUP BY u))"
+DOMINANCE = ", ".join(["hop AS (" + RELATIONS["hop"] + ")", RANKED.format(n="whole", where=""), RANKED.format(n="half", where="WHERE u < (SELECT (max(u) + 1) // 2 FROM hop)")])
+
+
+@named(
+    "degree_dominance_hop",
+    f"WITH {DOMINANCE} SELECT 'half in whole' AS direction, count(*) AS violations FROM half LEFT JOIN whole USING (rank) WHERE whole.k IS NULL OR half.k > whole.k "
+    "UNION ALL SELECT 'whole in half', count(*) FROM whole LEFT JOIN half USING (rank) WHERE half.k IS NULL OR whole.k > half.k",
+)
 def degree_dominance_hop(s, d):
-    """Hops from the lower half of the users embed in all hops: no rank is exceeded."""
-    hop = relation(s, d, "hop")
-    half = (hop.agg(F.max("u")).first()[0] + 1) // 2
-    return families.dominance_violations(hop.where(F.col("u") < half), hop, "u").agg(F.count(F.lit(1)).alias("violations"))
+    """Hops from the lower half of the users embed in all hops, so no rank is exceeded; the other way round ranks are missing."""
+    hop = cut(relation(s, d, "hop"), "hop")
+    half = hop.where(F.col("u") < (hop.agg(F.max("u")).first()[0] + 1) // 2)
+    both = [(n, families.dominance_violations(a, b, "u")) for n, a, b in (("half in whole", half, hop), ("whole in half", hop, half))]
+    one, two = (df.agg(F.count(F.lit(1)).alias("violations")).select(F.lit(n).alias("direction"), "violations") for n, df in both)
+    return one.unionByName(two)
 
 
 @named("match_length_part", "SELECT p_partkey, CASE WHEN p_brand <> 'Brand#11' THEN 0 WHEN p_size <> 10 THEN 1 ELSE 2 END AS m FROM part")
@@ -340,29 +407,105 @@ def match_length_part(s, d):
     return families.match_length(df, ["p_brand", "p_size"], ["x", "y"], "m").select("p_partkey", "m")
 
 
+def projection_sql(j: int) -> str:
+    """The projection family's relations for n = 2^(8j), made by ranges."""
+    few, many, n = 1 << 3 * j, 1 << 5 * j, 1 << 8 * j
+    return f"cs AS (SELECT x.range AS a, y.range AS b FROM range({few}) x, range({many}) y), sn AS (SELECT x.range AS b, y.range AS c FROM range({many}) x, range({few}) y), cn AS (SELECT range AS a, 0 AS c FROM range({n}))"
+
+
+SWEPT = {1: (0, 4, 7, 8, 16, 256), 2: (0, 32, 63, 64, 128, 65536)}
+
+
+def _swept(s, j: int) -> DataFrame:
+    inst = projection_instance(s, j)
+    return baselines.heavy_light_sweep(inst["R"], inst["S"].toDF("b", "c"), inst["T"].toDF("a", "c"), list(SWEPT[j]))
+
+
+def _walk_cost(s, rels: dict[str, DataFrame]) -> int:
+    """Sum of level costs, gathered by the walk itself in one job over cells of the first variable."""
+    p = prepare(W.TRIANGLE, rels)
+    return run_cells(p.frames, ["a", "b", "c"], {"a": 8}, measure="costs").agg(F.sum("cost")).first()[0]
+
+
+for _j in (1, 2):
+
+    @named(
+        f"counterexample_{1 << 8 * _j}",
+        f"WITH {projection_sql(_j)}, {LEVELS_ABC} SELECT (SELECT count(*) FROM ({TRI})) AS n_answers, (SELECT count(*) FROM cs JOIN sn USING (b)) AS light_rows, "
+        "(SELECT count(DISTINCT b) FROM cs) * (SELECT count(*) FROM cn) AS product_rows, (SELECT c0.c + c1.c + c2.c FROM c0, c1, c2) AS walk_cost",
+    )
+    def counterexample(s, d, j=_j):
+        """The projection family: the walk's cost against the heavy/light baseline's intermediates, the least and the most of all thresholds."""
+        inst = projection_instance(s, j)
+        sweep = _swept(s, j).collect()
+        least, most = min(r["light_rows"] + r["product_rows"] for r in sweep), max(r["product_rows"] for r in sweep)
+        return one_row(s, "n_answers long, light_rows long, product_rows long, walk_cost long", run(W.TRIANGLE, inst, "auto").count(), least, most, _walk_cost(s, inst))
+
+    @named(
+        f"counterexample_sweep_{1 << 8 * _j}",
+        f"WITH {projection_sql(_j)}, k AS (SELECT b, count(*) AS n FROM cs GROUP BY b), l AS (SELECT b, count(*) AS m FROM sn GROUP BY b) "
+        "SELECT CAST(tau AS DOUBLE) AS tau, (SELECT count(*) FROM k WHERE n > tau) AS heavy, (SELECT count(*) FROM k WHERE n > tau) * (SELECT count(*) FROM cn) AS product_rows, "
+        f"CAST((SELECT coalesce(sum(n * m), 0) FROM k JOIN l USING (b) WHERE n <= tau) AS BIGINT) AS light_rows FROM (VALUES {', '.join(f'({t})' for t in SWEPT[_j])}) t(tau)",
+    )
+    def counterexample_sweep(s, d, j=_j):
+        return _swept(s, j)
+
+
+GROWN = "SELECT family, measure, round(regr_slope(log2(y), log2(n)), 3) AS exponent FROM points GROUP BY family, measure"
+GRIDS = (16, 32, 64)
+LEVEL_SUM = "(SELECT c0.c + c1.c + c2.c FROM c0, c1, c2)"
+_POINTS = " UNION ALL ".join(f"SELECT 'grid' AS family, 'walk cost' AS measure, {m * m} AS n, (SELECT count(DISTINCT a) + count(*) + (SELECT count(*) FROM g{m} x JOIN g{m} y ON x.b = y.a) FROM g{m}) AS y" for m in GRIDS)
+_POINTS += "".join(
+    f" UNION ALL SELECT 'projection', '{what}', {1 << 8 * j}, (WITH {projection_sql(j)}, {LEVELS_ABC} {sql})"
+    for j in (1, 2)
+    for what, sql in (("walk cost", f"SELECT * FROM {LEVEL_SUM}"), ("light rows", "SELECT count(*) FROM cs JOIN sn USING (b)"), ("product rows", "SELECT (SELECT count(DISTINCT b) FROM cs) * (SELECT count(*) FROM cn)"))
+)
+
+
+@named("growth_tri", "WITH " + ", ".join(f"g{m} AS (SELECT x.range AS a, y.range AS b FROM range({m}) x, range({m}) y)" for m in GRIDS) + f", points AS ({_POINTS}) {GROWN}")
+def growth_tri(s, d):
+    """How costs grow with n, as exponents: the walk on grids, and the walk and both sides of heavy/light on the projection family."""
+    points = {("grid", "walk cost"): [(m * m, _walk_cost(s, dict.fromkeys("RST", grid(s, m)))) for m in GRIDS]}
+    for j in (1, 2):
+        sweep, n = _swept(s, j).collect(), 1 << 8 * j
+        found = {"walk cost": _walk_cost(s, projection_instance(s, j)), "light rows": max(r["light_rows"] for r in sweep), "product rows": max(r["product_rows"] for r in sweep)}
+        for what, y in found.items():
+            points.setdefault(("projection", what), []).append((n, y))
+    return s.createDataFrame([(*k, round(growth_exponent(p), 3)) for k, p in points.items()], "family string, measure string, exponent double")
+
+
+_GRID = "g AS (SELECT u, v FROM nn), ga AS (SELECT u, count(*) AS k FROM g GROUP BY u)"
+
+
 @named(
-    "counterexample_256",
-    "WITH cs AS (SELECT x.range AS a, y.range AS b FROM range(8) x, range(32) y), sn AS (SELECT x.range AS b, y.range AS c FROM range(32) x, range(8) y), cn AS (SELECT range AS a, 0 AS c FROM range(256)) "
-    f"SELECT (SELECT count(*) FROM ({TRI})) AS n_answers, (SELECT count(*) FROM cs JOIN sn USING (b)) AS light_rows, (SELECT count(DISTINCT b) FROM cs) * (SELECT count(*) FROM cn) AS product_rows, 8 + 256 + 256 AS walk_cost",
+    "density_counters",
+    f"WITH {CTE3}, nn AS ({RELATIONS['nn']}), {LEVELS_ABC}, {_GRID} "
+    f"SELECT 'same nation' AS workload, (SELECT count(*) FROM ({TRI})) AS answers, (SELECT CAST(c0.c + c1.c + c2.c AS BIGINT) FROM c0, c1, c2) AS probes UNION ALL "
+    "SELECT 'nations grid', (SELECT count(*) FROM g x JOIN g y ON x.v = y.u JOIN g z ON z.u = x.u AND z.v = y.v), "
+    "(SELECT CAST((SELECT count(*) FROM ga) + (SELECT sum(least(k, (SELECT count(*) FROM ga))) FROM ga) + (SELECT sum(least(x.k, y.k)) FROM g JOIN ga x ON x.u = g.u JOIN ga y ON y.u = g.v) AS BIGINT))",
 )
-def counterexample_256(s, d):
-    """The projection family at n = 256: the walk's cost against the heavy/light baseline's intermediates at both extremes."""
-    inst = projection_instance(s, 1)
-    p = prepare(W.TRIANGLE, inst)
-    walk = sum(c for _, c, _ in costs.level_costs(p, ["a", "b", "c"]))
-    sweep = baselines.heavy_light_sweep(inst["R"], inst["S"].toDF("b", "c"), inst["T"].toDF("a", "c"), [8, 7]).collect()
-    return one_row(s, "n_answers long, light_rows long, product_rows long, walk_cost int", execute(p, "levels").count(), sweep[0]["light_rows"], sweep[1]["product_rows"], walk)
+def density_counters(s, d):
+    """Answers and probes of the hash walk, which are the level costs: on W01 and on the grid."""
+    from .kernel.hashwalk import hash_walk
+
+    rows = []
+    for name, p in (("same nation", W.w01_prepared(s, d)), ("nations grid", prepare("Q(a,b,c) :- E(a,b), E(b,c), E(a,c)", {"E": relation(s, d, "nn")}))):
+        ops = OpCounter()
+        n = sum(1 for _ in hash_walk(costs.local_atoms(p, ["a", "b", "c"]), 3, ops))
+        rows.append((name, n, ops.total("probe")))
+    return s.createDataFrame(rows, "workload string, answers long, probes long")
 
 
-@named("density_ops", "SELECT n, 4 AS skips FROM (VALUES (4), (100), (10000)) t(n)")
+@named("density_ops", "SELECT n, (SELECT count(*) + 1 FROM (VALUES (1), (2), (3))) AS skips, (SELECT count(*) FROM range(2 * n) x JOIN range(n, 3 * n) y ON x.range = y.range) AS pair_keys, (SELECT count(*) FROM range(2 * n) x JOIN range(n, 3 * n) y ON x.range = y.range WHERE x.range < n OR x.range >= 2 * n) AS answers FROM (VALUES (4), (100), (10000)) t(n)")
 def density_ops(s, d):
-    """Skips until the empty meet of the density example is known: the same for every n."""
+    """Skips until the empty meet of the density example is known, one more than there are inputs whatever n, against the keys that a meet of two gives."""
     rows = []
     for n in (4, 100, 10000):
         ops = OpCounter()
-        drain(SkipMeet([SortedCursor(x, ops) for x in (range(2 * n), range(n, 3 * n), [*range(n), *range(2 * n, 3 * n)])]))
-        rows.append((n, ops.total("skip")))
-    return s.createDataFrame(rows, "n int, skips int")
+        sets = (range(2 * n), range(n, 3 * n), [*range(n), *range(2 * n, 3 * n)])
+        found = drain(SkipMeet([SortedCursor(x, ops) for x in sets]))
+        rows.append((n, ops.total("skip"), len(drain(SkipMeet([SortedCursor(x, OpCounter()) for x in sets[:2]]))), len(found)))
+    return s.createDataFrame(rows, "n int, skips long, pair_keys long, answers long")
 
 
 @named("op_counts")
@@ -510,9 +653,11 @@ def math_parts(s, d):
     return load(s, d, "part", ["p_partkey", "p_size"]).select("p_partkey", F.floor(C.log2(F.col("p_size") + 1)).cast("long").alias("bits"), F.greatest("p_size", F.lit(10)).alias("g"))
 
 
-@named("hash_cells")
+@named("hash_cells", "SELECT count(*) AS n, count(DISTINCT a) AS n_keys FROM cs", "cs")
 def hash_cells(s, d):
-    return relation(s, d, "cs").groupBy(C.cell_of(F.col("o_custkey"), 8).alias("cell")).agg(F.count(F.lit(1)).alias("n"))
+    """Rows and keys summed over the cells of one variable: as a key has one cell, no key counts twice."""
+    per = relation(s, d, "cs").groupBy(C.cell_of(F.col("o_custkey"), 8).alias("cell")).agg(F.count(F.lit(1)).alias("n"), F.count_distinct("o_custkey").alias("k"))
+    return per.agg(F.sum("n").alias("n"), F.sum("k").alias("n_keys"))
 
 
 @named("array_meet", "SELECT c_custkey, list_sort(list_intersect(f, o)) AS both_days FROM (SELECT o_custkey AS c_custkey, list(DISTINCT month(o_orderdate)) FILTER (o_orderstatus = 'F') AS f, list(DISTINCT month(o_orderdate)) FILTER (o_orderstatus = 'O') AS o FROM orders GROUP BY 1) WHERE len(list_intersect(f, o)) > 0")
@@ -570,6 +715,28 @@ def udtf_rule(s, d):
     return s.sql("SELECT a, b, c FROM walk_triangle(TABLE(walk_rows) PARTITION BY cell)")
 
 
+@named("udtf_any_rule", TRI, "cs sn cn")
+def udtf_any_rule(s, d):
+    """The same through the table function that takes any rule as its first argument."""
+    from .functions.udf import register, rule_rows
+
+    register(s)
+    rels = {n: W.longs(df) for n, df in W.w01_relations(s, d).items()}
+    rule_rows(W.TRIANGLE, rels, 8).createOrReplaceTempView("rule_rows")
+    return s.sql(f"SELECT a, b, c FROM walk_rule('{W.TRIANGLE}', TABLE(rule_rows) PARTITION BY cell)")
+
+
+@named("rule_source_nation", HOP3.format(e="nn"), "nn")
+def rule_source_nation(s, d):
+    """A rule read as a table: the data source walks the relations' files, a part of the first variable's values in each task."""
+    from .sources.rule_source import RuleSource
+
+    path = fresh_path(s, "rule-source")
+    W.longs(relation(s, d, "nn").toDF("u", "v")).write.parquet(path)
+    s.dataSource.register(RuleSource)
+    return s.read.format("rule").option("rule", "Q(a,b,c) :- E(a,b), E(b,c), E(a,c)").option("parts", "4").option("relation_E", path).load()
+
+
 # --- windows of events --------------------------------------------------------------------------------------------------------
 @named("tumbling_events", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS begins, time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY AS ends, count(*) AS n FROM events GROUP BY 1")
 def tumbling_events(s, d):
@@ -598,7 +765,7 @@ def session_windows(s, d):
 def windowed_triangles(s, d):
     from .sources.tables import next_in_order
 
-    e = next_in_order(load(s, d, "events", ["event_id", "ts", "user_id"]), F.to_date("ts"), ["ts", "event_id"], "user_id")
+    e = next_in_order(load(s, d, "events", ["event_id", "ts", "user_id"]), ["ts", "event_id"], "user_id")
     edges = e.where("next is not null and user_id != next").select(F.col("user_id").alias("u"), F.col("next").alias("v"), "ts")
     return streams.windowed_triangles(edges)
 

@@ -83,8 +83,10 @@ def heavy_light_sweep(r: DataFrame, s: DataFrame, t: DataFrame, taus: list[float
     """tau, heavy values, rows of the product, rows of the light join; a row a threshold."""
     out = []
     for tau in taus:
-        heavy, product, light = heavy_light_parts(r, s, t, tau)
-        out.append((float(tau), heavy.count(), product.count(), light.count()))
+        heavy, _, light = heavy_light_parts(r, s, t, tau)
+        n = heavy.count()
+        # a product's rows are known without making it
+        out.append((float(tau), n, n * t.count(), light.count()))
     return r.sparkSession.createDataFrame(out, "tau double, heavy long, product_rows long, light_rows long")
 
 

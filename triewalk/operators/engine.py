@@ -142,7 +142,7 @@ def settle(frames: list[KeyFrame], layouts: LayoutCatalog | None = None) -> list
         key = (f.source, tuple(sorted(f.columns)))
         if key not in made:
             named = f.df.select(*(F.col(v).alias(c) for c, v in sorted(zip(f.columns, f.vars, strict=True))))
-            relation, conditions, _ = f.source
+            relation, conditions, *_ = f.source
             kept = layouts.build(relation, named, list(named.columns)) if layouts and not conditions else cut(named, "frame")
             made[key] = (kept, kept.count())
         kept, rows = made[key]

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.bounds import cover_bound, projection_bound
-from .domain import encode_domain
+from ..sources.scratch import cut
 from .renumber import renumber
 
 
@@ -69,13 +69,16 @@ def match_length(df: DataFrame, left: list[str], right: list[str], out: str = "m
 
 def degree_profile(df: DataFrame, first: str) -> DataFrame:
     """(rank, degree): degrees of the first column's values, largest first, ranks from 0, without a window over all rows."""
-    degree = df.distinct().groupBy(first).agg(F.count(F.lit(1)).alias("degree"))
-    sizes = degree.groupBy("degree").agg(F.count(F.lit(1)).alias("n"))
-    codes = encode_domain([(sizes, "degree")])  # only to have the degrees in order
-    ranked = sizes.join(codes, sizes["degree"] == codes["value"]).select("degree", "n", "code")
-    before = F.coalesce(F.sum("n").over(Window.orderBy(F.col("code").desc()).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    starts = ranked.select("degree", "n", before.alias("start"))  # a row a degree that occurs
-    return starts.select(F.explode(F.sequence(F.col("start"), F.col("start") + F.col("n") - 1)).alias("rank"), "degree")
+    degree = df.distinct().groupBy(F.col(first).alias("key")).agg(F.count(F.lit(1)).alias("degree"))
+    # ranges of (degree, key), so that many keys of one degree fall into several; a key's rank is that in its range and the sizes before
+    order = [F.col("degree").desc(), F.col("key")]
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranged = cut(degree.repartitionByRange(n, *order).withColumn("part", F.spark_partition_id()), "degrees")
+    sizes = ranged.groupBy("part").agg(F.count(F.lit(1)).alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = sizes.select("part", before.alias("start"))  # a row a range
+    inside = F.row_number().over(Window.partitionBy("part").orderBy(*order)) - 1
+    return ranged.withColumn("inside", inside).join(F.broadcast(starts), "part").select((F.col("start") + F.col("inside")).alias("rank"), "degree")
 
 
 def dominance_violations(small: DataFrame, large: DataFrame, first: str) -> DataFrame:

@@ -93,7 +93,7 @@ def key_frame(atom: Atom, df: DataFrame, order: list[str], types: dict, name: st
 
     unique: the relation is known to hold no repeated rows, so no shuffle is spent on removing them.
     """
-    columns = df.columns
+    columns, made_of = df.columns, df.semanticHash()
     first: dict[str, str] = {}
     conditions = []
     for c, t in zip(columns, atom.terms, strict=True):
@@ -110,7 +110,7 @@ def key_frame(atom: Atom, df: DataFrame, order: list[str], types: dict, name: st
     kinds = tuple(sorted((first[v], str(types[v])) for v in vars_))
     out = df.select(*(tidy(F.col(f"`{first[v]}`").cast(types[v]), types[v]).alias(v) for v in vars_)).dropna()
     whole = unique and len(vars_) == len(columns)
-    return KeyFrame(name or atom.relation, vars_, out if whole else out.distinct(), (atom.relation, tuple(conditions), kinds), tuple(first[v] for v in vars_))
+    return KeyFrame(name or atom.relation, vars_, out if whole else out.distinct(), (atom.relation, tuple(conditions), kinds, made_of), tuple(first[v] for v in vars_))
 
 
 def variable_types(q: JoinQuery, relations: dict[str, DataFrame]) -> dict:

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .scratch import cut
+
 
 def load(spark: SparkSession, sf_dir: str, name: str, cols: list[str] | None = None, where=None) -> DataFrame:
     """A table, its columns pruned and its filter pushed to the scan."""
@@ -23,17 +25,18 @@ def save(df: DataFrame, path: str, fmt: str = "parquet", partition_by: list[str]
     (w.partitionBy(*partition_by) if partition_by else w).save(path)
 
 
-def next_in_order(df: DataFrame, day, order: list[str], value: str) -> DataFrame:
-    """df with `next`: value of the row after this one in (day, order), without a window over all rows.
+def next_in_order(df: DataFrame, order: list[str], value: str) -> DataFrame:
+    """df with `next`: value (not null) of the row after this one in the order, without a window over all rows.
 
-    Rows are ordered within a day; a day's last row takes the first value of the next day that has rows, from a table of a row a day.
+    Rows are dealt to ranges of the order of about equal size, however they crowd in time, and ordered within each; a range's last row takes
+    the first value of the next range that has rows, from a table of a row a range.
     """
-    keyed = df.withColumn("_day", day)
-    inside = Window.partitionBy("_day").orderBy(*order)
-    led = keyed.withColumn("_in", F.lead(value).over(inside))
-    firsts = keyed.groupBy("_day").agg(F.min_by(value, F.struct(*order)).alias("_head"))
-    heads = firsts.select("_day", F.lead("_head").over(Window.orderBy("_day")).alias("_next_head"))  # a row a day
-    return led.join(F.broadcast(heads), "_day", "left").withColumn("next", F.coalesce("_in", "_next_head")).drop("_in", "_next_head", "_day")
+    n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranged = cut(df.repartitionByRange(n, *order).withColumn("_range", F.spark_partition_id()), "ordered")
+    led = ranged.withColumn("_in", F.lead(value).over(Window.partitionBy("_range").orderBy(*order)))
+    firsts = ranged.groupBy("_range").agg(F.min_by(value, F.struct(*order)).alias("_head"))
+    heads = firsts.select("_range", F.lead("_head").over(Window.orderBy("_range")).alias("_next_head"))  # a row a range
+    return led.join(F.broadcast(heads), "_range", "left").withColumn("next", F.coalesce("_in", "_next_head")).drop("_in", "_next_head", "_range")
 
 
 def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -50,7 +53,7 @@ def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         named = cs.join(relation(spark, sf_dir, "cn"), F.col("o_custkey") == F.col("c_custkey")).join(relation(spark, sf_dir, "sn"), F.col("l_suppkey") == F.col("s_suppkey"))
         return named.select(F.col("c_nationkey").cast("long").alias("a"), F.col("s_nationkey").cast("long").alias("b")).distinct()
     if name == "hop":
-        e = next_in_order(t("events", "event_id", "ts", "user_id"), F.to_date("ts"), ["ts", "event_id"], "user_id")
+        e = next_in_order(t("events", "event_id", "ts", "user_id"), ["ts", "event_id"], "user_id")
         return e.where("next is not null and user_id != next").select(F.col("user_id").alias("u"), F.col("next").alias("v")).distinct()
     if name in ("co_supp", "co_part"):
         key = "l_suppkey" if name == "co_supp" else "l_partkey"
@@ -59,6 +62,8 @@ def relation(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return a.join(b, (F.col("l_orderkey") == F.col("o2")) & (F.col(key) < F.col("k2"))).select(F.col(key).alias("u"), F.col("k2").alias("v")).distinct()
     if name == "bts":
         return t("part", "p_brand", "p_type", "p_size").distinct()
+    if name == "zipf":
+        return t("lineitem", "l_partkey", "l_suppkey").select(F.expr("l_partkey % 400 * (l_partkey % 400) div 800").alias("u"), F.expr("2000 div (1 + l_suppkey * 7 % 200)").alias("v")).distinct()
     if name == "utd":
         return t("events", "user_id", "event_type", "ts").select("user_id", "event_type", F.dayofmonth("ts").alias("d")).distinct()
     raise KeyError(name)

@@ -7,6 +7,7 @@ from collections.abc import Callable, Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators.engine import Prepared, execute
 from ..plans.ir import JoinQuery
@@ -47,7 +48,6 @@ class DeltaQuery:
 
     def __init__(self, q: str, name: str, make: Callable[[DataFrame], DataFrame], folder: str):
         self.q, self.name, self.make, self.folder = q, name, make, folder
-        self.batches = 0
 
     def _read(self, spark: SparkSession, kind: str, upto: int, schema) -> DataFrame:
         parts = [f"{self.folder}/{kind}/{i}" for i in range(upto)]
@@ -62,10 +62,17 @@ class DeltaQuery:
         fresh = spark.read.schema(rows.schema).parquet(f"{self.folder}/rows/{batch_id}")
         found = delta_answers(self.q, {self.name: old}, {self.name: fresh})
         found.write.mode("overwrite").parquet(f"{self.folder}/answers/{batch_id}")
-        self.schema, self.batches = found.schema, batch_id + 1
+
+    def batches(self, spark: SparkSession) -> list[str]:
+        """Folders of the batches whose answers are complete, as the store lists them: nothing is kept in the driver, so a sink made anew goes on."""
+        hadoop = spark.sparkContext._jvm.org.apache.hadoop.fs
+        found = hadoop.Path(f"{self.folder}/answers").getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).globStatus(hadoop.Path(f"{self.folder}/answers/*/_SUCCESS"))
+        return sorted(f.getPath().getParent().toString() for f in found or ())
 
     def answers(self, spark: SparkSession) -> DataFrame:
-        return self._read(spark, "answers", self.batches, self.schema)
+        """All answers so far; an empty frame of no columns before the first batch."""
+        parts = self.batches(spark)
+        return spark.read.parquet(*parts) if parts else spark.createDataFrame([], "struct<>")
 
 
 def streamed_answers(q: str, name: str, rows: DataFrame, batches: int) -> DataFrame:
@@ -76,11 +83,15 @@ def streamed_answers(q: str, name: str, rows: DataFrame, batches: int) -> DataFr
     """
     spark = rows.sparkSession
     folder = fresh_path(spark, "stream")
-    rows.repartition(batches).write.parquet(f"{folder}/in")
+    files = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // batches)
+    rows.repartition(files * batches).write.parquet(f"{folder}/in")
     sink = DeltaQuery(q, name, lambda batch: batch, f"{folder}/state")
-    writer = stream_files(spark, f"{folder}/in", rows.schema).writeStream.foreachBatch(sink)
+    writer = stream_files(spark, f"{folder}/in", rows.schema, files).writeStream.foreachBatch(sink)
     writer.option("checkpointLocation", f"{folder}/progress").trigger(availableNow=True).start().awaitTermination()
-    return sink.answers(spark)
+    if sink.batches(spark):
+        return sink.answers(spark)
+    types = variable_types(rule(q), {name: rows})
+    return spark.createDataFrame([], T.StructType([T.StructField(v, types[v]) for v in rule(q).head]))
 
 
 def windowed_counts(df: DataFrame, kind: str, ts: str = "ts", keys: tuple[str, ...] = (), size: str = "1 day", slide: str | None = None, late: str | None = None) -> DataFrame:

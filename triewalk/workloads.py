@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from .operators import baselines, costs, skip_meet
 from .operators.engine import Prepared, count, prepare, run
 from .plans.parse import rule
+from .sources.scratch import cut
 from .sources.tables import load, relation
 
 TRIANGLE = "Q(a,b,c) :- R(a,b), S(b,c), T(a,c)"
@@ -127,9 +128,39 @@ def w28_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run("Q(d,l,s,q) :- D(d,l,s), Y(d,q)", {"D": d, "Y": load(spark, sf_dir, "labels", ["doc_id", "quality"])}, "pairwise")
 
 
-def shared_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc u < doc v) that share a trimmed line of 40 characters or more."""
-    lines = load(spark, sf_dir, "documents", ["doc_id", "text"]).select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line"))
-    keyed = lines.where(F.char_length("line") >= 40).select("doc_id", F.sha2("line", 256).alias("k")).distinct()
-    other = keyed.select(F.col("doc_id").alias("v"), F.col("k").alias("k2"))
-    return keyed.join(other, (F.col("k") == F.col("k2")) & (F.col("doc_id") < F.col("v"))).select(F.col("doc_id").alias("u"), "v").distinct()
+def line_keys(spark: SparkSession, sf_dir: str, table: str, key: str) -> DataFrame:
+    """(id, k): the trimmed lines of 40 characters or more of each text, as hashes."""
+    lines = load(spark, sf_dir, table, [key, "text"]).select(F.col(key).alias("id"), F.explode(F.split("text", "\n")).alias("line")).select("id", F.trim("line").alias("line"))
+    return lines.where(F.char_length("line") >= 40).select("id", F.sha2("line", 256).alias("k")).distinct()
+
+
+def line_classes(keyed: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(id, size) of each set of shared lines that documents have, named by its least document; and (id, k), its lines.
+
+    Documents of one set have the same neighbours, so copies stand as one row with their number, however many there are.
+    """
+    often = keyed.groupBy("k").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("k")
+    shared = cut(keyed.join(often, "k", "left_semi"), "shared-lines")
+    signed = shared.groupBy("id").agg(F.sha2(F.concat_ws(",", F.sort_array(F.collect_list("k"))), 256).alias("lines"))
+    classes = cut(signed.groupBy("lines").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("size")).select("id", "size"), "line-classes")
+    return classes, shared.join(classes.select("id"), "id", "left_semi")
+
+
+def shared_line_triangles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row, n: triples of documents each two of which share a line. Pairs are made of classes alone; those within a class, and between
+    two, are counted by their sizes."""
+    classes, lines = line_classes(line_keys(spark, sf_dir, "documents", "doc_id"))
+    other = lines.select(F.col("id").alias("v"), F.col("k").alias("k2"))
+    edges = cut(lines.join(other, (F.col("k") == F.col("k2")) & (F.col("id") < F.col("v"))).select(F.col("id").alias("u"), "v").distinct(), "class-edges")
+    named = lambda v: classes.select(F.col("id").alias(v), F.col("size").cast("decimal(38,0)").alias(f"s{v}"))
+    pairs = lambda s: F.expr(f"{s} * ({s} - 1) / 2")
+    one = named("a").agg(F.sum(F.expr("sa * (sa - 1) * (sa - 2) / 6")).alias("n"))
+    two = edges.toDF("a", "b").join(named("a"), "a").join(named("b"), "b").agg(F.sum(pairs("sa") * F.col("sb") + pairs("sb") * F.col("sa")).alias("n"))
+    three = run("Q(a,b,c) :- E(a,b), E(b,c), E(a,c)", {"E": edges}, "auto").join(named("a"), "a").join(named("b"), "b").join(named("c"), "c").agg(F.sum(F.col("sa") * F.col("sb") * F.col("sc")).alias("n"))
+    return one.union(two).union(three).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
+
+
+def benchmark_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Benchmark items and documents that share a line: the line is a hidden variable of the rule."""
+    rels = {"B": line_keys(spark, sf_dir, "benchmark", "item_id"), "D": line_keys(spark, sf_dir, "documents", "doc_id")}
+    return run("Q(i,d) :- B(i,k), D(d,k)", rels, "pairwise").toDF("item_id", "doc_id")
