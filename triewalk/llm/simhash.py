@@ -34,6 +34,8 @@ SEED = 42
 MAX_BITS = 3
 #: The sampled plan: 64-bit words of a fingerprint, tables, bits taken as they are, and most differing bits of the first 64.
 WIDE, TABLES, PLAIN_BITS, WIDE_BITS = 4, 24, 8, 17
+#: Most differing bits of all WIDE words for which a candidate of the sampled plan is compared on its shingles; what that leaves out is met by prefixes.
+WIDE_ALL = 52
 SHINGLE, SIMILARITY = 5, 0.8
 #: Common shingles stand last in the order of prefixes: the most frequent ones in one of so many texts. Only the order, never a result, depends on them.
 COMMON, COMMON_ONE_IN = 1 << 15, 16
@@ -366,12 +368,12 @@ def prefix(hashes: np.ndarray, similarity: float, common: np.ndarray, order: np.
         at = np.minimum(np.searchsorted(common, hashes), len(common) - 1)
         place = np.where(common[at] == hashes, order[at] + 1, 0)
         hashes = hashes[np.lexsort((hashes, place))]
-    return hashes[: len(hashes) - least_common(len(hashes), similarity) + 1] if len(hashes) else hashes
+    return hashes[: len(hashes) - int(least_common(len(hashes), similarity)) + 1] if len(hashes) else hashes
 
 
-def least_common(n: int, similarity: float) -> int:
+def least_common(n: np.ndarray | int, similarity: float) -> np.ndarray:
     """Least shingles that a set of n shares with any set of the given similarity."""
-    return max(1, int(np.ceil(similarity * n - 1e-6)))
+    return np.maximum(1, np.ceil(similarity * np.asarray(n) - 1e-6).astype(np.int64))
 
 
 def similar_prints(docs: DataFrame, size: int, similarity: float) -> DataFrame:
@@ -397,12 +399,11 @@ def similar_prints(docs: DataFrame, size: int, similarity: float) -> DataFrame:
 
 
 def shared_postings(rooted: DataFrame) -> DataFrame:
-    """(shingle, id, root, n, place, texts, shingles): the prefix of each text, a row a shingle, as far as texts of different
-    roots share the shingle; texts: how many have it, shingles: of how many shingles these are. rooted: id, root, n, prefix.
+    """POSTING and texts: the prefix of each text, a row a shingle, as far as texts of different roots share the shingle; texts: how many
+    have it. rooted: id, root, n, prefix.
 
-    Shingles are counted before any is dealt out, and only rows whose shingle a bitmap marks go into the join.
+    Shingles of several roots are found before any is dealt out, and only rows whose shingle a bitmap marks go into the join.
     """
-    names = ["shingle", "id", "root", "n", "place"]
 
     def explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -414,18 +415,24 @@ def shared_postings(rooted: DataFrame) -> DataFrame:
                 at = np.repeat(np.arange(lo, hi), times[lo:hi])
                 place = np.arange(len(at)) - np.repeat(ends[lo:hi] - times[lo:hi] - (ends[lo - 1] if lo else 0), times[lo:hi])
                 columns = [np.concatenate(firsts[lo:hi]), *(b.column(k).to_numpy(zero_copy_only=False)[at] for k in range(3)), place]
-                yield pa.record_batch([pa.array(c) for c in columns], names=names)
+                yield pa.record_batch([pa.array(c) for c in columns], names=POSTING)
 
-    rows = rooted.select("id", "root", "n", "prefix").mapInArrow(explode, ", ".join(f"{x} long" for x in names))
-    return among_several(rows, "similar-shared")
+    return among_several(rooted.select("id", "root", "n", "prefix").mapInArrow(lean(explode), ", ".join(f"{x} long" for x in POSTING)))
 
 
-def among_several(rows: DataFrame, name: str) -> DataFrame:
-    """rows (shingle, id, root, n, place) whose shingle has several roots, with its counts, written out."""
-    per = rows.groupBy("shingle").agg(F.count(F.lit(1)).alias("texts"), F.sum("n").alias("shingles"), F.min("root").alias("_lo"), F.max("root").alias("_hi"))
-    per = materialize(per.where("_lo < _hi").select(F.col("shingle").alias("_shingle"), "texts", "shingles"), f"{name}-counts")
-    maybe = marked(rows, bitmap_of(per, F.col("_shingle"), f"{name}-bitmap"), F.col("shingle"), "_maybe").where("_maybe").drop("_maybe")
-    return materialize(maybe.join(per, F.col("shingle") == F.col("_shingle")).drop("_shingle"), name)
+POSTING = ["shingle", "id", "root", "n", "place"]
+
+
+def among_several(rows: DataFrame) -> DataFrame:
+    """rows (POSTING) whose shingle has several roots, with texts, the number of rows it has; written out."""
+    per = rows.groupBy("shingle").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi"))
+    per = materialize(per.where("_lo < _hi").select(F.col("shingle").alias("_shingle")), "similar-several")
+    maybe = marked(rows, bitmap_of(per, F.col("_shingle"), "similar-bitmap"), F.col("shingle"), "_maybe").where("_maybe").select(*POSTING)
+    some = materialize(maybe.join(per, F.col("shingle") == F.col("_shingle"), "left_semi"), "similar-some")
+    counts = some.groupBy(F.col("shingle").alias("_shingle")).agg(F.count(F.lit(1)).alias("texts"))
+    out = materialize(some.join(counts, F.col("shingle") == F.col("_shingle")).select(*POSTING, "texts"), "similar-shared")
+    discard(per, some)
+    return out
 
 
 def possible(x: np.ndarray, y: np.ndarray, similarity: float) -> np.ndarray:
@@ -437,8 +444,16 @@ def possible(x: np.ndarray, y: np.ndarray, similarity: float) -> np.ndarray:
     return (x[..., 1] != y[..., 1]) & (np.minimum(n, m) >= similarity * np.maximum(n, m) - 1e-6) & (left >= need)
 
 
-def prefix_pairs(shared: DataFrame, similarity: float) -> DataFrame:
-    """(a, b), distinct: ids of different root that share one of the shingles of shared (HOT_SHINGLE texts at most), and are not ruled out."""
+def prefix_pairs(shared: DataFrame, similarity: float, hot: int = HOT_SHINGLE) -> DataFrame:
+    """(a, b), distinct: ids of different root that share a shingle of at most `hot` texts in their prefixes, as far as the number of shingles
+    that the prefixes share leaves the given similarity possible.
+
+    Prefixes hold all but the last least_common - 1 shingles in one order. Of two texts, the one whose prefix ends first has its other common
+    shingles among those last ones. So common shingles are at most those of the prefixes and the more of these two rests. Shingles of more
+    than `hot` texts are not counted pair by pair; a text's number of them stands for all that it may share.
+    """
+    often = shared.where(F.col("texts") > hot).groupBy(F.col("id").alias("_i")).agg(F.count(F.lit(1)).alias("often"))
+    rows = shared.where(F.col("texts") <= hot).join(often, F.col("id") == F.col("_i"), "left").select("shingle", "id", "root", "n", F.coalesce("often", F.lit(0)).alias("often"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = np.empty((0, 5), np.int64)
@@ -456,16 +471,22 @@ def prefix_pairs(shared: DataFrame, similarity: float) -> DataFrame:
         """table: all rows of its shingles, sorted by shingle."""
         new = np.flatnonzero(np.r_[True, table[1:, 0] != table[:-1, 0]])
         size = np.diff(np.r_[new, len(table)])
-        rows, found = table[:, 1:], [np.empty((0, 2), np.int64)]
+        rows, found = table[:, 1:], [np.empty((0, 3), np.int64)]
         last, at = np.repeat(new + size, size), np.arange(len(table))
         for step in range(1, int(size.max())):
             at = at[at + step < last[at]]
-            hit = at[possible(rows[at], rows[at + step], similarity)]
-            found.append(np.stack([rows[hit, 0], rows[hit + step, 0]], axis=1))
-        return link_batch(np.concatenate(found))
+            x, y = rows[at], rows[at + step]
+            n, m = x[:, 2], y[:, 2]
+            rest = np.maximum(least_common(n, similarity), least_common(m, similarity)) - 1
+            need = np.ceil(similarity / (1 + similarity) * (n + m) - 1e-6).astype(np.int64) - rest - np.minimum(x[:, 3], y[:, 3])
+            keep = (x[:, 1] != y[:, 1]) & (np.minimum(n, m) >= similarity * np.maximum(n, m) - 1e-6)
+            found.append(np.stack([np.minimum(x[keep, 0], y[keep, 0]), np.maximum(x[keep, 0], y[keep, 0]), need[keep]], axis=1))
+        pairs, times = np.unique(np.concatenate(found), axis=0, return_counts=True)
+        return pa.record_batch([*(pa.array(pairs[:, k].copy()) for k in range(3)), pa.array(times)], names=["a", "b", "need", "times"])
 
-    dealt = shared.select("shingle", "id", "root", "n", "place").repartition(total_partitions(shared.sparkSession), "shingle").sortWithinPartitions("shingle")
-    return dealt.mapInArrow(lean(run), LINKS).select("a", "b").distinct()
+    dealt = rows.repartition(total_partitions(shared.sparkSession), "shingle").sortWithinPartitions("shingle")
+    met = dealt.mapInArrow(lean(run), "a long, b long, need long, times long").groupBy("a", "b").agg(F.min("need").alias("need"), F.sum("times").alias("times"))
+    return met.where("a != b and times >= need").select("a", "b")
 
 
 def shingle_sets(named: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
@@ -482,7 +503,7 @@ def shingle_sets(named: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
 
 
 def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
-    """The pairs of found (a, b) whose sets of shingles have the given share in common. named: id, text."""
+    """The pairs of found (a, b) whose sets of shingles have the given share in common, written out. named: id, text."""
     hashed = shingle_sets(named, found.select(F.col("a").alias("w")).unionByName(found.select(F.col("b").alias("w"))), size)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -496,7 +517,9 @@ def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -
 
     left = hashed.select(F.col("id").alias("a"), F.col("shingles").alias("sa"))
     right = hashed.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
-    return found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(lean(compare), "a long, b long")
+    out = materialize_texts(found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(lean(compare), "a long, b long"), "similar-met")
+    discard(hashed)
+    return out
 
 
 def common_counts(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.ndarray:
@@ -518,7 +541,7 @@ def common_counts(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.nd
 
 
 def block_links(shared: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
-    """(a, b) of a verified forest in each block unit of the shingles of shared. Different units may find links of the same texts."""
+    """(a, b) of a verified forest in each block unit of the shingles of shared, written out. Different units may find links of the same texts."""
     hashed = shingle_sets(named, shared.select(F.col("id").alias("w")), size)
     per = shared.groupBy("shingle").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("all"))
     per = per.select("shingle", F.greatest(F.ceil(F.col("k") / (BLOCK // 2)), F.ceil(F.col("all") / BLOCK_SHINGLES)).cast("long").alias("blocks"))
@@ -548,7 +571,9 @@ def block_links(shared: DataFrame, named: DataFrame, size: int, similarity: floa
         forest = Forest(len(roots))
         return rows[:, 0][np.array([e[3:] for e in edges.tolist() if forest.join(e[1], e[2])], dtype=np.int64).reshape(-1, 2)]
 
-    return unit_links(units, ["shingle"], ["id", "root", "n", "place", "shingles"], compare)
+    out = materialize_texts(unit_links(units, ["shingle"], ["id", "root", "n", "place", "shingles"], compare), "similar-met")
+    discard(hashed)
+    return out
 
 
 def follow(roots: DataFrame, column: str, links: DataFrame, rooted: DataFrame) -> DataFrame:
@@ -577,7 +602,18 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     same = [F.col(f"p.{x}") == F.col(f"c.{x}") for x in fps]
     alike = prints.alias("p").join(classes.where("n > 1").alias("c"), same).where("doc_id != id").select(F.col("id").alias("a"), F.col("doc_id").alias("b"))
     found = materialize(apart.unionByName(alike), "similar-candidates")
-    links = materialize_texts(verified(found, named, size, similarity), "similar-met")
+    # of a text's candidates by one word that are alike in all words, the nearest come first, then those between what these leave apart
+    side = lambda c: prints.select(F.col("doc_id").alias(c), *(F.col(x).alias(f"{x}{c}") for x in fps), F.col("n").alias(f"n{c}"))
+    apart_by = sum((F.bit_count(F.col(f"{x}a").bitwiseXOR(F.col(f"{x}b"))) for x in fps), F.lit(0))
+    near = found.join(side("a"), "a").join(side("b"), "b").where((apart_by <= WIDE_ALL) & (F.least("na", "nb") >= similarity * F.greatest("na", "nb") - 1e-6))
+    near = materialize(near.select("a", "b", apart_by.alias("apart")).distinct(), "similar-near")
+    nearest = [near.groupBy(x).agg(F.min(F.struct("apart", y)).getField(y).alias(y)).select("a", "b") for x, y in (("a", "b"), ("b", "a"))]
+    links = verified(materialize(nearest[0].union(nearest[1]).distinct(), "similar-nearest"), named, size, similarity)
+    at = materialize(components(links), "similar-roots")
+    root_of = lambda c: at.select(F.col("id").alias(c), F.col("root").alias(f"r{c}"))
+    ends = near.join(root_of("a"), "a", "left").join(root_of("b"), "b", "left").select("a", "b", "apart", F.coalesce("ra", "a").alias("ra"), F.coalesce("rb", "b").alias("rb"))
+    between = ends.where("ra != rb").groupBy(F.least("ra", "rb").alias("x"), F.greatest("ra", "rb").alias("y")).agg(F.min(F.struct("apart", "a", "b")).alias("one")).select("one.a", "one.b")
+    links = links.unionByName(verified(materialize(between, "similar-between"), named, size, similarity))
 
     roots = components(links).select(F.col("id").alias("_i"), "root")
     rooted = prints.select(F.col("doc_id").alias("id"), "n", "prefix").join(roots, F.col("id") == F.col("_i"), "left")
@@ -586,12 +622,12 @@ def similar_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     if frequent.limit(1).count():
         once = frequent.groupBy("id").agg(F.min_by("shingle", F.xxhash64("shingle")).alias("_one")).select(F.col("id").alias("_id"), "_one")
         once = materialize(frequent.join(once, (F.col("id") == F.col("_id")) & (F.col("shingle") == F.col("_one"))).select(*shared.columns), "similar-once")
-        met = materialize_texts(block_links(once, named, size, similarity), "similar-met")
+        met = block_links(once, named, size, similarity)
         links = links.unionByName(met)
-        shared = among_several(follow(shared.drop("texts", "shingles"), "root", met, once.select("id", "root").distinct()), "similar-shared")
-        links = links.unionByName(materialize_texts(block_links(shared.where(F.col("texts") > HOT_SHINGLE), named, size, similarity), "similar-met"))
-    rest = materialize(prefix_pairs(shared.where(F.col("texts") <= HOT_SHINGLE), similarity), "similar-rest")
-    links = links.unionByName(materialize_texts(verified(rest, named, size, similarity), "similar-met"))
+        shared = among_several(follow(shared.drop("texts"), "root", met, once.select("id", "root").distinct()))
+        links = links.unionByName(block_links(shared.where(F.col("texts") > HOT_SHINGLE), named, size, similarity))
+    rest = materialize(prefix_pairs(shared, similarity), "similar-rest")
+    links = links.unionByName(verified(rest, named, size, similarity))
     discard(rest, shared, found, classes, prints)
     return links
 
