@@ -80,19 +80,23 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of docs that exact_groups keeps, with all their columns; of rows that repeat text and id, one stays.
 
-    Only texts that length and prefix leave are hashed in full, and only rows of a text with copies, which a bitmap of their
-    full hashes marks, are shuffled with their texts. An empty table gives an empty result.
+    Only texts that length and prefix leave are hashed in full. Rows that go are known by id and full hash: what a bitmap of these marks is
+    shuffled by both, so a text of many copies spreads over all tasks; all other rows stay where they are. An empty table gives an empty result.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     bitmap = candidates(docs.select(text.alias("raw")))
-    verdict = materialize(exact_groups(docs, id_col, text_col, bitmap=bitmap).where("group_size > 1"), "dedup-verdict")
-    copied = materialize(verdict.groupBy("text_sha256").agg(F.max("keep_id").alias("_kept_id")).withColumnRenamed("text_sha256", "_hash"), "dedup-kept")
+    verdict = materialize(exact_groups(docs, id_col, text_col, bitmap=bitmap).where("not kept").select(F.col("doc_id").alias("_id"), F.col("keep_id"), F.col("text_sha256").alias("_hash")), "dedup-verdict")
+    gone = verdict.where("not (_id <=> keep_id)").select("_id", "_hash").distinct()
+    # rows that repeat the id of the one that stays
+    twice = verdict.where("_id <=> keep_id").select("_id", "_hash").distinct()
+    key = lambda i, h: F.xxhash64(F.coalesce(F.col(i).cast("long"), F.lit(-1)), F.col(h))
     tested = marked(docs, bitmap, F.xxhash64(_length(text), _prefix(text)), "_survives")
     keyed = tested.withColumn("_sha", F.when(F.col("_survives"), F.sha2(ascii_lower(text), 256)))
-    flagged = marked(keyed, bitmap_of(copied, F.xxhash64("_hash"), "copies-bitmap"), F.xxhash64("_sha"), "_maybe").withColumn("_maybe", F.col("_maybe") & F.col("_survives"))
+    flagged = marked(keyed, bitmap_of(verdict, key("_id", "_hash"), "copies-bitmap"), key(id_col, "_sha"), "_maybe").withColumn("_maybe", F.col("_maybe") & F.col("_survives"))
     alone = flagged.where("not _maybe").select(*docs.columns)
-    among = flagged.where("_maybe").drop("_maybe", "_survives").join(copied, F.col("_sha") == F.col("_hash"), "left")
-    # a marked row without copies finds no partner and stays
-    stay = among.where(F.col("_hash").isNull() | F.col(id_col).eqNullSafe(F.col("_kept_id")))
-    one = stay.where("_hash is null").select(*docs.columns).unionByName(stay.where("_hash is not null").dropDuplicates(["_sha"]).select(*docs.columns))
-    return alone.unionByName(one)
+    same = F.col(id_col).eqNullSafe(F.col("_id")) & (F.col("_sha") == F.col("_hash"))
+    left = flagged.where("_maybe").select(*docs.columns, "_sha").join(gone, same, "left_anti")
+    if not twice.limit(1).count():
+        return alone.unionByName(left.select(*docs.columns))
+    once = left.join(twice, same, "left_semi").dropDuplicates([id_col, "_sha"])
+    return alone.unionByName(left.join(twice, same, "left_anti").select(*docs.columns)).unionByName(once.select(*docs.columns))
