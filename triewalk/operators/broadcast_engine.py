@@ -14,6 +14,10 @@ from ..plans.rewrite import KeyFrame
 from .cell_engine import participants
 
 
+#: Rows a task below which the largest atom is dealt out anew: a small table may lie in one file, and the walk is what takes time.
+DEALT_ROWS = 1_000_000
+
+
 class TooLarge(ValueError):
     """The atoms to be broadcast hold more rows than allowed."""
 
@@ -49,4 +53,8 @@ def run_broadcast(spark: SparkSession, frames: list[KeyFrame], order: list[str],
             for columns in walk_batches([tries[i] for i in range(n)], levels, batch_rows):
                 yield pa.record_batch([pa.array(c) for c in columns], names=order)
 
-    return frames[big].df.select(*frames[big].vars).mapInArrow(run, "n long" if measure == "count" else ", ".join(f"`{v}` long" for v in order))
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = frames[big].df.select(*frames[big].vars)
+    if sizes[big] <= parts * DEALT_ROWS:
+        rows = rows.repartition(parts, *rows.columns)
+    return rows.mapInArrow(run, "n long" if measure == "count" else ", ".join(f"`{v}` long" for v in order))
