@@ -215,7 +215,8 @@ def execute(p: Prepared, engine: str = "auto", order: list[str] | None = None, s
         shares = shares or found
     after = _filter(p)
     if chosen in ("levels", "hash"):
-        out = run_levels(spark, frames, order, chosen, driver, after, keep, costs)
+        about = {(i, v): s.distinct[frozenset([v])] for i, s in enumerate(stats or ()) for v in atoms[i]} if costs is None else None
+        out = run_levels(spark, frames, order, chosen, driver, after, keep, costs, about)
     elif chosen == "pairwise":
         from .baselines import pairwise_frames
 

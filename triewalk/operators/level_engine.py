@@ -22,10 +22,13 @@ DEALT = 64
 
 
 class Projections:
-    """Projections of frames, each made once: atoms of one source share a table, and every level reads what is written out."""
+    """Projections of frames, each made once: atoms of one source share a table, and every level reads what is written out.
 
-    def __init__(self, frames: list[KeyFrame]):
-        self.frames, self.made, self.sizes = frames, {}, {}
+    about: estimated numbers of a frame's values of a variable, enough to tell the smaller of two; sizes are counted where there are none.
+    """
+
+    def __init__(self, frames: list[KeyFrame], about: dict[tuple[int, str], int] | None = None):
+        self.frames, self.made, self.sizes, self.about = frames, {}, {}, about or {}
 
     def _names(self, at: int, cols: tuple[str, ...]) -> tuple[tuple, dict[str, str]]:
         """Key of a projection, and the stored name of each of its variables."""
@@ -47,6 +50,8 @@ class Projections:
         f = self.frames[at]
         if set(cols) == set(f.vars) and f.rows is not None:
             return f.rows
+        if len(cols) == 1 and (at, cols[0]) in self.about:
+            return self.about[at, cols[0]]
         key, _ = self._names(at, cols)
         if key not in self.sizes:
             self.sizes[key] = self.of(at, cols).count()
@@ -131,10 +136,10 @@ def extend(prefix: DataFrame, slices: Projections, level: Level, hint: str | Non
     return out
 
 
-def run_levels(spark: SparkSession, frames: list[KeyFrame], order: list[str], engine: str = "levels", driver: str = "per_prefix", after=None, keep: list | None = None, costs: list | None = None) -> DataFrame:
+def run_levels(spark: SparkSession, frames: list[KeyFrame], order: list[str], engine: str = "levels", driver: str = "per_prefix", after=None, keep: list | None = None, costs: list | None = None, about: dict[tuple[int, str], int] | None = None) -> DataFrame:
     """All bindings. after(df, bound): filters to apply once variables are bound. keep: gets each level's prefix frame; costs: each level's cost."""
     hint = HINTS[engine]
-    plan, slices = level_plan([f.vars for f in frames], order), Projections(frames)
+    plan, slices = level_plan([f.vars for f in frames], order), Projections(frames, about)
     prefix = None
     for i, level in enumerate(plan):
         prefix = first_level(slices, level, hint, costs) if prefix is None else extend(prefix, slices, level, hint, driver, costs)

@@ -22,6 +22,13 @@ def projection_instance(spark: SparkSession, j: int) -> dict[str, DataFrame]:
     return {"R": product(spark, few, many), "S": product(spark, many, few), "T": product(spark, n, 1)}
 
 
+def hub(spark: SparkSession, n: int) -> DataFrame:
+    """A graph of n spokes, each joined to 0 both ways, and a path along them: few triangles, and n^2 pairs of edges that meet in 0."""
+    i = spark.range(1, n + 1)
+    edges = [i.selectExpr("0L as u", "id as v"), i.selectExpr("id as u", "0L as v"), spark.range(1, n).selectExpr("id as u", "id + 1 as v")]
+    return edges[0].union(edges[1]).union(edges[2])
+
+
 def density_instance(spark: SparkSession, n: int) -> list[DataFrame]:
     """Three key sets of 2n of which any two share n and all three none."""
     r = lambda a, z: spark.range(a, z).withColumnRenamed("id", "x")
