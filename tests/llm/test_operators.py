@@ -762,3 +762,33 @@ def test_query_suffix_dedup_brute(spark, docs):
     rows = {r["doc_id"]: tuple(r)[1:] for r in QUERIES["op10_suffix_dedup"](spark, SMALL).collect()}
     have = docs.collect()
     assert dict(zip((r["doc_id"] for r in have), brute_removed([r["text"] for r in have]), strict=True)) == rows
+
+
+def test_sketches_never_rule_out_a_similar_pair():
+    rng = np.random.default_rng(5)
+    sets = []
+    for n in (1, 2, 15, 31, 32, 33, 200, 255, 256, 300, 5000):
+        base = rng.integers(0, 1 << 63, n, dtype=np.uint64)
+        sets += [np.unique(base)] + [np.unique(np.r_[base[: max(1, int(n * share))], rng.integers(0, 1 << 63, n - int(n * share), dtype=np.uint64)]) for share in (0.5, 0.85, 0.9, 0.97)]
+    sets += [np.unique(np.arange(n, dtype=np.uint64) << np.uint64(20)) for n in (600, 700)]  # all in one slot
+    at, sizes = np.arange(len(sets)), np.array([len(s) for s in sets])
+    left = simhash.sketched_pairs([simhash.sketch(s) for s in sets], sizes, at, at, np.ones((len(sets), len(sets)), bool), 0.8)
+    common = np.array([[len(np.intersect1d(x, y)) for y in sets] for x in sets])
+    alike = common >= 0.8 * (sizes[:, None] + sizes[None] - common) - 1e-6
+    assert left[alike].all() and left[-1, -2]
+    large = sizes >= 200
+    assert not left[np.ix_(large, large)][(common == 0)[np.ix_(large, large)]].any()
+
+
+def test_block_units_move_sets_only_where_sketches_leave_a_partner(spark, monkeypatch):
+    """Unlike texts under frequent shingles: their whole sets went to every unit. Copies among them are still linked."""
+    rng = random.Random(3)
+    texts = [" ".join("".join(rng.choices("abcdefghij", k=6)) for _ in range(100)) for _ in range(60)]
+    texts.append(texts[7] + " tail")
+    named = spark.createDataFrame(list(enumerate(texts)), "id long, text string")
+    sizes = [len(np.unique(simhash.shingle_hashes(t, 5))) for t in texts]
+    shared = spark.createDataFrame([(s, i, i, n, 0) for s in range(3) for i, n in enumerate(sizes)], "shingle long, id long, root long, n long, place long")
+    moved, plain = [], simhash.unit_links
+    monkeypatch.setattr(simhash, "unit_links", lambda units, *rest: moved.append(units.count()) or plain(units, *rest))
+    assert {tuple(sorted(r)) for r in simhash.block_links(shared, named, 5, 0.8).collect()} == {(7, 60)}
+    assert moved == [6]  # two texts under three shingles, of 183 rows

@@ -296,8 +296,8 @@ def block_units(rows: DataFrame, size: DataFrame, keys: list[str]) -> DataFrame:
     return own.select(*rows.columns, F.least("_own", "_other").alias("lo"), F.greatest("_own", "_other").alias("hi"), F.col("_own").alias("side"))
 
 
-def unit_links(units: DataFrame, keys: list[str], columns: list[str], compare: Callable[[list], np.ndarray]) -> DataFrame:
-    """(a, b) that compare(columns side, *columns of a unit) gives, unit by unit. A task holds one unit at a time."""
+def by_unit(units: DataFrame, keys: list[str], columns: list[str], settle: Callable[[tuple, list], pa.RecordBatch], schema: str) -> DataFrame:
+    """Rows that settle(unit, [side, *columns]) gives, unit by unit: unit is its keys, lo and hi. A task holds one unit at a time."""
     by = [*keys, "lo", "hi"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -310,19 +310,24 @@ def unit_links(units: DataFrame, keys: list[str], columns: list[str], compare: C
                 if a == z:
                     continue
                 if at is not None and at != tuple(place[a]):
-                    yield settle(held)
+                    yield whole(at, held)
                     held = []
                 at = tuple(place[a])
                 held.append(b.slice(a, z - a))
         if held:
-            yield settle(held)
+            yield whole(at, held)
 
-    def settle(held: list[pa.RecordBatch]) -> pa.RecordBatch:
+    def whole(at: tuple, held: list[pa.RecordBatch]) -> pa.RecordBatch:
         unit = pa.Table.from_batches(held).select(["side", *columns])
-        return link_batch(compare([c.to_numpy() if pa.types.is_integer(c.type) else c.to_pylist() for c in unit.columns]))
+        return settle(at, [c.to_numpy() if pa.types.is_integer(c.type) else c.to_pylist() for c in unit.columns])
 
     dealt = units.select(*by, "side", *columns).repartition(total_partitions(units.sparkSession), *by).sortWithinPartitions(*by, "side", "id")
-    return dealt.mapInArrow(lean(run), LINKS).select("a", "b").distinct()
+    return dealt.mapInArrow(lean(run), schema)
+
+
+def unit_links(units: DataFrame, keys: list[str], columns: list[str], compare: Callable[[list], np.ndarray]) -> DataFrame:
+    """(a, b) that compare(columns side, *columns of a unit) gives, unit by unit."""
+    return by_unit(units, keys, columns, lambda _, unit: link_batch(compare(unit)), LINKS).select("a", "b").distinct()
 
 
 def near_components(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 3, most: int = MAX_BITS) -> DataFrame:
@@ -489,17 +494,54 @@ def prefix_pairs(shared: DataFrame, similarity: float, hot: int = HOT_SHINGLE) -
     return met.where("a != b and times >= need").select("a", "b")
 
 
+def sketch(hashes: np.ndarray) -> np.ndarray:
+    """How many hashes of a set fall in each slot, a byte each (255: as many or more). Slots are a power of two, more than half as many as hashes."""
+    slots = 1 << max(4, (len(hashes) // 2).bit_length())
+    return np.minimum(np.bincount((hashes & np.uint64(slots - 1)).astype(np.int64), minlength=slots), 255).astype(np.uint8)
+
+
+def folded(sketches: list[np.ndarray], slots: int) -> np.ndarray:
+    """Sketches of one length, a row each, with so many slots; where a number is not known, one above all."""
+    counts = np.stack(sketches).astype(np.int32)
+    counts[counts == 255] = 1 << 20
+    return counts.reshape(len(sketches), -1, slots).sum(axis=1)
+
+
+def sketched_pairs(sketches: list[np.ndarray], sizes: np.ndarray, x: np.ndarray, y: np.ndarray, look: np.ndarray, similarity: float) -> np.ndarray:
+    """look (a row for each of x, a column for each of y), without pairs whose sketches show that they are not so similar: two sets have no
+    more in common than the lesser of both numbers in each slot. More slots are folded into fewer."""
+    slots = np.array([len(s) for s in sketches])
+    out = np.zeros_like(look)
+    for p in np.unique(slots[x]).tolist():
+        for q in np.unique(slots[y]).tolist():
+            rows, cols = np.flatnonzero(slots[x] == p), np.flatnonzero(slots[y] == q)
+            some = look[np.ix_(rows, cols)]
+            rows, cols, some = rows[some.any(axis=1)], cols[some.any(axis=0)], some[some.any(axis=1)][:, some.any(axis=0)]
+            if not len(rows):
+                continue
+            left, right = (folded([sketches[i] for i in at.tolist()], min(p, q)) for at in (x[rows], y[cols]))
+            for r in range(len(rows)):
+                at = np.flatnonzero(some[r])
+                most = np.minimum(left[r], right[at]).sum(axis=1)
+                need = similarity / (1 + similarity) * (sizes[x[rows[r]]] + sizes[y[cols[at]]]) - 1e-6
+                out[rows[r], cols[at[most >= need]]] = True
+    return out
+
+
 def shingle_sets(named: DataFrame, wanted: DataFrame, size: int) -> DataFrame:
-    """(id, shingles): the sorted set of shingle hashes, as bytes, of each row of named (id, text) whose id is wanted (w); written out."""
+    """(id, shingles, sketch, size): the sorted set of shingle hashes, as bytes, its sketch and its size, of each row of named (id, text) whose id
+    is wanted (w); written out."""
     wanted = materialize(wanted.distinct(), "similar-wanted")
     # only texts that the bitmap of wanted ids marks are shuffled
     texts = marked(named, bitmap_of(wanted, F.xxhash64("w"), "similar-bitmap"), F.xxhash64("id"), "_maybe").where("_maybe").select("id", "text").join(wanted, F.col("id") == F.col("w"), "left_semi")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.record_batch([b.column(0), pa.array([np.unique(shingle_hashes(t.as_py(), size)).tobytes() for t in b.column(1)], pa.binary())], names=["id", "shingles"])
+            found = [np.unique(shingle_hashes(t.as_py(), size)) for t in b.column(1)]
+            columns = [*(pa.array([f(h).tobytes() for h in found], pa.binary()) for f in (np.asarray, sketch)), pa.array([len(h) for h in found], pa.int64())]
+            yield pa.record_batch([b.column(0), *columns], names=["id", "shingles", "sketch", "size"])
 
-    return materialize_texts(texts.mapInArrow(lean(sets), "id long, shingles binary"), "similar-shingles")
+    return materialize_texts(texts.mapInArrow(lean(sets), "id long, shingles binary, sketch binary, size long"), "similar-shingles")
 
 
 def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
@@ -515,10 +557,21 @@ def verified(found: DataFrame, named: DataFrame, size: int, similarity: float) -
                 keep.append(common > 0 and common >= similarity * (len(x) + len(y) - common))
             yield b.select([0, 1]).filter(pa.array(keep, pa.bool_()))
 
-    left = hashed.select(F.col("id").alias("a"), F.col("shingles").alias("sa"))
-    right = hashed.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
-    out = materialize_texts(found.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(lean(compare), "a long, b long"), "similar-met")
-    discard(hashed)
+    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            keep, one, two = [], np.array([0]), np.array([1])
+            for x, y, n, m in zip(*(b.column(k).to_pylist() for k in (2, 4, 3, 5)), strict=True):
+                both = [np.frombuffer(v, dtype=np.uint8) for v in (x, y)]
+                keep.append(bool(sketched_pairs(both, np.array([n, m]), one, two, np.ones((1, 1), bool), similarity)[0, 0]))
+            yield b.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+
+    # whole sets are moved for pairs alone that their sketches leave
+    side = lambda c, *what: hashed.select(F.col("id").alias(c), *(F.col(x).alias(f"{x}{c}") for x in what))
+    maybe = found.join(side("a", "sketch", "size"), "a").join(side("b", "sketch", "size"), "b").select("a", "b", "sketcha", "sizea", "sketchb", "sizeb")
+    maybe = materialize_texts(maybe.mapInArrow(lean(sketched), "a long, b long"), "similar-maybe")
+    out = maybe.join(side("a", "shingles"), "a").join(side("b", "shingles"), "b").select("a", "b", "shinglesa", "shinglesb")
+    out = materialize_texts(out.mapInArrow(lean(compare), "a long, b long"), "similar-met")
+    discard(hashed, maybe)
     return out
 
 
@@ -541,20 +594,38 @@ def common_counts(sets: list[np.ndarray], x: np.ndarray, y: np.ndarray) -> np.nd
 
 
 def block_links(shared: DataFrame, named: DataFrame, size: int, similarity: float) -> DataFrame:
-    """(a, b) of a verified forest in each block unit of the shingles of shared, written out. Different units may find links of the same texts."""
+    """(a, b) of a verified forest in each block unit of the shingles of shared, written out. Different units may find links of the same texts.
+
+    A text comes in as many units as it has shingles in shared, and blocks. Units first hold sketches; whole sets are moved only to units
+    in which the sketches leave the text a partner.
+    """
     hashed = shingle_sets(named, shared.select(F.col("id").alias("w")), size)
     per = shared.groupBy("shingle").agg(F.count(F.lit(1)).alias("k"), F.sum("n").alias("all"))
     per = per.select("shingle", F.greatest(F.ceil(F.col("k") / (BLOCK // 2)), F.ceil(F.col("all") / BLOCK_SHINGLES)).cast("long").alias("blocks"))
     units = block_units(shared.select("shingle", "id", "root", "n", "place"), per, ["shingle"])
-    units = units.join(hashed.select(F.col("id").alias("_i"), "shingles"), F.col("id") == F.col("_i"))
+    columns, narrow = ["id", "root", "n", "place"], ["shingle", "lo", "hi", "side", "id", "root", "n", "place"]
+    beside = lambda df, what: df.join(hashed.select(F.col("id").alias("_i"), what), F.col("id") == F.col("_i"))
 
-    def compare(unit: list) -> np.ndarray:
-        side, rows = unit[0], np.stack(unit[1:5], axis=1)
+    def pairs(side: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         two = len(np.unique(side)) > 1
         x, y = np.flatnonzero(side == side.min()), np.flatnonzero(side == side.max())
         look = possible(rows[x][:, None], rows[y][None], similarity)
         if not two:
             look &= np.arange(len(x))[:, None] < np.arange(len(y))[None]
+        return x, y, look
+
+    def partnered(at: tuple, unit: list) -> pa.RecordBatch:
+        side, rows = unit[0], np.stack(unit[1:5], axis=1)
+        x, y, look = pairs(side, rows)
+        if look.any():
+            look = sketched_pairs([np.frombuffer(v, dtype=np.uint8) for v in unit[5]], rows[:, 2], x, y, look, similarity)
+        i, j = np.nonzero(look)
+        left = np.unique(np.column_stack([side, rows])[np.r_[x[i], y[j]]], axis=0)
+        return pa.record_batch([*(pa.array(np.full(len(left), v, np.int64)) for v in at), *(pa.array(left[:, k].copy()) for k in range(5))], names=narrow)
+
+    def compare(unit: list) -> np.ndarray:
+        rows = np.stack(unit[1:5], axis=1)
+        x, y, look = pairs(unit[0], rows)
         if not look.any():
             return np.empty((0, 2), np.int64)
         sets = [np.frombuffer(v, dtype=np.uint64) for v in unit[5]]
@@ -571,8 +642,9 @@ def block_links(shared: DataFrame, named: DataFrame, size: int, similarity: floa
         forest = Forest(len(roots))
         return rows[:, 0][np.array([e[3:] for e in edges.tolist() if forest.join(e[1], e[2])], dtype=np.int64).reshape(-1, 2)]
 
-    out = materialize_texts(unit_links(units, ["shingle"], ["id", "root", "n", "place", "shingles"], compare), "similar-met")
-    discard(hashed)
+    some = materialize_texts(by_unit(beside(units, "sketch"), ["shingle"], [*columns, "sketch"], partnered, ", ".join(f"{c} long" for c in narrow)), "similar-partnered")
+    out = materialize_texts(unit_links(beside(some, "shingles"), ["shingle"], [*columns, "shingles"], compare), "similar-met")
+    discard(hashed, some)
     return out
 
 
