@@ -1,15 +1,17 @@
 """Engines agree with each other, with brute force and with the golden sizes."""
 
 import random
+import re
 from itertools import combinations
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from triewalk import workloads as W
 from triewalk.operators import baselines, costs, families, layout, level_engine, renumber, skip_meet
 from triewalk.operators.broadcast_engine import TooLarge, run_broadcast
-from triewalk.operators.cell_engine import run_cells
+from triewalk.operators.cell_engine import assign, pack, run_cells, unpack
 from triewalk.operators.domain import encode_domain
 from triewalk.operators.engine import Answer, attach, count, execute, exists, explain, first, heavy_values, prepare, run, run_split, settle
 from triewalk.plans import choice
@@ -186,6 +188,38 @@ def test_grid_meets_its_bound(spark):
     assert dict(got(cost)) == {0: 8, 1: 64, 2: 512}
 
 
+def test_rows_of_a_cell_are_packed(spark):
+    far = [np.array([-(1 << 63), 0, (1 << 63) - 1]), np.array([5, 5, 260]), np.array([-7, 70_000, 3])]
+    value = pack(far)
+    assert all((a == b).all() for a, b in zip(unpack(value, 3), far, strict=True)) and len(value) == 8 + 3 * 9 + 3 * (8 + 1 + 4)
+    edges = [(i, i * i % 997) for i in range(10_000)]
+    p = prepare(TRI, dict.fromkeys("RST", spark.createDataFrame(edges, "x long, y long").repartition(2)))
+    order, shares = ["a", "b", "c"], {"a": 2, "b": 2, "c": 2}
+    dealt = assign(p.frames, order, shares).collect()
+    assert len(dealt) <= 3 * 8 * p.frames[0].df.rdd.getNumPartitions()  # before: 60,000, a row a copy
+    for atom, f in enumerate(p.frames):
+        (lack,) = set(order) - set(f.vars)
+        at = 1 << order.index(lack)
+        for side in (0, 1):
+            mine = [r for r in dealt if r["atom"] == atom and bool(r["cell"] & at) == bool(side)]
+            found = [x for r in mine for x in zip(*(c.tolist() for c in unpack(bytes(r["packed"]), 2)), strict=True)]
+            assert sorted(found) == edges
+    few = pairs(spark, [(-(1 << 62), 0), (0, 1 << 62), (-(1 << 62), 1 << 62), (0, 1)])
+    rows = run_cells(prepare(TRI, dict.fromkeys("RST", few)).frames, order, shares)
+    assert got(rows) == [(-(1 << 62), 0, 1 << 62)] and not any(f.nullable for f in rows.schema.fields)
+
+
+def test_shared_orders_deal_lineitem_once(spark):
+    for name, key in (("co_supp", "l_suppkey"), ("co_part", "l_partkey")):
+        found, by_order = relation(spark, SMALL, name), {}
+        plan = found._jdf.queryExecution().executedPlan().toString()
+        dealt_by = re.findall(r"Exchange hashpartitioning\(([^)]*), \d+\)", plan)
+        assert sum(d.startswith("l_orderkey") for d in dealt_by) == 2 and not any(d.startswith("l_orderkey") and "," in d for d in dealt_by)  # before: by the pair
+        for o, k in load(spark, SMALL, "lineitem", ["l_orderkey", key]).collect():
+            by_order.setdefault(o, set()).add(k)
+        assert got(found) == sorted({p for ks in by_order.values() for p in combinations(sorted(ks), 2)})
+
+
 def test_meets(spark):
     for how in ("range", "count", "semi"):
         assert got(skip_meet.skip_meet(density_instance(spark, 50)[:2], "x", how)) == [(i,) for i in range(50, 100)]
